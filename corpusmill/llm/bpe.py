@@ -15,6 +15,7 @@ repeated rows are encoded each; other columns are ignored.
 
 from __future__ import annotations
 
+import itertools
 import json
 import unicodedata
 from collections.abc import Iterator
@@ -25,8 +26,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_SPACES = regex.compile("[\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000]+")
 _NONE = np.iinfo(np.int64).max
+MOST_WORDS = 400_000  # of the index in one Python worker; beyond it the index starts anew
 
 
 def byte_alphabet() -> list[str]:
@@ -36,6 +37,14 @@ def byte_alphabet() -> list[str]:
     return [chr(b) if b in plain else next(moved) for b in range(256)]
 
 
+class _Index(dict):
+    """Numbers words in the order they come."""
+
+    def __missing__(self, word: str) -> int:
+        self[word] = n = len(self)
+        return n
+
+
 class WordBpe:
     """Tokenizer of a word-level BPE file with a word-end suffix."""
 
@@ -59,6 +68,7 @@ class WordBpe:
             self.tokens[k] = token
         split = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.words = regex.compile(split)
+        self.forget()
         self.special = regex.compile("(" + "|".join(map(regex.escape, self.specials)) + ")")
 
     def split(self, text: str) -> list[str]:
@@ -68,8 +78,9 @@ class WordBpe:
             if k % 2:
                 out.append(part)
             elif part:
-                plain = _SPACES.sub(" ", unicodedata.normalize("NFC", part))
-                out += self.words.findall(plain.replace("Σ", "σ").lower())
+                # White space parts words and is no part of any, so it is not folded first.
+                plain = part if part.isascii() else unicodedata.normalize("NFC", part).replace("Σ", "σ")
+                out += self.words.findall(plain.lower())
         return out
 
     def encode_words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -112,26 +123,35 @@ class WordBpe:
         return ids, np.searchsorted(owner, np.arange(len(raw) + 1))
 
     def encode_batch(self, texts: list[str]) -> list[np.ndarray]:
-        """Ids of each text; every distinct word of the batch is encoded once."""
-        index: dict[str, int] = {}
+        """Ids of each text; a distinct word is encoded once while the index of words holds it."""
+        if len(self.index) > MOST_WORDS:
+            self.forget()
+        known = len(self.index)
         codes = []
         for text in texts:
             words = self.split(text)
-            codes.append(np.fromiter((index.setdefault(w, len(index)) for w in words), np.int64, len(words)))
-        words = list(index)
-        ids, starts = self.encode_words(["\u0000" if w in self.specials else w for w in words])
-        begins, sizes = starts[:-1].copy(), np.diff(starts)
-        for w in self.specials:
-            if w in index:
-                begins[index[w]], sizes[index[w]] = len(ids), 1
-                ids = np.r_[ids, self.specials[w]]
+            codes.append(np.fromiter(map(self.index.__getitem__, words), np.int64, len(words)))
+        if len(self.index) > known:
+            words = list(itertools.islice(self.index, known, None))
+            ids, starts = self.encode_words(["\u0000" if w in self.specials else w for w in words])
+            begins, sizes = starts[:-1] + len(self.ids), np.diff(starts)
+            for w in self.specials:
+                if self.index.get(w, -1) >= known:
+                    begins[self.index[w] - known], sizes[self.index[w] - known] = len(self.ids) + len(ids), 1
+                    ids = np.r_[ids, self.specials[w]]
+            self.ids, self.begins, self.sizes = (np.concatenate(x) for x in ((self.ids, ids), (self.begins, begins), (self.sizes, sizes)))
         out = []
         for c in codes:
-            n = sizes[c]
-            shift = np.repeat(begins[c] - (np.cumsum(n) - n), n)
-            out.append(ids[shift + np.arange(len(shift))].astype("<u4") if len(c) else np.empty(0, "<u4"))
+            n = self.sizes[c]
+            shift = np.repeat(self.begins[c] - (np.cumsum(n) - n), n)
+            out.append(self.ids[shift + np.arange(len(shift))].astype("<u4"))
         return out
 
+    def forget(self) -> None:
+        """Empty the index of words."""
+        self.index = _Index()
+        self.ids = self.begins = self.sizes = np.empty(0, np.int64)
+
     def decode(self, ids: np.ndarray) -> str:
         """The file names no decoder: tokens are joined by spaces."""
         return " ".join(self.tokens[ids].tolist())
