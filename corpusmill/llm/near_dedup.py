@@ -6,10 +6,12 @@ signature; bands of it are bucket keys. Copies with equal sets collapse to the
 smallest id first, so large groups of copies cost one row from there on.
 
 Within a bucket no list of all pairs is made. Every member is first compared
-with the bucket's smallest id. What is linked so far is put into components;
-only members of a bucket that are still in different components are compared
-with each other, in blocks, signatures first. Two documents already in one
-component need no further link between them, so nothing is lost.
+with the bucket's smallest id; what is linked so far is put into components.
+In two more rounds each bucket draws a pivot of its own, and members in other
+components than the pivot's are compared with it. What is then still apart in a
+bucket is compared block by block inside the tasks, and only confirmed links
+leave them. Two documents already in one component need no further link between
+them, so nothing is lost.
 
 Edge cases: null or empty text has an empty set and is linked with nothing;
 fewer words than a shingle make one shingle of all words; a null doc_id keeps
@@ -70,17 +72,19 @@ def shingle_set(text: str | None, size: int, words: _WordHash) -> np.ndarray:
 
 def _constants(count: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
     rng = np.random.default_rng(seed)
-    a, b = rng.integers(0, 2**63, (2, count), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    a, b = rng.integers(0, 2**31, (2, count), dtype=np.uint32) * np.uint32(2) + np.uint32(1)
     return a, b
 
 
 def signature(shingles: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Minima of multiply-shift hashes, in blocks so that long texts stay small."""
-    best = np.full(len(a), 2**32 - 1, np.uint64)
-    for at in range(0, len(shingles), 1024):
-        values = (a[:, None] * shingles[None, at : at + 1024] + b[:, None]) >> np.uint64(32)
+    """Minima of multiply-add hashes, in blocks so that long texts stay small."""
+    x = (shingles >> np.uint64(32)).astype(np.uint32)
+    best = np.full(len(a), 2**32 - 1, np.uint32)
+    for at in range(0, len(x), 1024):
+        values = a[:, None] * x[None, at : at + 1024]
+        values += b[:, None]
         np.minimum(best, values.min(axis=1), out=best)
-    return best.astype(np.uint32)
+    return best
 
 
 def _band_keys(sig: np.ndarray, bands: int) -> np.ndarray:
@@ -136,10 +140,13 @@ def _likely(pairs: DataFrame, sigs: DataFrame, percent: int) -> DataFrame:
     return joined.select("a", "b", "sig_a", "sig_b").mapInPandas(run, "a long, b long")
 
 
-def _confirmed(pairs: DataFrame, docs: DataFrame, shingle: int, percent: int) -> DataFrame:
-    """Links of ``pairs`` that hold on the full shingle sets of the texts."""
-    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    texts = settle(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(ids, "doc_id", "left_semi"))
+def _linked(s: np.ndarray, t: np.ndarray, percent: int) -> bool:
+    both = len(np.intersect1d(s, t, assume_unique=True))
+    return both > 0 and 100 * both >= percent * (len(s) + len(t) - both)
+
+
+def _confirmed(pairs: DataFrame, texts: DataFrame, shingle: int, percent: int) -> DataFrame:
+    """Links of ``pairs`` that hold on the full shingle sets of ``texts``."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         words, seen = _WordHash(), {}
@@ -150,9 +157,7 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, shingle: int, percent: int) ->
                     if len(seen) > 64:
                         seen.clear()
                     seen[a] = shingle_set(x, shingle, words)
-                s, t = seen[a], shingle_set(y, shingle, words)
-                both = len(np.intersect1d(s, t, assume_unique=True))
-                keep.append(100 * both >= percent * (len(s) + len(t) - both) and both > 0)
+                keep.append(_linked(seen[a], shingle_set(y, shingle, words), percent))
             yield p.loc[keep, ["a", "b"]]
 
     return settle(
@@ -163,38 +168,78 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, shingle: int, percent: int) ->
     )
 
 
-def _across(members: DataFrame, sigs: DataFrame, percent: int) -> DataFrame:
-    """Likely pairs of one bucket whose ends are in different components.
-
-    ``members(key, doc_id, component, n)``; buckets up to 32 rows are joined
-    with themselves, larger ones compared block by block.
-    """
-    small, large = members.where("n <= 32"), members.where("n > 32")
-    left = small.select("key", F.col("doc_id").alias("a"), F.col("component").alias("ca"))
-    right = small.select("key", F.col("doc_id").alias("b"), F.col("component").alias("cb"))
-    near = _likely(left.join(right, "key").where("a < b and ca <> cb").select("a", "b").distinct(), sigs, percent)
-    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    dealt = (
-        large.withColumn("own", F.pmod(F.xxhash64("doc_id"), blocks).cast("int"))
-        .withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-        .join(sigs.select("doc_id", "sig"), "doc_id")
-        .select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "doc_id", "component", "sig")
+def _named(members: DataFrame, labels: DataFrame) -> DataFrame:
+    """Members of buckets that hold several components, with their component."""
+    named = members.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select(
+        "key", "doc_id", F.coalesce("component", "doc_id").alias("component"), "n"
     )
+    split = named.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("key")
+    return settle(named.where("n > 2").join(split, "key"))
+
+
+def _to_pivots(named: DataFrame, salt: int) -> DataFrame:
+    """Pairs of each bucket's own random pivot with the members outside its component."""
+    drawn = F.min_by(F.struct("doc_id", "component"), F.xxhash64("key", "doc_id", F.lit(salt)))
+    pivots = named.groupBy("key").agg(drawn.alias("p"))
+    apart = named.join(pivots, "key").where("component <> p.component")
+    return apart.select(F.least("doc_id", "p.doc_id").alias("a"), F.greatest("doc_id", "p.doc_id").alias("b")).distinct()
+
 
-    def compare(block: pd.DataFrame) -> pd.DataFrame:
-        sig = np.frombuffer(b"".join(block["sig"]), np.uint32).reshape(len(block), -1)
-        ids, comp, own = (block[c].to_numpy() for c in ("doc_id", "component", "own"))
-        lo, hi = block["lo"].iloc[0], block["hi"].iloc[0]
-        found = []
-        for i in np.flatnonzero(own == lo):
-            other = (own == hi) & (comp != comp[i]) & ((ids > ids[i]) | (lo != hi))
-            at = np.flatnonzero(other)
-            at = at[(sig[at] == sig[i]).mean(axis=1) >= percent / 100 - SLACK]
-            found += [(min(ids[i], ids[j]), max(ids[i], ids[j])) for j in at]
+def _pairs_apart(named: DataFrame) -> DataFrame:
+    """All pairs of small buckets whose ends are in different components."""
+    left = named.select("key", F.col("doc_id").alias("a"), F.col("component").alias("ca"))
+    right = named.select("key", F.col("doc_id").alias("b"), F.col("component").alias("cb"))
+    return left.join(right, "key").where("a < b and ca <> cb").select("a", "b").distinct()
+
+
+def _links_in_blocks(named: DataFrame, texts: DataFrame, shingle: int, percent: int) -> DataFrame:
+    """Confirmed links across components of large buckets.
+
+    Members outside a bucket's largest component meet all members, block by
+    block, on full sets. A task passes on as many links as join its components.
+    """
+    sizes = named.groupBy("key", "component").agg(F.count("*").alias("m"))
+    main = sizes.groupBy("key").agg(F.max_by("component", F.struct("m", "component")).alias("main"), F.sum("m").alias("n"), F.max("m").alias("most"))
+    of = named.select("key", "doc_id", "component").join(main, "key")
+    few, all_ = (F.ceil(x / BLOCK).cast("int") for x in (F.col("n") - F.col("most"), F.col("n")))
+    block = lambda blocks: F.pmod(F.xxhash64("doc_id"), F.greatest(blocks, F.lit(1))).cast("int")
+    spread = lambda blocks: F.explode(F.sequence(F.lit(0), F.greatest(blocks, F.lit(1)) - 1))
+    cols = ["key", "lo", "hi", "outer", "doc_id", "component"]
+    outer = of.where("component <> main").withColumn("lo", block(few)).withColumn("hi", spread(all_)).withColumn("outer", F.lit(True))
+    every = of.withColumn("hi", block(all_)).withColumn("lo", spread(few)).withColumn("outer", F.lit(False))
+    dealt = outer.select(cols).unionByName(every.select(cols)).join(texts, "doc_id")
+
+    def compare(group: pd.DataFrame) -> pd.DataFrame:
+        words, root, found = _WordHash(), {}, []
+
+        def find(x):
+            while root.setdefault(x, x) != x:
+                x = root[x]
+            return x
+
+        out, rest = group[group["outer"]], group[~group["outer"]]
+        if not len(out) or not len(rest):
+            return pd.DataFrame([], columns=["a", "b"], dtype="int64")
+        # All sets of the block in one flat array: an intersection with each is one lookup and one sum.
+        sets = [shingle_set(t, shingle, words) for t in rest["text"]]
+        sizes = np.array([len(x) for x in sets])
+        known, codes = np.unique(np.concatenate(sets), return_inverse=True)
+        starts = np.cumsum(sizes) - sizes
+        ids, comp = rest["doc_id"].to_numpy(), rest["component"].to_numpy()
+        for k, c, t in zip(out["doc_id"], out["component"], out["text"], strict=True):
+            own = shingle_set(t, shingle, words)
+            at = np.minimum(np.searchsorted(known, own), len(known) - 1)
+            hit = np.zeros(len(known), np.int64)
+            hit[at[known[at] == own]] = 1
+            both = np.add.reduceat(hit[codes], starts)
+            for j in np.flatnonzero((100 * both >= percent * (sizes + len(own) - both)) & (comp != c)):
+                x, y = find(c), find(comp[j])
+                if x != y:
+                    root[x] = y
+                    found.append((min(k, ids[j]), max(k, ids[j])))
         return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
 
-    far = dealt.groupBy("key", "lo", "hi").applyInPandas(compare, "a long, b long")
-    return near.unionByName(far).distinct()
+    return dealt.groupBy("key", "lo", "hi").applyInPandas(compare, "a long, b long").distinct()
 
 
 def near_duplicates(
@@ -215,18 +260,25 @@ def near_duplicates(
     buckets = entries.groupBy("key").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1")
     members = settle(entries.join(buckets, "key").select("key", "doc_id", "first", "n"))
     stars = members.where("doc_id <> first").select(F.col("first").alias("a"), F.col("doc_id").alias("b")).distinct()
-    links = _confirmed(settle(_likely(stars, sigs, percent)), docs, shingle, percent)
+    slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+    texts = settle(slim.join(members.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"]))
+    sigs = settle(sigs.select("doc_id", "n_shingles", "sig").join(members.select("doc_id").distinct(), "doc_id", "left_semi"))
     release(spark)
-
+    links = _confirmed(settle(_likely(stars, sigs, percent)), texts, shingle, percent)
     labels = settle(connected_components(links))
-    named = members.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select(
-        "key", "doc_id", F.coalesce("component", "doc_id").alias("component"), "n"
-    )
-    split = named.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count("*").alias("m")).where("x <> y and m > 2")
-    apart = settle(_across(named.join(split, "key", "left_semi"), sigs, percent))
-    if not apart.isEmpty():
-        more = _confirmed(apart, docs, shingle, percent)
-        labels = settle(connected_components(links.unionByName(more)))
+    for salt in (1, 2):
+        named = _named(members, labels)
+        if named.isEmpty():
+            break
+        links = settle(links.unionByName(_confirmed(settle(_likely(_to_pivots(named, salt), sigs, percent)), texts, shingle, percent)))
+        labels = settle(connected_components(links))
+        release(spark)
+    named = _named(members, labels)
+    if not named.isEmpty():
+        small = _confirmed(settle(_likely(_pairs_apart(named.where("n <= 32")), sigs, percent)), texts, shingle, percent)
+        release(spark)
+        large = _links_in_blocks(named.where("n > 32"), texts, shingle, percent)
+        labels = settle(connected_components(links.unionByName(small).unionByName(large)))
     release(spark)
     return (
         prints.select("doc_id", "n_shingles")
