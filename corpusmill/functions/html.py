@@ -121,7 +121,7 @@ def linearize(root: Node, keep_title: bool = False) -> str:
 
     def visit(node: Node, pre: bool) -> None:
         if not node.tag:
-            out.append(node.data if pre else re.sub(r"[ \t\r\n\f]+", " ", node.data))
+            out.append(node.data.replace("\n", "\0") if pre else re.sub(r"[ \t\r\n\f]+", " ", node.data))
             return
         if node.tag in ("script", "style", "noscript", "template") or node.tag == "head" and not keep_title:
             return
@@ -143,8 +143,9 @@ def linearize(root: Node, keep_title: bool = False) -> str:
             out.append("\n")
 
     visit(root, False)
-    lines = (line.strip(" \t") if "<code-encode>" not in line else line for line in "".join(out).split("\n"))
-    return "\n".join(line for line in lines if line.strip())
+    # Line feeds of preformatted text are hidden while the other lines are trimmed.
+    lines = (line.strip(" \t") for line in "".join(out).split("\n"))
+    return "\n".join(line for line in lines if line.strip(" \t\0")).replace("\0", "\n")
 
 
 _SKIP = frozenset("nav header footer aside form script style noscript template button select".split())
