@@ -27,6 +27,7 @@ rows with a null doc_id keep all their bytes; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -176,7 +177,8 @@ def _runs(texts: DataFrame, length: int, bounds: np.ndarray) -> DataFrame:
             known[0] = 0
             rest = grid[mine][np.arange(width)[None, :] >= known[:, None]]
             times = copies[np.searchsorted(new, lo) : np.searchsorted(new, hi)]
-            rows.append((int(p), known.astype("u1").tobytes(), rest.tobytes(), times.astype("<u4").tobytes(), doc[lo:hi].tobytes(), at[lo:hi].astype("<u4").tobytes()))
+            blobs = known.astype("u1"), rest, times.astype("<u4"), doc[lo:hi], at[lo:hi].astype("<u4")
+            rows.append((int(p), *(zlib.compress(x.tobytes(), 1) for x in blobs)))
         return pd.DataFrame(rows, columns=["part", "lcp", "rest", "copies", "doc", "at"])
 
     def send(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -288,6 +290,8 @@ def _merge(runs: DataFrame, length: int, parts: int) -> DataFrame:
     width = length + before
 
     def merge(part: pd.DataFrame) -> pd.DataFrame:
+        for name in ("lcp", "rest", "copies", "doc", "at"):
+            part[name] = part[name].map(zlib.decompress)
         packed = [(unpack_run(lcp, rest, width), lcp) for lcp, rest in zip(part["lcp"], part["rest"], strict=True)]
         order, shared = (np.array(x, np.int64) for x in merge_runs(packed, width))
         # Where each merged string's documents lie in the concatenated runs.
@@ -362,9 +366,10 @@ def repeated_spans(docs: DataFrame, length: int = 50) -> DataFrame:
     shared = _shared(slim, length, parts)
     keyed = firsts.select(F.col("first").alias("doc_id"), F.conv(F.substring("md5", 1, 15), 16, 10).cast("long").alias("owner"))
     sought = settle(keyed.join(shared, "owner").select("doc_id", "h"))
+    del digests, firsts, shared, keyed  # what nobody refers to any more frees its shuffle files
     release(spark)
-    runs = _runs(slim.join(sought, "doc_id"), length, _splitters(slim, parts))
-    spans = settle(_merge(runs, length, parts))
+    spans = settle(_merge(_runs(slim.join(sought, "doc_id"), length, _splitters(slim, parts)), length, parts))
+    del sought
     release(spark)
     return (
         spans.select(F.col("owner").alias("doc_id"), F.col("span").alias("spans"))
