@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import settle
+from ._spark import release, settle
 
 
 def _large_star(edges: DataFrame) -> DataFrame:
@@ -41,6 +41,7 @@ def connected_components(edges: DataFrame) -> DataFrame:
     state = None
     while True:
         now = settle(_small_star(_large_star(now)))
+        release(edges.sparkSession)
         mark = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if tuple(mark) == state:
             break

@@ -259,26 +259,35 @@ def near_duplicates(
     entries = sigs.select("doc_id", F.explode("keys").alias("key"))
     buckets = entries.groupBy("key").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1")
     members = settle(entries.join(buckets, "key").select("key", "doc_id", "first", "n"))
+    del entries, buckets, heads  # what nobody refers to any more frees its shuffle files at the next release
     stars = members.where("doc_id <> first").select(F.col("first").alias("a"), F.col("doc_id").alias("b")).distinct()
     slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     texts = settle(slim.join(members.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"]))
     sigs = settle(sigs.select("doc_id", "n_shingles", "sig").join(members.select("doc_id").distinct(), "doc_id", "left_semi"))
     release(spark)
     links = _confirmed(settle(_likely(stars, sigs, percent)), texts, shingle, percent)
+    del stars
+    release(spark)
     labels = settle(connected_components(links))
+    release(spark)
     for salt in (1, 2):
         named = _named(members, labels)
         if named.isEmpty():
             break
         links = settle(links.unionByName(_confirmed(settle(_likely(_to_pivots(named, salt), sigs, percent)), texts, shingle, percent)))
+        del named
+        release(spark)
         labels = settle(connected_components(links))
         release(spark)
     named = _named(members, labels)
     if not named.isEmpty():
         small = _confirmed(settle(_likely(_pairs_apart(named.where("n <= 32")), sigs, percent)), texts, shingle, percent)
         release(spark)
-        large = _links_in_blocks(named.where("n > 32"), texts, shingle, percent)
+        large = settle(_links_in_blocks(named.where("n > 32"), texts, shingle, percent))
+        release(spark)
         labels = settle(connected_components(links.unionByName(small).unionByName(large)))
+        del small, large
+    del named, links, texts, members, sigs, sets
     release(spark)
     return (
         prints.select("doc_id", "n_shingles")
