@@ -17,6 +17,7 @@ from __future__ import annotations
 import base64
 import gzip
 import hashlib
+import html
 import re
 from collections.abc import Iterator
 
@@ -24,7 +25,22 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import html as H
+_UNSEEN = re.compile(r"<!--.*?(?:-->|$)|<(script|style|noscript|template|head)\b[^>]*>.*?(?:</\1\s*>|$)|<![^>]*>|<\?[^>]*>", re.I | re.S)
+_BREAK = re.compile(
+    r"</?(?:address|article|aside|blockquote|body|br|center|dd|details|dialog|div|dl|dt|fieldset|figcaption|figure|footer|form|h[1-6]|header|hr|html"
+    r"|li|main|nav|ol|option|p|pre|section|table|tbody|tfoot|thead|tr|ul)\b[^>]*>", re.I,
+)
+_CELL, _TAG = re.compile(r"<t[dh]\b[^>]*>", re.I), re.compile(r"</?[A-Za-z][^>]*>")
+_TITLE, _LINK = re.compile(r"<title\b[^>]*>(.*?)</title", re.I | re.S), re.compile(r"<a\s[^>]*\bhref\s*=", re.I)
+_GAP = re.compile(r"[ \r\n\f\t]+")
+
+
+def visible_text(page: str) -> str:
+    """Everything visible of a page: blocks on lines, table cells apart by tabs, entities decoded."""
+    flat = _GAP.sub(" ", _UNSEEN.sub("", page))
+    flat = html.unescape(_TAG.sub("", _CELL.sub("\t", _BREAK.sub("\n", flat))))
+    return "\n".join(line for x in flat.split("\n") if (line := x.strip(" \t")))
+
 
 
 def _digest(block: bytes) -> str:
@@ -59,14 +75,15 @@ def responses(pages: DataFrame) -> DataFrame:
 def _derive(record_id: str, url: str | None, date: str | None, http: str | None, payload: str | None) -> list[tuple]:
     body = (payload or "").encode("utf-8")
     source = _digest(body)
-    root = H.parse(payload)
-    text = H.linearize(root).encode("utf-8")
+    page = payload or ""
+    text = visible_text(page).encode("utf-8")
+    title = _TITLE.search(page)
     conv, meta = _identifier("conversion", record_id), _identifier("metadata", record_id)
     common = [("WARC-Target-URI", url), ("WARC-Date", date), ("WARC-Refers-To", record_id), ("WARC-Payload-Digest", source)]
     kind = next((h.partition(":")[2].strip() for h in (http or "").split("\r\n") if h.lower().startswith("content-type:")), None)
     fields = [
-        ("http-status", (http or "").split("\r\n")[0].partition(" ")[2]), ("http-content-type", kind), ("title", H.title(root)),
-        ("outlinks", str(len(H.links(root)))), ("text-chars", str(len(text.decode()))), ("conversion", conv), ("conversion-digest", _digest(text)),
+        ("http-status", (http or "").split("\r\n")[0].partition(" ")[2]), ("http-content-type", kind), ("title", _GAP.sub(" ", html.unescape(title[1])).strip() if title else ""),
+        ("outlinks", str(len(_LINK.findall(page)))), ("text-chars", str(len(text.decode()))), ("conversion", conv), ("conversion-digest", _digest(text)),
     ]
     about = "".join(f"{k}: {re.sub(r'[\r\n]+', ' ', v)}\r\n" for k, v in fields if v).encode("utf-8")
     out = []

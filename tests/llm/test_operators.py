@@ -251,6 +251,14 @@ def test_warc_round_trip(spark, tables):
     assert gzip.decompress(bytes(packed[0].record)).startswith(b"WARC/1.1\r\n")
 
 
+def test_visible_text_equals_the_tree_walk(tables):
+    from corpusmill.functions import html as H
+
+    for r in tables("pages").collect():
+        assert warc_derivatives.visible_text(r.html) == H.linearize(H.parse(r.html))
+    assert warc_derivatives.visible_text("a < b<br>c&amp;d <!-- x") == "a < b\nc&d"
+
+
 def test_warc_odd_responses(spark):
     rows = [(1, None, None), (2, "http://x/", ""), (2, "http://x/", ""), (None, "u", "<p>hi")]
     got = warc_derivatives.derive(warc_derivatives.responses(spark.createDataFrame(rows, "page_id long, url string, html string"))).collect()
