@@ -202,7 +202,7 @@ def test_warc_source_round_trip(spark, tables, tmp_path):
     assert sorted((r.url, r.payload) for r in binary.select("url", "payload").collect()) == want
     (tmp_path / "bad").mkdir()
     whole = warc.record_bytes("conversion", "http://x/", "text")
-    (tmp_path / "bad" / "a.wet").write_bytes(whole + whole[:-20])
+    (tmp_path / "bad" / "a.wet").write_bytes(whole + whole[:-6])
     (tmp_path / "bad" / "b.warc.gz").write_bytes(gzip.compress(whole)[:-9])
     (tmp_path / "bad" / "c.warc").write_bytes(b"WARC/1.0\r\nWARC-Type: response\r\n\r\n")
     (tmp_path / "bad" / "d.warc").write_bytes(warc.record_bytes("conversion", "http://y/", "").replace(b"Content-Length: 0", b"Content-Length: 2")[:-4] + b"\xff\xfe\r\n\r\n")
