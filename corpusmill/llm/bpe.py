@@ -26,8 +26,10 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._spark import lean
+
 _NONE = np.iinfo(np.int64).max
-MOST_WORDS = 400_000  # of the index in one Python worker; beyond it the index starts anew
+MOST_WORDS = 150_000  # of the index in one Python worker; beyond it the index starts anew
 
 
 def byte_alphabet() -> list[str]:
@@ -185,6 +187,7 @@ def encode_documents(docs: DataFrame, path: str, *, decode: bool = True) -> Data
     ``decoded`` is null with ``decode=False``. The file at ``path`` must exist on every executor.
     """
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         bpe = tokenizer(path)
         for b in batches:
@@ -199,6 +202,7 @@ def encode_documents(docs: DataFrame, path: str, *, decode: bool = True) -> Data
                         "decoded": [bpe.decode(x) if decode else None for x in ids],
                     }
                 )
+        bpe.forget()
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInPandas(
         run, "doc_id long, n_tokens long, ids binary, decoded string"
@@ -208,6 +212,7 @@ def encode_documents(docs: DataFrame, path: str, *, decode: bool = True) -> Data
 def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
     """Rows ``(doc_id, text)`` from ``(doc_id, ids)``; null ids give null."""
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         bpe = tokenizer(path)
         for b in batches:

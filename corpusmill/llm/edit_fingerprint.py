@@ -28,7 +28,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import partitions
+from ._spark import lean, partitions
 from .components import connected_components
 
 SAMPLES, PERIOD, CLASSES = 256, 4096, 256
@@ -102,6 +102,7 @@ def fingerprint(text: str | None) -> str:
 def fingerprints(docs: DataFrame) -> DataFrame:
     """Rows ``(doc_id, fingerprint)`` of whole texts."""
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             yield pd.DataFrame({"doc_id": b["doc_id"], "fingerprint": [fingerprint(t) for t in b["text"]]})

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import release, settle
+from ._spark import lean, release, settle
 from .components import connected_components
 
 HASHES, BANDS = 128, 32  # four rows a band: a pair at 0.8 is missed with probability 5e-8
@@ -51,7 +51,7 @@ class _WordHash(dict):
     """Word to 64-bit hash, filled on demand."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 500_000:
+        if len(self) > 200_000:
             self.clear()
         self[word] = value = xxhash.xxh3_64_intdigest(word)
         return value
@@ -98,6 +98,7 @@ def _band_keys(sig: np.ndarray, bands: int) -> np.ndarray:
 def fingerprints(docs: DataFrame, shingle: int, hashes: int, bands: int, seed: int) -> DataFrame:
     """One narrow pass over the texts: set size, set digest, signature, band keys."""
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         a, b = _constants(hashes, seed)
         words = _WordHash()
@@ -129,6 +130,7 @@ def _likely(pairs: DataFrame, sigs: DataFrame, percent: int) -> DataFrame:
         .where(F.least("n_a", "n_b") * 100 >= F.greatest("n_a", "n_b") * percent)
     )
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for p in batches:
             if not len(p):
@@ -148,6 +150,7 @@ def _linked(s: np.ndarray, t: np.ndarray, percent: int) -> bool:
 def _confirmed(pairs: DataFrame, texts: DataFrame, shingle: int, percent: int) -> DataFrame:
     """Links of ``pairs`` that hold on the full shingle sets of ``texts``."""
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         words, seen = _WordHash(), {}
         for p in batches:

@@ -26,7 +26,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import settle
+from ._spark import lean, settle
 
 CUT = 0.3
 FEATURES = (
@@ -66,6 +66,7 @@ def features(text: str | None) -> list[float]:
 def with_features(docs: DataFrame) -> DataFrame:
     """Rows ``(doc_id, x)``, one per row of ``docs``."""
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             yield pd.DataFrame({"doc_id": b["doc_id"], "x": [features(t) for t in b["text"]]})

@@ -26,6 +26,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ._spark import lean, settle
+
 SYMBOLS = "#*$%&|<>"
 #: metric: (expression over the base columns, least spread, two-sided)
 METRICS = {
@@ -73,6 +75,7 @@ def measure(docs: DataFrame) -> DataFrame:
     """One narrow pass over whole texts: the integer base columns per document."""
     names = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines"]
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             got = pd.DataFrame([_metrics(t) for t in b.pop("text")], columns=names, index=b.index)
@@ -151,7 +154,5 @@ def judge(measured: DataFrame, fences: DataFrame) -> DataFrame:
 
 def quality_verdicts(docs: DataFrame) -> DataFrame:
     """Base metrics, ``base_failed`` and ``kept`` for every row of ``docs``."""
-    from ._spark import settle
-
     measured = settle(measure(docs))  # narrow rows: the texts are read once
     return judge(measured, settle(thresholds(sketches(measured))))

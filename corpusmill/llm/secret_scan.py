@@ -24,6 +24,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._spark import lean
+
 KINDS = ("assign", "access", "hex", "secret", "endpoint")
 SCOPE = 400
 _ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
@@ -75,6 +77,7 @@ def _joined(spans: list[tuple[int, int, int]]) -> str:
 def scan(docs: DataFrame, scope: int = SCOPE) -> DataFrame:
     """Rows ``(doc_id, n_assign, n_access, n_hex, base_sha256, spans)``."""
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             rows = []

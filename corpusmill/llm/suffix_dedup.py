@@ -35,7 +35,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import partitions, release, settle
+from ._spark import lean, partitions, release, settle
 
 GRAM = 24
 _MIX1, _MIX2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
@@ -110,6 +110,7 @@ def _per_owner(dealt: DataFrame, name: str, width: int) -> DataFrame:
 def _shared(texts: DataFrame, length: int, parts: int) -> DataFrame:
     """Rows ``(owner, hashes)``: minimiser hashes of a text that another text has too."""
 
+    @lean
     def send(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         owners, hashes, size = [], [], 0
 
@@ -181,6 +182,7 @@ def _runs(texts: DataFrame, length: int, bounds: np.ndarray) -> DataFrame:
             rows.append((int(p), *(zlib.compress(x.tobytes(), 1) for x in blobs)))
         return pd.DataFrame(rows, columns=["part", "lcp", "rest", "copies", "doc", "at"])
 
+    @lean
     def send(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         grids, docs, ats, size = [], [], [], 0
         for b in batches:
@@ -383,6 +385,7 @@ def deduplicate(docs: DataFrame, length: int = 50, *, texts: bool = True) -> Dat
     spans = repeated_spans(docs, length)
     slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             rows = []

@@ -25,6 +25,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._spark import lean
+
 _UNSEEN = re.compile(r"<!--.*?(?:-->|$)|<(script|style|noscript|template|head)\b[^>]*>.*?(?:</\1\s*>|$)|<![^>]*>|<\?[^>]*>", re.I | re.S)
 _BREAK = re.compile(
     r"</?(?:address|article|aside|blockquote|body|br|center|dd|details|dialog|div|dl|dt|fieldset|figcaption|figure|footer|form|h[1-6]|header|hr|html"
@@ -98,6 +100,7 @@ def _derive(record_id: str, url: str | None, date: str | None, http: str | None,
 def derive(source: DataFrame) -> DataFrame:
     """Two rows per response, with the bytes of each record in ``record``."""
 
+    @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         names = ["page_id", "kind", "record_id", "refers_to", "source_digest", "block_digest", "block_bytes", "record"]
         for b in batches:
