@@ -207,17 +207,20 @@ def _bands(spark, d):
     return minhash.lsh_bands(minhash.minhash_signatures(_snap(spark, d)))
 
 
-@_key()
+@_key(f"with {_BAND} select doc_id, band::int as band, key from bands")
 def lsh_band_keys(spark, d):
     return _bands(spark, d).drop("snapshot")
 
 
-@_key()
+@_key(f"with {_BAND}, z as (select band, key, count(*) as size from bands group by 1, 2) select band::int as band, size, count(*) as buckets from z group by 1, 2")
 def lsh_bucket_sizes(spark, d):
     return _bands(spark, d).groupBy("band", "key").agg(F.count("*").alias("size")).groupBy("band", "size").agg(F.count("*").alias("buckets"))
 
 
-@_key()
+_PAIRS = _BAND + ", pairs as (select x.doc_id as a, y.doc_id as b, count(*) as bands from bands x join bands y on x.band = y.band and x.key = y.key and x.doc_id < y.doc_id group by 1, 2)"
+
+
+@_key(f"with {_PAIRS} select a, b, bands from pairs")
 def lsh_candidate_pairs(spark, d):
     return minhash.candidate_pairs(_bands(spark, d))
 
@@ -227,7 +230,8 @@ def lsh_dropped(spark, d):
     return minhash.dedup_lsh(_bands(spark, d))
 
 
-@_key()
+@_key(f"""with {_BAND}, s as (select doc_id, {SNAP} as snap from documents), m as (select snap, band, key, min(doc_id) as witness from bands join s using (doc_id) group by 1, 2, 3)
+ select doc_id, min(witness) as witness from bands join s using (doc_id) join m using (snap, band, key) where doc_id <> witness group by 1""")
 def lsh_scope_snapshot(spark, d):
     return minhash.dedup_lsh(_bands(spark, d), ("snapshot",))
 
@@ -246,17 +250,21 @@ def lsh_chain_fixture(spark, d):
     return out.select("doc_id", F.coalesce("bucket_drops", F.lit(False)).alias("bucket_drops"), F.coalesce("graph_drops", F.lit(False)).alias("graph_drops"))
 
 
-@_key()
+@_key(f"""with recursive {_PAIRS}, e as (select a, b from pairs union all select b, a from pairs),
+ reach as (select distinct a as x, a as y from e union select reach.x, e.b from reach join e on reach.y = e.a) select x as doc_id, min(y) as component from reach group by 1""")
 def components_labels(spark, d):
     return minhash.dedup_components(minhash.candidate_pairs(_bands(spark, d)))
 
 
-@_key(f'with {_SH}, n as (select doc_id, count(*) as n from hs group by 1), b as (select x.doc_id as a, y.doc_id as b, count(*) as "both" from hs x join hs y on x.h = y.h and x.doc_id < y.doc_id group by 1, 2) select a, b, "both", x.n + y.n - "both" as either from b join n x on x.doc_id = a join n y on y.doc_id = b where "both" * 10 >= (x.n + y.n - "both") * 5')
+_EXACT = f'with {_SH}, n as (select doc_id, count(*) as n from hs group by 1), b as (select x.doc_id as a, y.doc_id as b, count(*) as "both" from hs x join hs y on x.h = y.h and x.doc_id < y.doc_id group by 1, 2) select a, b, "both", x.n + y.n - "both" as either from b join n x on x.doc_id = a join n y on y.doc_id = b where "both" * 10 >= (x.n + y.n - "both") * 5'
+
+
+@_key(_EXACT)
 def jaccard_pairs(spark, d):
     return minhash.jaccard_pairs(_docs(spark, d))
 
 
-@_key()
+@_key(f'with {_PAIRS}, t as (select * from ({_EXACT})) select floor("both" * 10.0e0 / either)::bigint as tenths, count(*) as pairs, count(p.bands) as found from t left join pairs p on p.a = t.a and p.b = t.b group by 1')
 def lsh_vs_exact(spark, d):
     found = minhash.candidate_pairs(_bands(spark, d)).select("a", "b", F.lit(1).alias("hit"))
     t = minhash.jaccard_pairs(_docs(spark, d)).join(found, ["a", "b"], "left")
@@ -386,6 +394,15 @@ def html_title(spark, d):
     return load(spark, d, "pages").select("page_id", F.regexp_extract("html", "<title>([^<]*)</title>", 1).alias("title"), F.regexp_count("html", F.lit("<a href=")).alias("n_links"))
 
 
+@_key("""select page_id, len(a)::int as n_links, len(list_filter(a, lambda x: starts_with(x, 'http')))::int as n_absolute, len(regexp_extract_all(regexp_extract(html, '(?s)<nav>.*?</nav>'), '<a href='))::int as n_nav_links
+ from (select page_id, html, regexp_extract_all(html, '<a href="([^"]*)"', 1) as a from pages)""")
+def html_links(spark, d):
+    """Links of a page: all, absolute ones, and those inside the navigation."""
+    a = F.regexp_extract_all("html", F.lit('<a href="([^"]*)"'), F.lit(1))
+    nav = F.regexp_count(F.regexp_extract("html", "(?s)<nav>.*?</nav>", 0), F.lit("<a href="))
+    return load(spark, d, "pages").select("page_id", F.size(a).alias("n_links"), F.size(F.filter(a, lambda x: x.startswith("http"))).alias("n_absolute"), nav.alias("n_nav_links"))
+
+
 def _code(spark, d):
     return X.derived(spark, d, X.code_sql())
 
@@ -548,7 +565,13 @@ def choice_questions_any_order(spark, d):
     return extract.choice_rows(_choice(spark, d), "any").select("doc_id", "style", "answer")
 
 
-@_key()
+_WRITTEN = """array_to_string(list_transform(range(n), lambda i: chr((65 + i)::int) || '. ' || rtrim('opt' || i || ' ' || array_to_string(w[9 + 2 * i:10 + 2 * i], ' '))), chr(10))"""
+
+
+@_key(f"""select doc_id, q.first::bigint as first, md5(rtrim('stem ' || array_to_string(w[1:6], ' ')) || chr(10) || {_WRITTEN} || chr(10) || 'Answer: ' || answer || more) as md5
+ from (select conv_id as doc_id, conv_id % 8 as m, string_split(replace(arg_min(text, turn), chr(10), ' '), ' ') as w from conversations where role = 'user' group by conv_id)
+ join (values (0, 4, 'b', ''), (1, 3, '2', chr(10) || 'Explanation: it follows'), (2, 4, 'i', ''), (6, 3, 'a', ''), (7, 2, 'a', '')) p(m, n, answer, more) using (m)
+ join (values (0, 2), (1, 2), (2, 2), (6, 2), (7, 2), (7, 6)) q(m, first) using (m)""")
 def choice_formatted(spark, d):
     return tracks.choice_qa_track().run(_choice(spark, d)).df.select("doc_id", "first", F.md5("formatted").alias("md5"))
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -10,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..sources import warc
 from ..sources.tables import load
 
 _COUNT = f"select doc_id, len({T.SQL_WORDS})::bigint as n from documents"
@@ -81,11 +83,21 @@ def _round_trip(fmt: str):
     return run
 
 
+def io_roundtrip_warc(spark, d):
+    """Pages written as WARC responses into the shared folder and read again through Spark's own file reader."""
+    spark.dataSource.register(warc.WarcSource)
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="corpusmill-")
+    path = f"{base}/io-warc-{uuid.uuid4().hex}"
+    local = path.removeprefix("file://").removeprefix("file:")  # the writer opens files itself
+    load(spark, d, "pages").select("url", F.col("html").alias("payload")).write.format("warc").mode("append").save(local)
+    return warc.read_binary(spark, f"{path}/*.warc.gz").select("url", "type", F.md5("payload").alias("html_md5"))
+
+
 _TRIP = "select doc_id, lang, source, md5(text) as text_md5 from documents"
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = {f.__name__: f for f in (udf_pandas, udf_iterator, udaf_grouped, udtf_lines, sql_udf)}
+    found = {f.__name__: f for f in (udf_pandas, udf_iterator, udaf_grouped, udtf_lines, sql_udf, io_roundtrip_warc)}
     return found | {f"io_roundtrip_{x}": _round_trip(x) for x in ("parquet", "json", "csv", "orc")}
 
 
@@ -94,5 +106,6 @@ def oracle_sql() -> dict[str, str]:
     return {
         "udf_pandas": _COUNT, "udf_iterator": _COUNT, "udtf_lines": lines,
         "udaf_grouped": f"select lang, max(length(p))::bigint as longest from (select lang, unnest({T.SQL_PARAGRAPHS}) as p from documents) group by 1",
+        "io_roundtrip_warc": "select url, 'response' as type, md5(html) as html_md5 from pages",
         "sql_udf": "select doc_id, case when n_chars < 300 then 'short' else 'long' end as size_class from documents",
     } | {f"io_roundtrip_{x}": _TRIP for x in ("parquet", "json", "csv", "orc")}

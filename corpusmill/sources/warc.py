@@ -14,6 +14,7 @@ import gzip
 import os
 import uuid
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -84,17 +85,33 @@ class _Reader(DataSourceReader):
                     yield (None, None, None, None, {}, None, f"broken member: {type(e).__name__}")
 
 
+@dataclass
+class _Written(WriterCommitMessage):
+    name: str
+
+
 class _Writer(DataSourceWriter):
     def __init__(self, path: str, kind: str):
         self.path, self.kind = path, kind
 
     def write(self, rows):
         os.makedirs(self.path, exist_ok=True)
-        name = os.path.join(self.path, f"part-{uuid.uuid4().hex}.warc.gz")
-        with open(name, "wb") as f:
+        name = f"part-{uuid.uuid4().hex}.warc.gz"
+        with open(os.path.join(self.path, f".{name}"), "wb") as f:
             for r in rows:
                 f.write(gzip.compress(record_bytes(self.kind, r["url"], r["payload"]), 6, mtime=0))
-        return WriterCommitMessage()
+        return _Written(name)
+
+    def commit(self, messages):
+        """Show the files of the attempts that count; what lost attempts wrote stays hidden."""
+        for m in messages:
+            if m is not None:
+                os.replace(os.path.join(self.path, f".{m.name}"), os.path.join(self.path, m.name))
+
+    def abort(self, messages):
+        for m in messages:
+            if m is not None and os.path.exists(hidden := os.path.join(self.path, f".{m.name}")):
+                os.remove(hidden)
 
 
 class WarcSource(DataSource):

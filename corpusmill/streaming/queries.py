@@ -7,6 +7,7 @@ batch result.
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -56,6 +57,27 @@ def stream_session(spark, d):
     return _final(got, "complete").select("user_id", F.date_format("session_window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
 
 
+def stream_watermark_late(spark, d):
+    """Events per day where every twentieth event arrives two arrivals late, beyond the watermark unless its day is still open.
+
+    Arrivals hold six days each and are replayed one file at a time. In update
+    mode a window is written as often as it grows; its last count is its state.
+    """
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="corpusmill-")
+    path = f"{base}/arrivals-{uuid.uuid4().hex}"
+    e = load(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    late = F.when(F.col("event_id") % 20 == 0, 2).otherwise(0)
+    e = e.withColumn("arrival", F.floor(F.datediff("ts", F.lit("2024-01-01")) / 6) + late)
+    lo, hi = e.agg(F.min("arrival"), F.max("arrival")).first()
+    for k in range(lo, hi + 1) if lo is not None else ():
+        e.where(F.col("arrival") == k).select("event_id", "ts").coalesce(1).write.mode("append").parquet(path)  # one file is one arrival
+    if lo is None:
+        e.select("event_id", "ts").write.parquet(path)
+    stream = spark.readStream.schema("event_id long, ts timestamp").option("maxFilesPerTrigger", 1).parquet(path)
+    got = stream.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
+    return _final(got, "update").groupBy(F.date_format("window.start", "yyyy-MM-dd").alias("day")).agg(F.max("n").alias("n"))
+
+
 def stream_dedup(spark, d):
     """First event of each user and kind and day, by keys within the watermark."""
     e = _events(spark, d).withColumn("day", F.date_format("ts", "yyyy-MM-dd")).withWatermark("ts", "2 days")
@@ -116,6 +138,7 @@ ORACLES = {
     "stream_tumbling": "select strftime(ts, '%Y-%m-%d') as day, event_type, count(*) as n from events group by 1, 2",
     "stream_sliding": "select strftime(s, '%Y-%m-%d %H:%M') as start, count(*) as n from (select date_trunc('hour', ts) - to_hours(k) as s from events cross join (values (0), (1)) v(k)) group by 1",
     "stream_session": "with g as (select user_id, ts, case when ts - lag(ts) over w < interval 8 hours then 0 else 1 end as new from events window w as (partition by user_id order by ts)), i as (select *, sum(new) over (partition by user_id order by ts) as s from g) select user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') as start, count(*) as n from i group by user_id, s",
+    "stream_watermark_late": "with e as (select event_id, strftime(ts, '%Y-%m-%d') as day, date_diff('day', date '2024-01-01', ts::date) as i from events), k as (select *, max(i) filter (event_id % 20 <> 0) over (partition by i // 6) as open_day from e) select day, count(*) as n from k where event_id % 20 <> 0 or i = open_day group by 1",
     "stream_dedup": "select distinct user_id, event_type, strftime(ts, '%Y-%m-%d') as day from events",
     "stream_static_join": "select doc_id, lang, quality from documents join labels using (doc_id)",
     "stream_stream_join": "select c.event_id as click_id, p.event_id as purchase_id from events c join events p on c.event_type = 'click' and p.event_type = 'purchase' and c.user_id = p.user_id and p.ts >= c.ts and p.ts <= c.ts + interval 1 hour",
@@ -124,7 +147,7 @@ ORACLES = {
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [stream_tumbling, stream_sliding, stream_session, stream_dedup, stream_static_join, stream_stream_join, stream_funnel, stream_incremental_lsh]
+    found = [stream_tumbling, stream_sliding, stream_session, stream_watermark_late, stream_dedup, stream_static_join, stream_stream_join, stream_funnel, stream_incremental_lsh]
     return {f.__name__: f for f in found}
 
 
