@@ -148,6 +148,18 @@ def _shared(texts: DataFrame, length: int, parts: int) -> DataFrame:
     return _per_owner(met, "h", 8)
 
 
+def _packed(texts: DataFrame) -> DataFrame:
+    """Rows ``(doc_id, packed)``: each text's bytes compressed before they are shuffled by id; null stays null."""
+
+    @lean
+    def pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            packed = [None if t is None else zlib.compress(t.encode("utf-8"), 1) for t in b["text"]]
+            yield pd.DataFrame({"doc_id": b["doc_id"], "packed": pd.Series(packed, b.index, object)})
+
+    return texts.select("doc_id", "text").mapInPandas(pack, "doc_id long, packed binary")
+
+
 def _splitters(docs: DataFrame, parts: int) -> np.ndarray:
     """Bounds of the suffix ranges, from a few texts; they shape tasks, not results."""
     rows = docs.select("text").where("text is not null").limit(300).collect()
@@ -186,8 +198,8 @@ def _runs(texts: DataFrame, length: int, bounds: np.ndarray) -> DataFrame:
     def send(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         grids, docs, ats, size = [], [], [], 0
         for b in batches:
-            for doc, text, h in zip(b["doc_id"], b["text"], b["h"], strict=True):
-                raw = np.frombuffer(text.encode("utf-8"), np.uint8)
+            for doc, packed, h in zip(b["doc_id"], b["packed"], b["h"], strict=True):
+                raw = np.frombuffer(zlib.decompress(packed), np.uint8)
                 at, own = minimisers(raw, length)
                 at = at[np.isin(own, np.frombuffer(h, "<u8"))]
                 if not len(at):
@@ -206,7 +218,7 @@ def _runs(texts: DataFrame, length: int, bounds: np.ndarray) -> DataFrame:
         if size:
             yield run_of(np.concatenate(grids), np.concatenate(docs), np.concatenate(ats))
 
-    return texts.select("doc_id", "text", "h").mapInPandas(send, "part long, lcp binary, rest binary, copies binary, doc binary, at binary")
+    return texts.select("doc_id", "packed", "h").mapInPandas(send, "part long, lcp binary, rest binary, copies binary, doc binary, at binary")
 
 
 def unpack_run(lcp: bytes, rest: bytes, width: int) -> list[bytes]:
@@ -337,9 +349,9 @@ def _merge(runs: DataFrame, length: int, parts: int) -> DataFrame:
     return _per_owner(met, "span", 8)
 
 
-def _cut(text: str | None, spans: bytes | None, whole: bool, length: int) -> tuple[int, int, int, bytes]:
-    """``(bytes, removed, stretches, what is left)`` of a text."""
-    raw = (text or "").encode("utf-8")
+def _cut(packed: bytes | None, spans: bytes | None, whole: bool, length: int) -> tuple[int, int, int, bytes]:
+    """``(bytes, removed, stretches, what is left)`` of a packed text."""
+    raw = zlib.decompress(packed) if packed is not None else b""
     if whole and len(raw) >= length:
         return len(raw), len(raw), 1, b""
     if not spans or whole:
@@ -362,7 +374,8 @@ def repeated_spans(docs: DataFrame, length: int = 50) -> DataFrame:
     spark = docs.sparkSession
     parts = partitions(spark)
     slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null and text is not null")
-    digests = slim.where(F.octet_length("text") >= length).select("doc_id", F.md5("text").alias("md5"))
+    long = slim.where(F.octet_length("text") >= length)
+    digests = long.select("doc_id", F.md5("text").alias("md5"))
     firsts = digests.groupBy("md5").agg(F.min("doc_id").alias("first"))
     whole = settle(digests.join(firsts, "md5").where("doc_id <> first").select("doc_id").distinct())
     shared = _shared(slim, length, parts)
@@ -370,7 +383,7 @@ def repeated_spans(docs: DataFrame, length: int = 50) -> DataFrame:
     sought = settle(keyed.join(shared, "owner").select("doc_id", "h"))
     del digests, firsts, shared, keyed  # what nobody refers to any more frees its shuffle files
     release(spark)
-    spans = settle(_merge(_runs(slim.join(sought, "doc_id"), length, _splitters(slim, parts)), length, parts))
+    spans = settle(_merge(_runs(_packed(long).join(sought, "doc_id"), length, _splitters(slim, parts)), length, parts))
     del sought
     release(spark)
     return (
@@ -389,12 +402,12 @@ def deduplicate(docs: DataFrame, length: int = 50, *, texts: bool = True) -> Dat
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             rows = []
-            for text, span, whole in zip(b["text"], b["spans"], b["whole"], strict=True):
-                *counts, kept = _cut(text, span, whole is True or whole == True, length)  # noqa: E712
+            for packed, span, whole in zip(b["packed"], b["spans"], b["whole"], strict=True):
+                *counts, kept = _cut(packed, span, whole is True or whole == True, length)  # noqa: E712
                 rows.append((*counts, hashlib.sha256(kept).hexdigest(), kept if texts else None))
             got = pd.DataFrame(rows, columns=["n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"], index=b.index)
             yield pd.concat([b[["doc_id"]], got], axis=1)
 
-    return slim.join(spans, "doc_id", "left").mapInPandas(
+    return _packed(slim).join(spans, "doc_id", "left").mapInPandas(
         run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
     )
