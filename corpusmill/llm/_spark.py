@@ -8,8 +8,11 @@ import gc
 import tempfile
 from collections.abc import Callable, Iterator
 
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 
 def settle(df: DataFrame) -> DataFrame:
@@ -60,3 +63,19 @@ def lean(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
             _trim()
 
     return passed
+
+
+def map_frames(df: DataFrame, run: Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]], schema: str) -> DataFrame:
+    """``mapInPandas`` whose long columns are nullable integers.
+
+    Spark turns a long column with a null into floats, which merge ids beyond
+    2**53; here an id stays exact beside a null one.
+    """
+    given = to_arrow_schema(StructType.fromDDL(schema))
+
+    def passed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        frames = (b.to_pandas(types_mapper={pa.int64(): pd.Int64Dtype()}.get) for b in batches)
+        for out in run(frames):
+            yield pa.RecordBatch.from_pandas(out, given, preserve_index=False)
+
+    return df.mapInArrow(passed, schema)

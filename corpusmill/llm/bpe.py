@@ -26,7 +26,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean
+from ._spark import lean, map_frames
 
 _NONE = np.iinfo(np.int64).max
 MOST_WORDS = 150_000  # of the index in one Python worker; beyond it the index starts anew
@@ -204,8 +204,8 @@ def encode_documents(docs: DataFrame, path: str, *, decode: bool = True) -> Data
                 )
         bpe.forget()
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInPandas(
-        run, "doc_id long, n_tokens long, ids binary, decoded string"
+    return map_frames(
+        docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, n_tokens long, ids binary, decoded string"
     )
 
 
@@ -218,6 +218,6 @@ def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
         for b in batches:
             yield pd.DataFrame({"doc_id": b["doc_id"], "text": [None if x is None else bpe.decode(np.frombuffer(x, "<u4")) for x in b["ids"]]})
 
-    return encoded.select("doc_id", "ids").mapInPandas(run, "doc_id long, text string")
+    return map_frames(encoded.select("doc_id", "ids"), run, "doc_id long, text string")
 
 

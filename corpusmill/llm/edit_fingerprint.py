@@ -28,7 +28,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean, partitions
+from ._spark import lean, map_frames, partitions
 from .components import connected_components
 
 SAMPLES, PERIOD, CLASSES = 256, 4096, 256
@@ -107,7 +107,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
         for b in batches:
             yield pd.DataFrame({"doc_id": b["doc_id"], "fingerprint": [fingerprint(t) for t in b["text"]]})
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInPandas(run, "doc_id long, fingerprint string")
+    return map_frames(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, fingerprint string")
 
 
 def near_groups(prints: DataFrame, *, least: float = 0.8, bands: int = 32, digits: int = 6, seed: int = 5) -> DataFrame:

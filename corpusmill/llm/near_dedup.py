@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean, release, settle
+from ._spark import lean, map_frames, release, settle
 from .components import connected_components
 
 HASHES, BANDS = 128, 32  # four rows a band: a pair at 0.8 is missed with probability 5e-8
@@ -116,8 +116,8 @@ def fingerprints(docs: DataFrame, shingle: int, hashes: int, bands: int, seed: i
                     digests.append(None), sigs.append(None), keys.append(None)
             yield pd.DataFrame({"doc_id": batch["doc_id"], "n_shingles": sizes, "digest": digests, "sig": sigs, "keys": keys})
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInPandas(
-        run, "doc_id long, n_shingles long, digest binary, sig binary, keys array<long>"
+    return map_frames(
+        docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, n_shingles long, digest binary, sig binary, keys array<long>"
     )
 
 

@@ -26,7 +26,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean, settle
+from ._spark import lean, map_frames, settle
 
 CUT = 0.3
 FEATURES = (
@@ -71,7 +71,7 @@ def with_features(docs: DataFrame) -> DataFrame:
         for b in batches:
             yield pd.DataFrame({"doc_id": b["doc_id"], "x": [features(t) for t in b["text"]]})
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInPandas(run, "doc_id long, x array<double>")
+    return map_frames(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, x array<double>")
 
 
 @dataclass

@@ -26,7 +26,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean, settle
+from ._spark import lean, map_frames, settle
 
 SYMBOLS = "#*$%&|<>"
 #: metric: (expression over the base columns, least spread, two-sided)
@@ -82,7 +82,7 @@ def measure(docs: DataFrame) -> DataFrame:
             yield pd.concat([b, got], axis=1)
 
     picked = docs.select(F.col("doc_id").cast("long"), "lang", "source", F.col("text").cast("string"))
-    return picked.mapInPandas(run, "doc_id long, lang string, source string, " + ", ".join(f"{n} long" for n in names))
+    return map_frames(picked, run, "doc_id long, lang string, source string, " + ", ".join(f"{n} long" for n in names))
 
 
 def bucket(v: Column) -> Column:

@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean
+from ._spark import lean, map_frames
 
 KINDS = ("assign", "access", "hex", "secret", "endpoint")
 SCOPE = 400
@@ -89,8 +89,8 @@ def scan(docs: DataFrame, scope: int = SCOPE) -> DataFrame:
             got = pd.DataFrame(rows, columns=["n_assign", "n_access", "n_hex", "base_sha256", "spans"], index=b.index)
             yield pd.concat([b[["doc_id"]], got], axis=1)
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInPandas(
-        run, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string"
+    return map_frames(
+        docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string"
     )
 
 

@@ -35,7 +35,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean, partitions, release, settle
+from ._spark import lean, map_frames, partitions, release, settle
 
 GRAM = 24
 _MIX1, _MIX2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
@@ -157,7 +157,7 @@ def _packed(texts: DataFrame) -> DataFrame:
             packed = [None if t is None else zlib.compress(t.encode("utf-8"), 1) for t in b["text"]]
             yield pd.DataFrame({"doc_id": b["doc_id"], "packed": pd.Series(packed, b.index, object)})
 
-    return texts.select("doc_id", "text").mapInPandas(pack, "doc_id long, packed binary")
+    return map_frames(texts.select("doc_id", "text"), pack, "doc_id long, packed binary")
 
 
 def _splitters(docs: DataFrame, parts: int) -> np.ndarray:
@@ -408,6 +408,6 @@ def deduplicate(docs: DataFrame, length: int = 50, *, texts: bool = True) -> Dat
             got = pd.DataFrame(rows, columns=["n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"], index=b.index)
             yield pd.concat([b[["doc_id"]], got], axis=1)
 
-    return _packed(slim).join(spans, "doc_id", "left").mapInPandas(
-        run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
+    return map_frames(
+        _packed(slim).join(spans, "doc_id", "left"), run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
     )

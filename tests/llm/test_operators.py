@@ -304,3 +304,18 @@ def test_repeated_rows_and_null_ids(spark):
         edit_fingerprint.compare_edits(docs), quality_model.quality_scores(docs, none), mixture_fit.mix(docs), secret_scan.scan(docs), secret_scan.redact(docs),
     ]
     assert [r.count() for r in results] == [4] * len(results)
+
+
+def test_wide_ids_stay_exact_beside_null_ids(spark):
+    wide = [2**60 + 1, 2**60 + 3]
+    rows = [(i, f"some words of text {i} and password: hunter22 twice", "en", "s") for i in [*wide, None]]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").coalesce(1)
+    none = spark.createDataFrame([], "doc_id long, quality int")
+    encoded = bpe.encode_documents(docs, queries.tokenizer_path())
+    results = [
+        near_dedup.near_duplicates(docs), quality_rules.quality_verdicts(docs), encoded, bpe.decode_documents(encoded, queries.tokenizer_path()),
+        suffix_dedup.deduplicate(docs), edit_fingerprint.fingerprints(docs), edit_fingerprint.compare_edits(docs), quality_model.quality_scores(docs, none),
+        mixture_fit.mix(docs), secret_scan.scan(docs), secret_scan.redact(docs),
+    ]
+    got = [sorted((r.doc_id for r in x.select("doc_id").collect()), key=lambda v: -1 if v is None else v) for x in results]
+    assert got == [[None, *wide]] * len(results)
