@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -14,50 +15,116 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import hash60
-
-MOST_GRAMS, MOST_CHARS, SHARPNESS = 20_000, 2_000, 12.0
-
-
-def _letters(text: str | None) -> str:
-    return "".join(c if c.isalpha() else " " for c in (text or "")[:MOST_CHARS].lower())
-
-
-def _grams(text: str | None) -> list[str]:
-    s = " ".join(_letters(text).split())
-    return [s[i : i + n] for n in (1, 2, 3) for i in range(len(s) - n + 1)]
+from .joins import salted_join
+
+SHARPNESS, BLOCK, SALTS = 12.0, 2**18, 16
+#: Counts a driver and a worker can hold; a larger model stays a table and is joined.
+BROADCAST_COUNTS = 500_000
+_BITS = np.uint64(21)
+
+
+@functools.cache
+def _alphabet() -> np.ndarray:
+    return np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
+
+
+def _merged(keys: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    if not len(keys):
+        return keys, n
+    order = np.argsort(keys, kind="stable")
+    keys, n = keys[order], n[order]
+    starts = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+    return keys[starts], np.add.reduceat(n, starts)
+
+
+def gram_counts(text: str | None) -> tuple[np.ndarray, np.ndarray]:
+    """Character 1-3-grams of a whole text as sorted numbers, and how often each occurs.
+
+    Letters are lower-cased, runs of all else are one space. A gram is its code
+    points, 21 bits each. Texts are counted block by block.
+    """
+    codes = np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32)
+    letter = _alphabet()[codes]
+    codes = np.where(letter, codes, np.uint32(32))[letter | np.concatenate([[False], letter[:-1]])[: len(letter)]]
+    if len(codes) and codes[-1] == 32:
+        codes = codes[:-1]
+    found = [(np.empty(0, np.int64), np.empty(0, np.int64))]
+    for at in range(0, len(codes), BLOCK):
+        w = np.zeros(min(BLOCK, len(codes) - at) + 2, np.uint64)
+        part = codes[at : at + BLOCK + 2]
+        w[: len(part)] = part
+        found.append(np.unique((w[:-2] | w[1:-1] << _BITS | w[2:] << _BITS * np.uint64(2)).view(np.int64), return_counts=True))
+    threes, n = _merged(*map(np.concatenate, zip(*found, strict=True)))
+    # A text ends in empty places, so its grams of one and two are those that its threes begin with.
+    heads = [(threes & (2**21 - 1), n)] + [(threes[has] & mask, n[has]) for has, mask in ((threes >> 21 > 0, 2**42 - 1), (threes >> 42 > 0, -1))]
+    return _merged(*map(np.concatenate, zip(*heads, strict=True)))
+
+
+def _count_grams(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Partial counts by label; handed on whenever they have grown large."""
+    for b in batches:
+        for label, texts in b.groupby("label")["text"]:
+            kept, size = [], 0
+            for k, t in enumerate(texts, 1):
+                kept.append(gram_counts(t))
+                size += len(kept[-1][0])
+                if size > 2**20 or k == len(texts):
+                    g, n = _merged(*map(np.concatenate, zip(*kept, strict=True)))
+                    yield pd.DataFrame({"label": label, "g": g, "n": n})
+                    kept, size = [], 0
 
 
 def train_language_model(df: DataFrame, label: str = "lang") -> dict:
-    """Log probabilities of character 1-3-grams: counted in Spark, at most ``MOST_GRAMS`` a language on the driver."""
-    udf = F.pandas_udf(lambda s: s.map(_grams), "array<string>")
-    counts = df.where(F.col(label).isNotNull()).select(label, F.explode(udf("text")).alias("g")).groupBy(label, "g").agg(F.count("*").alias("n"))
-    rank = F.row_number().over(Window.partitionBy(label).orderBy(F.desc("n"), "g"))
-    rows = counts.withColumn("r", rank).where(F.col("r") <= MOST_GRAMS).collect()
-    langs = sorted({r[label] for r in rows})
-    total = {k: sum(r.n for r in rows if r[label] == k) for k in langs}
-    vocab = sorted({r.g for r in rows})
-    index = {g: i for i, g in enumerate(vocab)}
-    table = np.zeros((len(vocab), len(langs)))
-    for r in rows:
-        table[index[r.g], langs.index(r[label])] = r.n
-    logs = np.log((table + 0.5) / (np.array([total[k] for k in langs]) + 0.5 * len(vocab)))
-    return {"langs": langs, "index": index, "logs": logs}
+    """Log probabilities of all character 1-3-grams of whole texts, counted in Spark.
+
+    Up to ``BROADCAST_COUNTS`` counts make arrays; beyond that the model holds
+    a table with one row a gram.
+    """
+    texts = df.where(F.col(label).isNotNull()).select(F.col(label).cast("string").alias("label"), "text")
+    counts = texts.mapInPandas(_count_grams, "label string, g long, n long").groupBy("label", "g").agg(F.sum("n").alias("n"))
+    rows = counts.limit(BROADCAST_COUNTS + 1).collect()
+    if len(rows) > BROADCAST_COUNTS:
+        return _language_table(counts)
+    langs = sorted({r.label for r in rows})
+    grams, row = np.unique(np.array([r.g for r in rows], np.int64), return_inverse=True)
+    at = {k: i for i, k in enumerate(langs)}
+    table = np.zeros((len(grams), len(langs)))
+    table[row, [at[r.label] for r in rows]] = [r.n for r in rows]
+    return {"langs": langs, "grams": grams, "logs": np.log((table + 0.5) / (table.sum(axis=0) + 0.5 * len(grams)))}
+
+
+def _language_table(counts: DataFrame) -> dict:
+    totals = {r.label: r.t for r in counts.groupBy("label").agg(F.sum("n").alias("t")).collect()}
+    langs = sorted(totals)
+    grams = counts.select("g").distinct().count()
+    n = lambda k: F.coalesce(F.sum(F.when(F.col("label") == k, F.col("n"))), F.lit(0))
+    logs = [F.log((n(k) + 0.5) / F.lit(totals[k] + 0.5 * grams)).alias(f"w{i}") for i, k in enumerate(langs)]
+    return {"langs": langs, "table": counts.groupBy("g").agg(*logs)}
+
+
+def _verdict(mean: np.ndarray, langs: list[str]) -> tuple[str, float]:
+    p = np.exp((mean - mean.max()) * SHARPNESS)
+    p /= p.sum()
+    best = int(p.argmax())
+    return langs[best], float(p[best])
 
 
 def language_of(text: str | None, model: dict) -> tuple[str, float]:
-    """Language and confidence: softmax over sharpened mean log-likelihoods."""
-    at = [i for i in map(model["index"].get, _grams(text)) if i is not None]
-    if not at:
+    """Language and confidence: softmax over sharpened mean log-likelihoods of a whole text."""
+    g, n = gram_counts(text)
+    known = model["grams"]
+    at = np.searchsorted(known, g)
+    hit = at < len(known)
+    hit[hit] = known[at[hit]] == g[hit]
+    if not hit.any():
         return "und", 0.0
-    mean = model["logs"][at].mean(axis=0) * SHARPNESS
-    p = np.exp(mean - mean.max())
-    p /= p.sum()
-    best = int(p.argmax())
-    return model["langs"][best], float(p[best])
+    return _verdict(n[hit] @ model["logs"][at[hit]] / n[hit].sum(), model["langs"])
 
 
 def score_language(df: DataFrame, model: dict) -> DataFrame:
-    """Adds ``lang_pred`` and ``lang_prob``. The model is bounded by languages times ``MOST_GRAMS`` and broadcast."""
+    """Adds ``lang_pred`` and ``lang_prob``: arrays of a model are broadcast, its table is joined."""
+    if "table" in model:
+        return _score_by_join(df, model)
     shared = df.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
@@ -68,6 +135,27 @@ def score_language(df: DataFrame, model: dict) -> DataFrame:
     return df.withColumn("_l", F.pandas_udf(run, "lang_pred string, lang_prob double")("text")).select(*df.columns, "_l.*")
 
 
+def _score_by_join(df: DataFrame, model: dict) -> DataFrame:
+    """Texts are scored once each, under their digest; their grams meet the table in a salted join."""
+    langs = model["langs"]
+    digest = F.sha2(F.coalesce("text", F.lit("")), 256)
+
+    def grams(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for h, t in zip(b["_h"], b["text"], strict=True):
+                g, n = gram_counts(t)
+                yield pd.DataFrame({"_h": h, "g": g, "n": n})
+
+    texts = df.select(digest.alias("_h"), "text").dropDuplicates(["_h"])
+    met = salted_join(texts.mapInPandas(grams, "_h string, g long, n long"), model["table"], ["g"], SALTS, F.xxhash64("_h"))
+    means = F.array(*[F.sum(F.col("n") * F.col(f"w{i}")) / F.sum("n") for i in range(len(langs))])
+    scored = met.groupBy("_h").agg(means.alias("_m"))
+    verdict = F.pandas_udf(lambda s: pd.DataFrame([_verdict(np.asarray(m), langs) for m in s], columns=["lang_pred", "lang_prob"]), "lang_pred string, lang_prob double")
+    told = scored.select("_h", verdict("_m").alias("_l")).select("_h", "_l.*")
+    out = df.withColumn("_h", digest).join(told, "_h", "left")
+    return out.select(*df.columns, F.coalesce("lang_pred", F.lit("und")).alias("lang_pred"), F.coalesce("lang_prob", F.lit(0.0)).alias("lang_prob"))
+
+
 def keep_language(df: DataFrame, lang: str = "en", threshold: float = 0.5) -> DataFrame:
     return df.where((F.col("lang_pred") == lang) & (F.col("lang_prob") >= threshold))
 

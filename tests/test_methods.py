@@ -164,6 +164,28 @@ def test_language_and_quality_models(spark, tables):
     assert models.language_of("", model) == ("und", 0.0)
 
 
+def test_language_is_told_from_whole_texts(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    word = lambda letters: "".join(rng.choice(list(letters), 5))
+    texts = {k: " ".join(word(a) for _ in range(3000)) for k, a in (("aa", "abcdefgh"), ("bb", "klmnopqr"))}
+    wide = "".join(chr(0x4E00 + k) for k in range(20_902))  # more grams than the cut let through
+    rows = [(1, "aa", texts["aa"]), (2, "bb", texts["bb"]), (3, "cc", wide), (4, None, texts["aa"][:2500] + " " + texts["bb"]), (5, None, texts["bb"][:2500] + " " + texts["aa"]), (6, None, "?"), (7, None, None)]
+    df = spark.createDataFrame(rows, "doc_id long, lang string, text string")
+    model = models.train_language_model(df)
+    got = {r.doc_id: (r.lang_pred, r.lang_prob) for r in models.score_language(df, model).collect()}
+    assert [got[k][0] for k in range(1, 8)] == ["aa", "bb", "cc", "bb", "aa", "und", "und"]
+    assert len(model["grams"]) >= 3 * 20_000
+    monkeypatch.setattr(models, "BLOCK", 7)
+    plain = lambda t: {t[i : i + n]: 0 for n in (1, 2, 3) for i in range(len(t) - n + 1)}
+    g, n = models.gram_counts("Ab-- cd,1 ABAB ab. ")
+    assert len(g) == len(plain("ab cd abab ab")) and n.sum() == 13 + 12 + 11
+    monkeypatch.setattr(models, "BROADCAST_COUNTS", 10)
+    joined = models.train_language_model(df)
+    assert "table" in joined
+    far = {r.doc_id: (r.lang_pred, r.lang_prob) for r in models.score_language(df, joined).collect()}
+    assert all(far[k][0] == got[k][0] and abs(far[k][1] - got[k][1]) < 1e-9 for k in got)
+
+
 def test_scorer_is_loaded_per_worker(spark, tables):
     class Length(models.Scorer):
         def load(self):
