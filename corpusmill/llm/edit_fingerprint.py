@@ -28,8 +28,9 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean, map_frames, partitions
+from ._spark import lean, map_frames, partitions, release, settle
 from .components import connected_components
+from .near_dedup import BLOCK, _named, _to_pivots
 
 SAMPLES, PERIOD, CLASSES = 256, 4096, 256
 _DIGITS = np.frombuffer(b"0123456789abcdef", np.uint8)
@@ -110,29 +111,119 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return map_frames(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, fingerprint string")
 
 
-def near_groups(prints: DataFrame, *, least: float = 0.8, bands: int = 32, digits: int = 6, seed: int = 5) -> DataFrame:
-    """Rows ``(doc_id, component_id)`` of documents with a likeness of ``least`` or more.
+def _verified(pairs: DataFrame, heads: DataFrame, least: float) -> DataFrame:
+    """Links of ``pairs`` that hold on whole fingerprints."""
+    side = lambda x: heads.select(F.col("doc_id").alias(x), F.col("fingerprint").alias(f"f_{x}"))
+
+    @lean
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for p in batches:
+            if len(p):
+                x, y = (_matrix(p[f"f_{k}"]) for k in "ab")
+                yield p.loc[_likeness_of((x == y).sum(axis=1)) >= least, ["a", "b"]]
+
+    got = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "f_a", "f_b").mapInPandas(run, "a long, b long")
+    return settle(got.distinct())
+
+
+def _matrix(prints: pd.Series) -> np.ndarray:
+    return np.frombuffer("".join(prints).encode(), np.uint8).reshape(len(prints), SAMPLES)
+
+
+def _likeness_of(same: np.ndarray) -> np.ndarray:
+    return np.maximum(0.0, (same / SAMPLES - 1 / 16) * 16 / 15)
+
+
+def _links_apart(named: DataFrame, heads: DataFrame, least: float) -> DataFrame:
+    """Links between the components that share a bucket.
+
+    Members outside a bucket's largest component meet all members, block by
+    block. A task passes on as many links as join its components.
+    """
+    sizes = named.groupBy("key", "component").agg(F.count("*").alias("m"))
+    main = sizes.groupBy("key").agg(F.max_by("component", F.struct("m", "component")).alias("main"), F.sum("m").alias("n"), F.max("m").alias("most"))
+    of = named.select("key", "doc_id", "component").join(main, "key")
+    few, all_ = (F.ceil(x / BLOCK).cast("int") for x in (F.col("n") - F.col("most"), F.col("n")))
+    block = lambda blocks: F.pmod(F.xxhash64("doc_id"), blocks).cast("int")
+    spread = lambda blocks: F.explode(F.sequence(F.lit(0), blocks - 1))
+    cols = ["key", "lo", "hi", "outer", "doc_id", "component"]
+    outer = of.where("component <> main").withColumn("lo", block(few)).withColumn("hi", spread(all_)).withColumn("outer", F.lit(True))
+    every = of.withColumn("hi", block(all_)).withColumn("lo", spread(few)).withColumn("outer", F.lit(False))
+    dealt = outer.select(cols).unionByName(every.select(cols)).join(heads, "doc_id")
+
+    def compare(group: pd.DataFrame) -> pd.DataFrame:
+        root, found = {}, []
+
+        def find(x):
+            while root.setdefault(x, x) != x:
+                x = root[x]
+            return x
+
+        out, rest = group[group["outer"]], group[~group["outer"]]
+        if len(out) and len(rest):
+            prints, ids, comp = _matrix(rest["fingerprint"]), rest["doc_id"].to_numpy(), rest["component"].to_numpy()
+            for k, c, own in zip(out["doc_id"], out["component"], _matrix(out["fingerprint"]), strict=True):
+                for j in np.flatnonzero((_likeness_of((prints == own).sum(axis=1)) >= least) & (comp != c)):
+                    x, y = find(c), find(comp[j])
+                    if x != y:
+                        root[x] = y
+                        found.append((min(k, ids[j]), max(k, ids[j])))
+        return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
+
+    return settle(dealt.groupBy("key", "lo", "hi").applyInPandas(compare, "a long, b long").distinct())
+
+
+def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int = 32, digits: int = 6, seed: int = 5) -> DataFrame:
+    """Rows ``(fingerprint, component_id)`` of documents with a likeness of ``least`` or more.
 
     Bit-sampled banding: each band is ``digits`` random samples. Members of a
-    band bucket are verified against its smallest id on whole fingerprints.
-    Equal fingerprints collapse first.
+    bucket are verified on whole fingerprints against its smallest id, then
+    against two random pivots. What is still apart is compared block by block,
+    so no link inside a bucket is lost. Equal fingerprints collapse first. A
+    null doc_id takes the smallest id of its group, or null if none has one.
     """
+    spark = prints.sparkSession
     rng = np.random.default_rng(seed)
     picks = [sorted(rng.choice(SAMPLES, digits, replace=False).tolist()) for _ in range(bands)]
-    heads = prints.groupBy("fingerprint").agg(F.min("doc_id").alias("head"))
-    keys = F.array(*[F.concat(F.lit(f"{k}:"), *[F.substring("fingerprint", p + 1, 1) for p in pick]) for k, pick in enumerate(picks)])
-    entries = heads.select("head", F.explode(keys).alias("key"))
-    firsts = entries.groupBy("key").agg(F.min("head").alias("a"), F.count("*").alias("n")).where("n > 1")
-    pairs = entries.join(firsts, "key").where("head <> a").select("a", F.col("head").alias("b")).distinct()
-    side = lambda x: heads.select(F.col("head").alias(x), F.col("fingerprint").alias(f"f_{x}"))
-    like = F.pandas_udf(lambda a, b: pd.Series([likeness(x, y) for x, y in zip(a, b, strict=True)]), "double")
-    links = pairs.join(side("a"), "a").join(side("b"), "b").where(like("f_a", "f_b") >= least).select("a", "b")
-    labels = connected_components(links)
-    return (
-        prints.join(heads, "fingerprint")
-        .join(labels, F.col("head") == F.col("node"), "left")
-        .select("doc_id", F.coalesce("component", "head").alias("component_id"))
-    )
+    heads = settle(prints.groupBy("fingerprint").agg(F.min("doc_id").alias("doc_id")))
+    known = heads.where("doc_id is not null")
+    # Six digits are 24 bits: a number of a band and its digits is exact.
+    code = lambda k, pick: F.conv(F.concat(*[F.substring("fingerprint", p + 1, 1) for p in pick]), 16, 10).cast("long") * bands + k
+    entries = known.select("doc_id", F.explode(F.array(*[code(k, pick) for k, pick in enumerate(picks)])).alias("key"))
+    buckets = entries.groupBy("key").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1")
+    members = settle(entries.join(buckets, "key").select("key", "doc_id", "first", "n"))
+    del entries, buckets
+    release(spark)
+    stars = members.where("doc_id <> first").select(F.col("first").alias("a"), F.col("doc_id").alias("b")).distinct()
+    links = _verified(stars, known, least)
+    labels = settle(connected_components(links))
+    for salt in (1, 2):
+        release(spark)
+        named = _named(members, labels)
+        if named.isEmpty():
+            break
+        links = settle(links.unionByName(_verified(_to_pivots(named, salt), known, least)))
+        labels = settle(connected_components(links))
+        del named
+    release(spark)
+    named = _named(members, labels)
+    if not named.isEmpty():
+        labels = settle(connected_components(links.unionByName(_links_apart(named, known, least))))
+    del named, members, links, stars
+    release(spark)
+    return heads.join(labels, F.col("doc_id") == F.col("node"), "left").select("fingerprint", F.coalesce("component", "doc_id").alias("component_id"))
+
+
+def near_groups(prints: DataFrame, **options) -> DataFrame:
+    """Rows ``(doc_id, component_id)``, one per row of ``prints``; options as in ``print_groups``."""
+    return prints.join(print_groups(prints, **options), "fingerprint").select("doc_id", "component_id")
+
+
+def grouped_edits(docs: DataFrame) -> DataFrame:
+    """``compare_edits`` with the near group of each document as ``component_id``."""
+    edits = settle(compare_edits(docs))
+    release(docs.sparkSession)
+    return edits.join(print_groups(edits.select("doc_id", "fingerprint")), "fingerprint").select(*edits.columns, "component_id")
 
 
 def compare_edits(docs: DataFrame) -> DataFrame:

@@ -70,8 +70,8 @@ def op5_url_filter(spark: SparkSession, d: str) -> DataFrame:
 
 
 def op6_edit_fingerprint(spark: SparkSession, d: str) -> DataFrame:
-    """Fingerprints of all documents and of their edited texts."""
-    return edit_fingerprint.compare_edits(table(spark, d, "documents"))
+    """Fingerprints of all documents and of their edited texts, and the near group of each document."""
+    return edit_fingerprint.grouped_edits(table(spark, d, "documents"))
 
 
 def _seen_labels(labels: DataFrame) -> DataFrame:

@@ -2,6 +2,7 @@
 
 import gzip
 import hashlib
+import itertools
 import random
 import struct
 import zlib
@@ -188,6 +189,37 @@ def test_edit_fingerprint_groups(spark):
     assert got == {1: 1, 2: 1, 3: 3, 4: 1, 5: 5, 6: 5}
 
 
+def test_edit_fingerprint_links_apart_from_the_smallest_id(spark, monkeypatch):
+    monkeypatch.setattr(edit_fingerprint, "BLOCK", 8)
+    rng = np.random.default_rng(5)
+    picks = [sorted(rng.choice(edit_fingerprint.SAMPLES, 6, replace=False).tolist()) for _ in range(32)]
+    prints, shared = [], rng.integers(0, 16, 6)
+    for _ in range(60):  # all of one bucket; pairs, chains and single ones, ids in random order
+        base = rng.integers(0, 16, edit_fingerprint.SAMPLES)
+        for _ in range(rng.integers(1, 4)):
+            base = np.where(rng.random(len(base)) < 0.1, rng.integers(0, 16, len(base)), base)
+            base[picks[0]] = shared
+            prints.append("".join("%x" % d for d in base))
+    ids = rng.permutation(len(prints)).tolist()
+    near = [(i, j) for (i, x), (j, y) in itertools.combinations(zip(ids, prints), 2) if edit_fingerprint.likeness(x, y) >= 0.8]
+    root = {i: i for i in ids}
+    while any(root[i] != root[j] for i, j in near):
+        for i, j in near:
+            root[i] = root[j] = min(root[i], root[j])
+    assert 60 <= len(set(root.values())) < len(ids) - 20
+    got = edit_fingerprint.near_groups(spark.createDataFrame(list(zip(ids, prints)), "doc_id long, fingerprint string"))
+    assert {r.doc_id: r.component_id for r in got.collect()} == root
+
+
+def test_edit_query_gives_groups(spark, odd):
+    text = "some text that is long enough to be walked for a while " * 20
+    docs = spark.createDataFrame([(1, text), (1, text), (None, text), (5, text[:500] + "!" + text[500:]), (7, "other " * 90), (8, None)], "doc_id long, text string")
+    got = [(r.doc_id, r.component_id) for r in edit_fingerprint.grouped_edits(docs).collect()]
+    assert sorted(got, key=str) == sorted([(1, 1), (1, 1), (None, 1), (5, 1), (7, 7), (8, 8)], key=str)
+    assert "component_id" in queries.op6_edit_fingerprint(spark, SF).columns
+    assert edit_fingerprint.grouped_edits(odd.limit(0)).count() == 0
+
+
 def test_quality_model_on_held_out_labels(spark):
     d = "/root/testdata/sf0.1"
     labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{d}/labels.parquet").collect()}
