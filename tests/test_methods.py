@@ -10,7 +10,7 @@ from corpusmill.functions import code as code_functions
 from corpusmill.functions import html as H
 from corpusmill.functions import text as T
 from corpusmill.operators import extract, keywords, measures, minhash, models, paragraphs, rules
-from corpusmill.plans import fixtures, methods, tracks
+from corpusmill.plans import fixtures, methods, relational, tracks
 from corpusmill.sources import warc
 from corpusmill.streaming.queries import stream_incremental_lsh
 
@@ -245,3 +245,12 @@ def test_track_funnel_and_domain_template(spark, tables):
     spec = tracks.DomainSpec("medicine", ("the",), lambda d: d.withColumn("hits", F.lit(1)), lambda d: d.where("hits > 0"), column="text")
     rows = {r.step: r.docs for r in spec.track().run(tables("documents").select("doc_id", "text")).funnel().collect()}
     assert rows[0] >= rows[1] >= rows[3]
+
+
+def test_whole_vector_search_takes_every_twentieth_row(spark, monkeypatch):
+    monkeypatch.setattr(relational, "VEC_BLOCK", 64)
+    got = relational.vec_cosine_topk_whole(spark, SF).collect()
+    ids = {r.vec_id for r in spark.read.parquet(f"{SF}/embeddings.parquet").select("vec_id").collect()}
+    assert {r.probe for r in got} == {i for i in ids if i % 20 == 0} and len(got) == 5 * len({r.probe for r in got})
+    want = relational.FRAMES["vec_cosine_topk"][0](spark, SF).where("probe = 0").collect()
+    assert {(r["rank"], r.vec_id) for r in got if r.probe == 0} == {(r["rank"], r.vec_id) for r in want}
