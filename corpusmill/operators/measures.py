@@ -86,6 +86,12 @@ def mix(df: DataFrame, weights: dict[str, float], budget: int, by: str = "track"
     return taken.drop("_t", "_h", "_slot", "_before", "_run")
 
 
+def whole_budget(df: DataFrame, parts: dict[str, int], by: str = "track") -> int:
+    """Largest token budget that every source can fill with its whole parts of it; one total a source is collected."""
+    totals = {r[0]: r[1] for r in df.groupBy(by).agg(F.sum(token_count(F.col("text")))).collect()}
+    return sum(parts.values()) * min((totals.get(k) or 0) // n for k, n in parts.items())
+
+
 def _bigrams(df: DataFrame) -> DataFrame:
     w = F.concat(F.array(F.lit("<s>")), F.transform(T.words(F.coalesce("text", F.lit(""))), lambda x: F.lower(x)))
     t = df.select(w.alias("w")).where(F.size("w") > 1)

@@ -639,6 +639,34 @@ def mixture_qa(spark, d):
     return measures.mix(both, {"open": 0.8, "choice": 0.2}, 3_000).groupBy("track").agg(F.count("*").alias("docs"), F.sum(measures.token_count(F.col("text"))).alias("tokens"))
 
 
+def _whole_mix_sql(tables: str, parts: dict[str, int]) -> str:
+    """As ``_mix_sql``, at the largest budget that both sources can fill."""
+    total = ", ".join(f"coalesce(sum(n) filter (track = '{k}'), 0) // {w}" for k, w in parts.items())
+    share = " ".join(f"when '{k}' then {w}" for k, w in parts.items())
+    return f"""with t as ({tables}), u as (select least({total}) as unit from t),
+ r as (select track, doc_id, n, sum(n) over (partition by track order by ('0x' || substr(md5(track || ':' || doc_id), 1, 15))::bigint, doc_id) as run from t)
+ select track, count(*) as docs, sum(n)::bigint as tokens from r cross join u where run - n < unit * (case track {share} end) group by 1"""
+
+
+def _whole_mix(docs, parts):
+    got = measures.mix(docs, {k: n / sum(parts.values()) for k, n in parts.items()}, measures.whole_budget(docs, parts))
+    return got.groupBy("track").agg(F.count("*").alias("docs"), F.sum(measures.token_count(F.col("text"))).alias("tokens"))
+
+
+@_key(_whole_mix_sql(f"select 'web' as track, doc_id, len({W}) as n from documents where lang = 'en' union all select 'code', doc_id, len({W}) from documents where lang is null or lang <> 'en'", {"web": 4, "code": 1}))
+def mixture_web_code_whole(spark, d):
+    """``mixture_web_code`` over the whole corpus: the scarcer source is used up."""
+    docs = _docs(spark, d).select(F.when(F.col("lang") == "en", "web").otherwise("code").alias("track"), "doc_id", "text")
+    return _whole_mix(docs, {"web": 4, "code": 1})
+
+
+@_key(_whole_mix_sql(f"select 'open' as track, doc_id, len({W}) as n from ({X.qa_sql('duckdb')}) union all select 'choice', doc_id, len({W}) from ({X.choice_sql('duckdb')})", {"open": 4, "choice": 1}))
+def mixture_qa_whole(spark, d):
+    """``mixture_qa`` over all texts: the scarcer source is used up."""
+    both = _qa(spark, d).withColumn("track", F.lit("open")).unionByName(_choice(spark, d).withColumn("track", F.lit("choice")))
+    return _whole_mix(both, {"open": 4, "choice": 1})
+
+
 def _pass_sql(k: int) -> str:
     return f"case when c = 0 then 0 when n - c < {k} then 1 else 1 - list_product(list_transform(range(n - c + 1, n + 1), lambda j: 1 - {k}.0e0 / j)) end"
 

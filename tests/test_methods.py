@@ -254,3 +254,13 @@ def test_whole_vector_search_takes_every_twentieth_row(spark, monkeypatch):
     assert {r.probe for r in got} == {i for i in ids if i % 20 == 0} and len(got) == 5 * len({r.probe for r in got})
     want = relational.FRAMES["vec_cosine_topk"][0](spark, SF).where("probe = 0").collect()
     assert {(r["rank"], r.vec_id) for r in got if r.probe == 0} == {(r["rank"], r.vec_id) for r in want}
+
+
+def test_whole_mixture_uses_up_the_scarcer_source(spark):
+    docs = methods._docs(spark, SF)
+    all_ = {r[0]: r[1] for r in docs.groupBy(F.when(F.col("lang") == "en", "web").otherwise("code")).agg(F.sum(measures.token_count(F.col("text")))).collect()}
+    got = {r.track: r.tokens for r in methods.mixture_web_code_whole(spark, SF).collect()}
+    unit = min(all_["web"] // 4, all_["code"])
+    assert got["web"] >= 4 * unit and got["code"] >= unit
+    assert got["web"] == all_["web"] or got["code"] == all_["code"]
+    assert 0.78 < got["web"] / (got["web"] + got["code"]) < 0.9
