@@ -7,9 +7,23 @@ from dataclasses import dataclass
 
 # The words that begin an answer.
 ANSWERS = ("answer:", "solution:", "reply:", "response:", "ans:", "a:", "r:")
-ROMAN = {"i": 1, "ii": 2, "iii": 3, "iv": 4, "v": 5, "vi": 6, "vii": 7, "viii": 8, "ix": 9, "x": 10}
-_SERIAL = re.compile(r"\s*([A-Za-z]|[0-9]{1,2}|[ivxIVX]{1,4})\s?([.\-)>\] ])\s*(.*)$", re.S)
-MOST = 10
+_ROMAN = ((1000, "m"), (900, "cm"), (500, "d"), (400, "cd"), (100, "c"), (90, "xc"), (50, "l"), (40, "xl"), (10, "x"), (9, "ix"), (5, "v"), (4, "iv"), (1, "i"))
+_SERIAL = re.compile(r"\s*([A-Za-z]|[0-9]{1,18}|[ivxlcdmIVXLCDM]+)\s?([.\-)>\] ])\s*(.*)$", re.S)
+
+
+def roman(mark: str) -> int | None:
+    """Value of a lower-case numeral in its standard form."""
+    value, rest = 0, mark
+    for n, sign in _ROMAN:
+        while rest.startswith(sign):
+            value, rest = value + n, rest[len(sign) :]
+    return value if not rest and "".join(_written(value)) == mark else None
+
+
+def _written(value: int):
+    for n, sign in _ROMAN:
+        yield sign * (value // n)
+        value %= n
 
 
 @dataclass(frozen=True)
@@ -31,8 +45,8 @@ def serials(line: str) -> list[tuple[str, int, str, str]]:
     out = []
     if len(mark) == 1 and mark.isalpha():
         out.append(("letter", ord(mark) - 96, delimiter, rest))
-    if mark in ROMAN:
-        out.append(("roman", ROMAN[mark], delimiter, rest))
+    if mark.isalpha() and (value := roman(mark)):
+        out.append(("roman", value, delimiter, rest))
     if mark.isdigit():
         out.append(("arabic", int(mark), delimiter, rest))
     return out
@@ -48,7 +62,7 @@ def choice_runs(lines: list[str]) -> list[tuple[int, int, str, tuple[str, ...]]]
             if ordinal != 1:
                 continue
             options, k = [rest], at + 1
-            while k < len(lines) and len(options) < MOST:
+            while k < len(lines):
                 follow = next((r for s, o, d, r in parsed[k] if (s, o, d) == (style, len(options) + 1, delimiter)), None)
                 if follow is None:
                     break
@@ -91,8 +105,13 @@ def after_colon(line: str) -> str:
     return line.partition(":")[2].strip()
 
 
+def _letters(k: int) -> str:
+    """A to Z, then AA, AB and so on."""
+    return (_letters(k // 26 - 1) if k >= 26 else "") + chr(65 + k % 26)
+
+
 def format_question(q: Question) -> str:
     """Stem without serial, options as A. B. C., prefixed answer and explanation, in this order."""
     stem = re.sub(r"^\s*([0-9]{1,3}|[A-Za-z]|[ivxIVX]{1,4})[.)>\]]\s*", "", q.stem)
-    parts = [stem, *[f"{chr(65 + i)}. {o}" for i, o in enumerate(q.options)], f"Answer: {after_colon(q.answer)}"]
+    parts = [stem, *[f"{_letters(i)}. {o}" for i, o in enumerate(q.options)], f"Answer: {after_colon(q.answer)}"]
     return "\n".join(parts + ([f"Explanation: {after_colon(q.explanation)}"] if q.explanation else []))

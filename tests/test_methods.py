@@ -136,6 +136,18 @@ def test_choice_questions():
     assert choice.choice_questions("stem\ni. x\nii. y\niii. z\nans: i")[0].style == "roman"
 
 
+def test_choice_runs_go_on_past_ten():
+    romans = "i ii iii iv v vi vii viii ix x xi xii xiii xiv xv".split()
+    for style, marks in (("letter", [chr(97 + k) for k in range(26)]), ("arabic", [str(k) for k in range(1, 131)]), ("roman", romans), ("letter", list("abcdefghijkl"))):
+        for answer in ("after", "before"):
+            options = [f"{m}) opt {m}" for m in marks]
+            lines = ["stem", *options, "answer: b"] if answer == "after" else ["answer: b", "stem", *options]
+            [q] = choice.choice_questions("\n".join(lines), answer)
+            assert (q.style, len(q.options), q.answer) == (style, len(marks), "answer: b")
+            assert len(choice.format_question(q).split("\n")) == len(marks) + 2
+    assert choice.roman("iiii") is None and choice.roman("xlix") == 49 and choice._letters(27) == "AB"
+
+
 def test_question_marker_alone_passes_both_sides(spark):
     df = spark.createDataFrame([(1, "Q&A"), (2, "data: x what"), (3, "what is")], "doc_id long, text string")
     got = {r.doc_id: (r.keep, r.keep_bounded) for r in keywords.score_qa_keywords(df).collect()}
