@@ -7,6 +7,10 @@ have digests of their own blocks. Identifiers follow from the response's, so
 reruns build the same bytes. Each record is one gzip member that can be joined
 to others into a file.
 
+The metadata record also keeps every HTTP header of the response and, where
+the source has a column ``warc`` with header lines, its WARC headers: in order,
+with repeats, one field ``http-header`` or ``source-header`` each.
+
 Edge cases: a null payload counts as empty and converts to an empty block; a
 null url or header is left out; repeated responses give repeated records; other
 columns are ignored.
@@ -74,7 +78,18 @@ def responses(pages: DataFrame) -> DataFrame:
     )
 
 
-def _derive(record_id: str, url: str | None, date: str | None, http: str | None, payload: str | None) -> list[tuple]:
+def _headers(block: str | None) -> list[str]:
+    """Header lines in order; folded lines are joined to the one before, a first line without a name is left out."""
+    out: list[str] = []
+    for line in re.split(r"\r\n|\n|\r", block or ""):
+        if line[:1] in (" ", "\t") and out:
+            out[-1] += " " + line.strip()
+        elif re.match(r"[^\s:]+[ \t]*:", line):
+            out.append(line)
+    return out
+
+
+def _derive(record_id: str, url: str | None, date: str | None, http: str | None, payload: str | None, warc: str | None = None) -> list[tuple]:
     body = (payload or "").encode("utf-8")
     source = _digest(body)
     page = payload or ""
@@ -86,6 +101,7 @@ def _derive(record_id: str, url: str | None, date: str | None, http: str | None,
     fields = [
         ("http-status", (http or "").split("\r\n")[0].partition(" ")[2]), ("http-content-type", kind), ("title", _GAP.sub(" ", html.unescape(title[1])).strip() if title else ""),
         ("outlinks", str(len(_LINK.findall(page)))), ("text-chars", str(len(text.decode()))), ("conversion", conv), ("conversion-digest", _digest(text)),
+        *(("http-header", h) for h in _headers(http)), *(("source-header", h) for h in _headers(warc)),
     ]
     about = "".join(f"{k}: {re.sub(r'[\r\n]+', ' ', v)}\r\n" for k, v in fields if v).encode("utf-8")
     out = []
@@ -108,12 +124,13 @@ def derive(source: DataFrame) -> DataFrame:
                 part = b.iloc[at : at + 256]
                 rows = [
                     (page, *row)
-                    for page, *response in zip(part["page_id"], part["record_id"], part["url"], part["date"], part["http"], part["payload"], strict=True)
+                    for page, *response in zip(part["page_id"], part["record_id"], part["url"], part["date"], part["http"], part["payload"], part["warc"], strict=True)
                     for row in _derive(*response)
                 ]
                 yield pd.DataFrame(rows, columns=names)
 
-    return source.select("page_id", "record_id", "url", "date", "http", "payload").mapInPandas(
+    warc = F.col("warc").cast("string") if "warc" in source.columns else F.lit(None).cast("string").alias("warc")
+    return source.select("page_id", "record_id", "url", "date", "http", "payload", warc).mapInPandas(
         run, "page_id long, kind string, record_id string, refers_to string, source_digest string, block_digest string, block_bytes long, record binary"
     )
 

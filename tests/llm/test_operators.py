@@ -297,6 +297,17 @@ def test_warc_odd_responses(spark):
     assert len(got) == 8
 
 
+def test_warc_headers_are_carried_through(spark):
+    given = ["Server: x/1", "Content-Type: text/html", "Set-Cookie: a=1", "Last-Modified: Mon", "ETag: \"q\"", "Set-Cookie: b=2", "X-Empty:", "Location: http://y/?a:b"]
+    source = ["WARC-IP-Address: 192.0.2.1", "WARC-Warcinfo-ID: <urn:uuid:1>", "WARC-Block-Digest: sha1:ABC"]
+    rows = [(1, "<urn:uuid:0>", "http://x/", "2024-01-01T00:00:00Z", "HTTP/1.1 301 Moved\r\n" + "\r\n".join([*given, "X-Folded: one\r\n two"]) + "\r\n\r\n", "<p>hi", "WARC/1.1\r\n" + "\r\n".join(source) + "\r\n")]
+    df = spark.createDataFrame(rows, "page_id long, record_id string, url string, date string, http string, payload string, warc string")
+    [block] = [b for h, b in (warc_derivatives.parse_records(bytes(r.record))[0] for r in warc_derivatives.derive(df).collect()) if h["WARC-Type"] == "metadata"]
+    fields = [x.split(": ", 1) for x in block.decode().split("\r\n") if x]
+    assert [v for k, v in fields if k == "http-header"] == [*given, "X-Folded: one two"]
+    assert [v for k, v in fields if k == "source-header"] == source
+
+
 def test_secret_scan(spark, tables, odd):
     planted = [
         'TOKEN = "abcdef12345"', "password:short secret:12345", "AKIA" + "A" * 16, "AKIAAKIA" + "B" * 20, "f" * 24 + "g" + "0" * 23,
