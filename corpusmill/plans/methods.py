@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -358,22 +359,37 @@ def web_wet_corpus(spark, d):
 
 @_key()
 def web_warc_corpus(spark, d):
-    return tracks.web_track_warc(_language_model(spark, d)).run(load(spark, d, "pages")).df.select("doc_id", F.md5("text").alias("text_md5"))
+    return tracks.web_track_warc(_language_model(spark, d), _quality_model(spark, d)).run(load(spark, d, "pages")).df.select("doc_id", F.md5("text").alias("text_md5"))
 
 
 @_key()
 def web_warc_verdicts(spark, d):
+    """The verdict of every stage; ``keep_lsh`` is null where an earlier stage drops the page."""
     text = extract.extract_main_content(load(spark, d, "pages").select(F.col("page_id").alias("doc_id"), "html")).select("doc_id", "text")
-    scored = models.score_language(rules.score_document_rules(text), _language_model(spark, d))
-    flags = [c for c in scored.columns if c.startswith("f_")]
-    return scored.select("doc_id", "n_words", "lang_pred", *flags, (~rules.any_flag(flags)).alias("keep_rules"))
+    told = models.score_language(text, _language_model(spark, d))
+    repeated = rules.score_repetition(told)
+    judged = rules.score_document_rules(repeated)
+    cleaned = rules.apply_sentence_rules(judged).drop("text").withColumnRenamed("text_clean", "text")
+    out = models.score_model(cleaned, _quality_model(spark, d))
+    verdicts = {
+        "keep_lang": (F.col("lang_pred") == "en") & (F.col("lang_prob") >= 0.5),
+        "keep_repetition": ~rules.any_flag(repeated.columns),
+        "keep_rules": ~rules.any_flag([c for c in judged.columns if c not in repeated.columns]),
+        "keep_sentences": ~F.col("f_sentences"),
+        "keep_model": F.col("p_quality") >= 0.5,
+    }
+    out = out.withColumns(verdicts).withColumn("reaches_lsh", F.expr(" and ".join(verdicts)))
+    gone = minhash.dedup_lsh(minhash.lsh_bands(minhash.minhash_signatures(out.where("reaches_lsh").select("doc_id", "text")))).select("doc_id", F.lit(True).alias("gone"))
+    flags = [c for c in out.columns if c.startswith("f_")]
+    lsh = F.when(F.col("reaches_lsh"), F.col("gone").isNull()).alias("keep_lsh")
+    return out.join(gone, "doc_id", "left").select("doc_id", "n_words", "lang_pred", *flags, *verdicts, lsh)
 
 
 @_key()
 def web_format_stats(spark, d):
-    model = _language_model(spark, d)
-    wet = tracks.web_track_wet(model).run(_docs(spark, d)).df
-    warc = tracks.web_track_warc(model).run(load(spark, d, "pages")).df
+    given = _language_model(spark, d), _quality_model(spark, d)
+    wet = tracks.web_track_wet(*given).run(_docs(spark, d)).df
+    warc = tracks.web_track_warc(*given).run(load(spark, d, "pages")).df
     return measures.dataset_stats(tracks.merge_formats(wet, warc), "format")
 
 
@@ -531,9 +547,18 @@ def qa_rule_flags(spark, d):
     return keywords.score_qa_keywords(_qa(spark, d)).drop("text")
 
 
+def _qa_model(spark, d):
+    """Trained on texts marked by the bounded keyword rule, which stands for the annotator; question types are balanced."""
+    marked = keywords.score_qa_keywords(_qa(spark, d).where(~models.held_out())).withColumn("label", F.col("keep_bounded").cast("int"))
+    kind = F.regexp_extract(F.lower("text"), "(" + "|".join(w for w in keywords.QUESTION if w.isalpha()) + ")", 1)
+    drawn = models.stratified_sample(marked.withColumn("kind", kind), "label", "kind", 1000)
+    sizes = [r["count"] for r in drawn.groupBy("label").count().collect()]
+    return models.train_text_classifier(models.balanced_sample(drawn, "label", min(sizes)))
+
+
 @_key()
 def open_qa_corpus(spark, d):
-    return tracks.open_qa_track().run(_qa(spark, d)).df.select("doc_id", F.md5("text").alias("text_md5"))
+    return tracks.open_qa_track(_qa_model(spark, d)).run(_qa(spark, d)).df.select("doc_id", F.md5("text").alias("text_md5"))
 
 
 _LIST = r"(^|\n)[ \t]*([A-Za-z]|[0-9]{1,2}|[ivxIVX]{1,4}) ?[.)>\] -]"
@@ -594,6 +619,23 @@ def recipe_comparison(spark, d):
     return long.groupBy("r.recipe").agg(F.count("*").alias("docs"), F.sum("t").alias("tokens"), F.count_if(F.col("quality") == 1).alias("good"), F.count("quality").alias("marked"))
 
 
+_RECIPES = ("raw", "length_only", "rules_only", "model_only", "full")
+
+
+def _scored_recipes(spark, d):
+    docs = _docs(spark, d).select("doc_id", "text")
+    return tracks.recipe_flags(docs, models.score_model(docs, _quality_model(spark, d))).persist()
+
+
+@_key()
+def recipe_comparison_models(spark, d):
+    """``recipe_comparison`` with the recipes that need a model."""
+    f = _scored_recipes(spark, d).withColumn("t", measures.token_count(F.col("text"))).join(load(spark, d, "labels"), "doc_id", "left")
+    recipes = F.array(*[F.struct(F.lit(r).alias("recipe"), F.col(r).alias("on")) for r in _RECIPES])
+    long = f.select("t", "quality", F.explode(recipes).alias("r")).where("r.on")
+    return long.groupBy("r.recipe").agg(F.count("*").alias("docs"), F.sum("t").alias("tokens"), F.count_if(F.col("quality") == 1).alias("good"), F.count("quality").alias("marked"))
+
+
 def _lm_sql(train: str, held: str) -> str:
     pairs = lambda t: f"select ws[i] as u, ws[i + 1] as v from (select ws, unnest(range(1, len(ws))) as i from (select list_prepend('<s>', list_transform({W}, lambda x: lower(x))) as ws from {t}) where len(ws) > 1)"
     return f"""(with tr as ({pairs(train)}), both_ as (select u, v, count(*) as n_uv from tr group by 1, 2), hist as (select u, count(*) as n_u from tr group by 1), types as (select count(distinct v) + 1 as t from tr),
@@ -608,6 +650,14 @@ def recipe_perplexity(spark, d):
     return one("raw", docs).unionByName(one("length_only", docs.where("n_chars >= 300")))
 
 
+@_key()
+def recipe_perplexity_models(spark, d):
+    """``recipe_perplexity`` of all recipes; documents are scored once."""
+    f, bench = _scored_recipes(spark, d), load(spark, d, "benchmark")
+    one = lambda n: measures.perplexity(measures.train_ngram_lm(f.where(n)), bench).select(F.lit(n).alias("recipe"), "tokens", F.round("perplexity", 2).alias("perplexity"))
+    return functools.reduce(DataFrame.unionByName, map(one, _RECIPES))
+
+
 @_key()
 def math_perplexity(spark, d):
     """Held-out formula texts under a model of valid pages and of all prefiltered pages."""

@@ -276,3 +276,16 @@ def test_whole_mixture_uses_up_the_scarcer_source(spark):
     assert got["web"] >= 4 * unit and got["code"] >= unit
     assert got["web"] == all_["web"] or got["code"] == all_["code"]
     assert 0.78 < got["web"] / (got["web"] + got["code"]) < 0.9
+
+
+def test_registered_tracks_run_their_models(spark):
+    v = methods.web_warc_verdicts(spark, SF)
+    keeps = ["keep_lang", "keep_repetition", "keep_rules", "keep_sentences", "keep_model", "keep_lsh"]
+    kept = {r.doc_id for r in v.collect() if all(r[k] for k in keeps)}
+    assert kept == {r.doc_id for r in methods.web_warc_corpus(spark, SF).collect()}
+    assert {r.doc_id for r in methods.open_qa_corpus(spark, SF).collect()} < {r.doc_id for r in tracks.open_qa_track().run(methods._qa(spark, SF)).df.collect()}
+    got = {r.recipe: r for r in methods.recipe_comparison_models(spark, SF).collect()}
+    old = {r.recipe: r for r in methods.recipe_comparison(spark, SF).collect()}
+    assert set(got) == set(methods._RECIPES) and all(got[k] == old[k] for k in old)
+    assert 0 < got["full"].docs <= min(got["rules_only"].docs, got["model_only"].docs) < got["raw"].docs
+    assert {r.recipe for r in methods.recipe_perplexity_models(spark, SF).collect()} == set(methods._RECIPES)
