@@ -5,16 +5,23 @@ hundredths). A sketch is a histogram over log-linear buckets: exact below 128,
 64 buckets an octave above, so a quantile is off by less than 1/64 of itself.
 Sketches merge by adding counts, which makes them one ``groupBy`` with map-side
 sums: a hot source costs no more than a cold one, and reruns agree exactly.
-A (language, source) group with too few documents takes the merged sketch of
-its language, then that of all documents.
+Only documents that pass the base rule are sketched: the others are gone anyway.
 
-A document fails a metric that lies beyond a fence around the middle half of
-its group: ``q75 + reach * max(q75 - q25, least)``, and below for two-sided
-metrics. The joined filter adds the verdict to every row.
+The sketch of a (language, source) group is merged with that of its language,
+and this one with that of all documents, each weighted as ``PRIOR`` documents.
+A large group follows its own documents, a small one those of its parents, and
+nothing changes suddenly at any size.
+
+A fence is ``q + reach * |q - median|`` beyond an inner quantile ``q``: it has no
+unit, so a group whose values are shifted or scaled has its fences shifted or
+scaled likewise. A share fails only if its count is beyond what the fence allows
+by ``NOISE`` standard deviations of that count, so one stray symbol is no failure
+where most texts have none.
 
 Edge cases: null or empty text has no words and fails the base rule; null
-language or source is a group of its own; repeated rows count each; other
-columns, also clashing ones, are carried only by ``judge``.
+language or source is a group of its own; a group without a document that passes
+the base rule has its parents' fences; repeated rows count each; other columns,
+also clashing ones, are carried only by ``judge``.
 """
 
 from __future__ import annotations
@@ -29,14 +36,21 @@ from pyspark.sql import functions as F
 from ._spark import lean, map_frames, settle
 
 SYMBOLS = "#*$%&|<>"
-#: metric: (expression over the base columns, least spread, two-sided)
+#: metric: (counted, out of, scale, upper quantile and reach, the same below)
 METRICS = {
-    "symbol_share": ("1000 * n_symbols div greatest(n_words, 1)", 20, False),
-    "repeat_share": ("1000 * n_repeat_words div greatest(n_words, 1)", 60, False),
-    "dup_line_share": ("1000 * n_dup_lines div greatest(n_lines, 1)", 60, False),
-    "word_length": ("100 * word_chars div greatest(n_words, 1)", 50, True),
+    "symbol_share": ("n_symbols", "n_words", 1000, (0.8, 3), None),
+    "repeat_share": ("n_repeat_words", "n_words", 1000, (0.99, 1), None),
+    "dup_line_share": ("n_dup_lines", "n_lines", 1000, (0.99, 1), None),
+    "word_length": ("word_chars", "n_words", 100, (0.9, 2), (0.1, 2)),
 }
-REACH, LEAST_DOCS = 3, 100
+PRIOR = 50  # documents that a parent's sketch counts as
+NOISE = 3
+BASE_FAILED = "n_words < 50 or n_repeat_words * 100 > n_words * 50"
+
+
+def _value(metric: str) -> Column:
+    counted, out_of, scale, *_ = METRICS[metric]
+    return F.expr(f"{scale} * {counted} div greatest({out_of}, 1)")
 
 
 def _repeat_words(words: list[bytes]) -> int:
@@ -98,43 +112,69 @@ def bucket_floor(b: Column) -> Column:
 
 
 def sketches(measured: DataFrame) -> DataFrame:
-    """Mergeable sketches: ``(lang, source, metric, bucket, n)``."""
-    pairs = F.array(*[F.struct(F.lit(m).alias("metric"), bucket(F.expr(e)).alias("bucket")) for m, (e, *_) in METRICS.items()])
-    return measured.select("lang", "source", F.explode(pairs).alias("m")).groupBy("lang", "source", "m.metric", "m.bucket").agg(
-        F.count("*").alias("n")
-    )
+    """Mergeable sketches ``(lang, source, metric, bucket, n)`` of the documents that pass the base rule."""
+    pairs = F.array(*[F.struct(F.lit(m).alias("metric"), bucket(_value(m)).alias("bucket")) for m in METRICS])
+    passing = measured.where(f"not ({BASE_FAILED})").select("lang", "source", F.explode(pairs).alias("m"))
+    return passing.groupBy("lang", "source", "m.metric", "m.bucket").agg(F.count("*").alias("n"))
 
 
-def _quartiles(sketch: DataFrame, by: list[str]) -> DataFrame:
-    """Quartiles of merged sketches: running counts over at most a few thousand buckets a group."""
+def _listed(sketch: DataFrame, by: list[str]) -> DataFrame:
+    """One row a group and metric: its merged sketch as an array, and its documents."""
     merged = sketch.groupBy(*by, "metric", "bucket").agg(F.sum("n").alias("n"))
-    listed = merged.groupBy(*by, "metric").agg(F.array_sort(F.collect_list(F.struct("bucket", "n"))).alias("h"), F.sum("n").alias("docs"))
-
-    def at(q: int) -> Column:
-        # First bucket whose running count reaches q quarters of all documents.
-        step = lambda s, x: F.struct(
-            (s["seen"] + x["n"]).alias("seen"),
-            F.when(s["found"] >= 0, s["found"]).when((s["seen"] + x["n"]) * 4 >= F.col("docs") * q, x["bucket"]).otherwise(s["found"]).alias("found"),
-        )
-        zero = F.struct(F.lit(0).cast("long").alias("seen"), F.lit(-1).cast("long").alias("found"))
-        return bucket_floor(F.aggregate("h", zero, step, lambda s: s["found"]))
-
-    return listed.select(*by, "metric", "docs", at(1).alias("q25"), at(3).alias("q75"))
-
-
-def thresholds(sketch: DataFrame, reach: int = REACH, least_docs: int = LEAST_DOCS) -> DataFrame:
-    """Fences ``(lang, source, metric, low, high)`` of every group."""
-    own = _quartiles(sketch, ["lang", "source"])
-    lang = _quartiles(sketch, ["lang"]).select(F.col("lang").alias("l_lang"), F.col("metric").alias("l_metric"), F.struct("docs", "q25", "q75").alias("l"))
-    every = _quartiles(sketch, []).select(F.col("metric").alias("e_metric"), F.struct("docs", "q25", "q75").alias("e"))
-    least = F.create_map(*[x for m, (_, s, _) in METRICS.items() for x in (F.lit(m), F.lit(s))])
-    sided = F.col("metric").isin([m for m, (_, _, two) in METRICS.items() if two])
-    joined = own.join(lang, F.col("lang").eqNullSafe(F.col("l_lang")) & (F.col("metric") == F.col("l_metric"))).join(every, F.col("metric") == F.col("e_metric"))
-    q = F.when(F.col("docs") >= least_docs, F.struct("docs", "q25", "q75")).when(F.col("l.docs") >= least_docs, F.col("l")).otherwise(F.col("e"))
-    spread = F.greatest(F.col("q.q75") - F.col("q.q25"), F.element_at(least, F.col("metric"))) * reach
-    return joined.withColumn("q", q).select(
-        "lang", "source", "metric", F.when(sided, F.col("q.q25") - spread).alias("low"), (F.col("q.q75") + spread).alias("high")
+    weighed = F.struct("bucket", F.col("n").cast("double").alias("w"))
+    return merged.groupBy(*by, "metric").agg(F.array_sort(F.collect_list(weighed)).alias("h"), F.sum("n").cast("double").alias("docs"))
+
+
+def _blended(own: Column, parent: Column, parent_docs: Column, prior: float) -> Column:
+    """A sketch and its parent's, the latter weighted as ``prior`` documents."""
+    return F.concat(own, F.transform(parent, lambda x: F.struct(x["bucket"], (x["w"] * prior / parent_docs).alias("w"))))
+
+
+def _quantile(q: float) -> Column:
+    """Floor of the first bucket at which the running weight of the sorted sketch ``h`` reaches ``q`` of all."""
+    step = lambda s, x: F.struct(
+        (s["seen"] + x["w"]).alias("seen"),
+        F.when(s["found"] >= 0, s["found"]).when(s["seen"] + x["w"] >= F.col("docs") * (q - 1e-9), x["bucket"]).otherwise(s["found"]).alias("found"),
     )
+    zero = F.struct(F.lit(0.0).alias("seen"), F.lit(-1).cast("long").alias("found"))
+    return bucket_floor(F.aggregate("h", zero, step, lambda s: s["found"]))
+
+
+def _fence(side: int) -> Column:
+    """Upper (3) or lower (4) fence of the metric of a row; null where it has none."""
+    found = F.lit(None).cast("double")
+    for m, rule in METRICS.items():
+        if rule[side]:
+            q, reach = rule[side]
+            found = F.when(F.col("metric") == m, _quantile(q) + (_quantile(q) - _quantile(0.5)) * float(reach)).otherwise(found)
+    return found
+
+
+def thresholds(sketch: DataFrame, groups: DataFrame, prior: float = PRIOR) -> DataFrame:
+    """Fences ``(lang, source, metric, low, high)`` of every row ``(lang, source)`` of ``groups``."""
+    every = _listed(sketch, []).withColumnsRenamed({"h": "e_h", "docs": "e_docs"})
+    lang = _listed(sketch, ["lang"]).select(F.col("lang").alias("l_lang"), F.col("metric").alias("l_metric"), F.col("h").alias("l_h"), F.col("docs").alias("l_docs"))
+    own = _listed(sketch, ["lang", "source"]).withColumnsRenamed({"lang": "o_lang", "source": "o_source", "metric": "o_metric", "h": "o_h", "docs": "o_docs"})
+    is_lang = F.col("lang").eqNullSafe(F.col("l_lang")) & (F.col("metric") == F.col("l_metric"))
+    is_own = F.col("lang").eqNullSafe(F.col("o_lang")) & F.col("source").eqNullSafe(F.col("o_source")) & (F.col("metric") == F.col("o_metric"))
+    none = F.array().cast(every.schema["e_h"].dataType)
+    zero = lambda c: F.coalesce(c, F.lit(0.0))
+    metrics = groups.select("lang", "source", F.explode(F.array(*map(F.lit, METRICS))).alias("metric"))
+    joined = metrics.join(every, "metric").join(lang, is_lang, "left").join(own, is_own, "left")
+    up = _blended(F.coalesce("l_h", none), F.col("e_h"), F.col("e_docs"), prior)
+    joined = joined.withColumn("u_h", up).withColumn("u_docs", zero(F.col("l_docs")) + prior)
+    down = _blended(F.coalesce("o_h", none), F.col("u_h"), F.col("u_docs"), prior)
+    merged = joined.select("lang", "source", "metric", F.array_sort(down).alias("h"), (zero(F.col("o_docs")) + prior).alias("docs"))
+    return merged.select("lang", "source", "metric", _fence(4).alias("low"), _fence(3).alias("high"))
+
+
+def _beyond(metric: str) -> Column:
+    """Whether a document lies beyond the fences of its group."""
+    counted, out_of, scale, upper, lower = METRICS[metric]
+    n, high, low = F.expr(f"greatest({out_of}, 1)"), F.col(f"high_{metric}"), F.col(f"low_{metric}")
+    if lower:
+        return (_value(metric) > high) | (_value(metric) < low)
+    return F.col(counted) - NOISE * F.sqrt(counted) > n * high / scale
 
 
 def judge(measured: DataFrame, fences: DataFrame) -> DataFrame:
@@ -145,14 +185,14 @@ def judge(measured: DataFrame, fences: DataFrame) -> DataFrame:
     f = wide.withColumnsRenamed({"lang": "f_lang", "source": "f_source"})
     joined = measured.join(f, F.col("lang").eqNullSafe(F.col("f_lang")) & F.col("source").eqNullSafe(F.col("f_source")), "left")
     bad = F.lit(False)
-    for m, (e, _, _) in METRICS.items():
-        v = F.expr(e)
-        bad = bad | F.coalesce(v > F.col(f"high_{m}"), F.lit(False)) | F.coalesce(v < F.col(f"low_{m}"), F.lit(False))
-    base = (F.col("n_words") < 50) | (F.col("n_repeat_words") * 100 > F.col("n_words") * 50)
+    for m in METRICS:
+        bad = bad | F.coalesce(_beyond(m), F.lit(False))
+    base = F.expr(BASE_FAILED)
     return joined.withColumn("base_failed", base).withColumn("kept", ~base & ~bad).select(*measured.columns, "base_failed", "kept")
 
 
 def quality_verdicts(docs: DataFrame) -> DataFrame:
     """Base metrics, ``base_failed`` and ``kept`` for every row of ``docs``."""
     measured = settle(measure(docs))  # narrow rows: the texts are read once
-    return judge(measured, settle(thresholds(sketches(measured))))
+    groups = measured.select("lang", "source").distinct()
+    return judge(measured, settle(thresholds(sketches(measured), groups)))

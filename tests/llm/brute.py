@@ -93,3 +93,51 @@ def share_targets(sizes, weights=(3, 1, 2), share=1.5, most=2):
             return goal
         for s in over:
             capped[s] = True
+
+
+def adaptive_kept(rows, prior=50):
+    """{doc_id: kept} of ``(doc_id, lang, source, text)``: fences from sorted lists of weighted values."""
+    def floor(v):
+        size = 1
+        while v // size >= 128:
+            size *= 2
+        return v // size * size
+
+    found = {}
+    for k, lang, source, text in rows:
+        n, chars, symbols, dups, repeats = base_metrics(text)
+        lines = max(1, sum(bool(words(x)) for x in (text or "").split("\n")))
+        found[k] = (lang, source, n < 50 or 2 * repeats > n, [(symbols, max(n, 1), 1000), (repeats, max(n, 1), 1000), (dups, lines, 1000), (chars, max(n, 1), 100)])
+    pick = lambda test: [x for x in found.values() if not x[2] and test(x)]
+    share = lambda docs, m, weight: [(floor(x[3][m][2] * x[3][m][0] // x[3][m][1]), weight) for x in docs]
+
+    def quantiles(lang, source, m, levels):
+        every, of_lang, own = pick(lambda x: True), pick(lambda x: x[0] == lang), pick(lambda x: x[:2] == (lang, source))
+        up = share(of_lang, m, 1) + share(every, m, prior / len(every))
+        up = [(v, w * prior / (len(of_lang) + prior)) for v, w in up]
+        total, out = len(own) + prior, []
+        for q in levels:
+            seen = 0
+            for v, w in sorted(share(own, m, 1) + up):
+                seen += w
+                if seen >= total * (q - 1e-9):
+                    break
+            out.append(v)
+        return out
+
+    cache, kept = {}, {}
+    for k, (lang, source, failed, values) in found.items():
+        for m, levels in enumerate([(0.5, 0.8), (0.5, 0.99), (0.5, 0.99), (0.5, 0.9, 0.1)]):
+            if (lang, source, m) not in cache and not failed:
+                cache[lang, source, m] = quantiles(lang, source, m, levels)
+        kept[k] = not failed
+        for m, reach in enumerate((3, 1, 1, 2)):
+            if kept[k]:
+                count, out_of, scale = values[m]
+                mid, high, *low = cache[lang, source, m]
+                if low:
+                    v = scale * count // out_of
+                    kept[k] = low[0] - reach * (mid - low[0]) <= v <= high + reach * (high - mid)
+                else:
+                    kept[k] = count - 3 * count**0.5 <= out_of * (high + reach * (high - mid)) / scale
+    return kept

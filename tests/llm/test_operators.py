@@ -77,6 +77,42 @@ def test_quality_rules(spark, tables, odd):
             assert r.base_failed == failed and not (failed and r.kept)
 
 
+def test_adaptive_verdicts_equal_brute_force(spark, tables, odd):
+    for docs in (tables("documents", "sf0.01"), odd):
+        rows = [(r.doc_id, r.lang, r.source, r.text) for r in docs.select("doc_id", "lang", "source", "text").collect()]
+        got = {r.doc_id: r.kept for r in quality_rules.quality_verdicts(docs).collect()}
+        assert got == brute.adaptive_kept(rows)
+
+
+def _fences(spark, groups):
+    """Fences of groups of documents given as ``{source: [(n_symbols, n_repeat_words, n_dup_lines, word_chars)]}`` of 1,000 words and lines."""
+    rows = [("en", s, 1000, *x, 1000) for s, docs in groups.items() for x in docs]
+    names = "lang string, source string, n_words long, n_symbols long, n_repeat_words long, n_dup_lines long, word_chars long, n_lines long"
+    df = spark.createDataFrame(rows, names)
+    got = quality_rules.thresholds(quality_rules.sketches(df), df.select("lang", "source").distinct())
+    return {(r.source, r.metric): (r.low, r.high) for r in got.collect()}
+
+
+def test_thresholds_follow_their_group(spark):
+    rng = random.Random(5)
+    draw = lambda scale: [tuple(min(400, int(scale * rng.expovariate(0.05))) for _ in range(3)) + (int(1000 * (4 + scale + rng.random())),) for _ in range(4000)]
+    got = _fences(spark, {"plain": draw(1), "wild": draw(2)})
+    for m in quality_rules.METRICS:
+        assert got["wild", m][1] > 1.1 * got["plain", m][1] > 0, m
+    assert got["wild", "word_length"][0] > got["plain", "word_length"][0]
+
+
+def test_thresholds_have_no_step_at_any_size(spark):
+    # One more document moves the fences of its group a little, whatever the size.
+    spread = [tuple(int(100 + 400 * (k * f % 1)) for f in (0.618034, 0.414214, 0.732051)) + (int(4000 + 4000 * (k * 0.236068 % 1)),) for k in range(1200)]
+    sizes = [*range(20, 24), *range(97, 104), *range(198, 203), *range(998, 1003)]
+    got = _fences(spark, {f"{n:04}": spread[:n] for n in sizes} | {"rest": [(5, 5, 5, 5000)] * 3000})
+    for n, more in itertools.pairwise(sizes):
+        for m in quality_rules.METRICS:
+            x, y = got[f"{n:04}", m][1], got[f"{more:04}", m][1]
+            assert more > n + 1 or abs(x - y) <= 0.15 * x, (n, m, x, y)
+
+
 def test_quality_rules_keep_good_and_drop_bad(spark):
     verdicts = quality_rules.quality_verdicts(spark.read.parquet("/root/testdata/sf0.1/documents.parquet"))
     labels = spark.read.parquet("/root/testdata/sf0.1/labels.parquet")
