@@ -45,6 +45,7 @@ METRICS = {
 }
 PRIOR = 50  # documents that a parent's sketch counts as
 NOISE = 3
+MOST_BROADCAST = 50_000  # groups whose fences go to every task; more are joined by shuffles
 BASE_FAILED = "n_words < 50 or n_repeat_words * 100 > n_words * 50"
 
 
@@ -183,6 +184,8 @@ def judge(measured: DataFrame, fences: DataFrame) -> DataFrame:
         *[F.max(F.when(F.col("metric") == m, F.col(c))).alias(f"{c}_{m}") for m in METRICS for c in ("low", "high")]
     )
     f = wide.withColumnsRenamed({"lang": "f_lang", "source": "f_source"})
+    if fences.count() <= MOST_BROADCAST * len(METRICS):
+        f = F.broadcast(f)
     joined = measured.join(f, F.col("lang").eqNullSafe(F.col("f_lang")) & F.col("source").eqNullSafe(F.col("f_source")), "left")
     bad = F.lit(False)
     for m in METRICS:
