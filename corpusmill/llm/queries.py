@@ -116,14 +116,14 @@ def _op5_sql() -> str:
 with p as (select page_id, {host} as host, date '{FIRST_DAY}' + (page_id % 365)::int as fetched from pages),
 hosts as (select distinct host as value, ('0x' || substr(md5(host), 1, 8))::bigint as h from p where host <> ''),
 listed as (select *, case when h % 2 = 0 then 'host' else 'domain' end as kind, date '{FIRST_DAY}' + (h % 200)::int as t from hosts where h % 3 = 0),
-log as (select kind, value, 'add' as action, t as at from listed
+log as (select kind, value, 'add' as action, t as event_day from listed
   union all select kind, value, 'remove', t + 60 from listed where h % 5 < 3
   union all select kind, value, 'add', t + 90 from listed where h % 7 = 0),
-spans as (select *, lead(at) over (partition by kind, value order by at, action) as until from log),
-valid as (select kind, value, at as since, until from spans where action = 'add'),
+spans as (select *, lead(event_day) over (partition by kind, value order by event_day, action) as until_day from log),
+valid as (select kind, value, event_day as since_day, until_day from spans where action = 'add'),
 hits as (select page_id, count(*) as n, min(value) as first_entry
   from p join valid v on (v.value = p.host or v.kind = 'domain' and ends_with(p.host, '.' || v.value))
-    and v.since <= p.fetched and (v.until is null or p.fetched < v.until) group by 1)
+    and v.since_day <= p.fetched and (v.until_day is null or p.fetched < v.until_day) group by 1)
 select page_id, host, fetched::varchar as fetch_day, coalesce(n, 0)::bigint as n_active, first_entry, n is not null as blocked
 from p left join hits using (page_id)
 """

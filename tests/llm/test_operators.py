@@ -198,6 +198,33 @@ def test_url_filter_against_plain_replay(spark):
     assert got == {i: blocked(u, t) for i, u, t, _ in caps}
 
 
+def test_url_query_equals_its_sql(spark):
+    import duckdb
+
+    for sf in ("sf0.001", "sf0.01"):
+        db = duckdb.connect()
+        db.execute(f"create view pages as select * from '/root/testdata/{sf}/pages.parquet'")
+        names = ["page_id", "host", "fetch_day", "n_active", "first_entry", "blocked"]
+        want = db.execute(f"select {', '.join(names)} from ({queries.oracle_sql()['op5_url_filter']})").fetchall()
+        got = queries.op5_url_filter(spark, f"/root/testdata/{sf}").select(names).collect()
+        assert sorted(map(tuple, got)) == sorted(want)
+    assert {r.blocked for r in got} == {True, False}
+
+
+def test_url_filter_clashing_names_case_and_hot_host(spark):
+    log = [("url", "http://c.net/X", "add", 1), ("domain", "NET", "add", 50), ("host", "H.io", "add", 1)]
+    entries = spark.createDataFrame(log, "kind string, value string, action string, at int")
+    rows = [(k, "http://h.io/", 2, "a", "b", "c", "d", k, 7, {"x": k}, "s") for k in range(300)]
+    rows += [(300, "http://c.net/x", 2, *"abcd", 0, 0, {}, None), (301, "http://c.net/X", 2, *"abcd", 0, 0, None, None), (302, "http://c.net/x", 51, *"abcd", 0, 0, {}, None)]
+    kinds = "id int, url string, fetched int, host string, h_host string, blocked string, value string, salt int, given int, active map<string,int>, `n.x` string"
+    got = url_filter.judge_captures(spark.createDataFrame(rows, kinds), entries)
+    assert got.columns == ["id", "url", "fetched", "host_given", "h_host", "blocked_given", "value", "salt", "given", "active", "n.x", "host", "n_active", "first_entry", "blocked"]
+    assert {r.id: r.blocked for r in got.collect()} == {k: k not in (300,) for k in range(303)}
+    assert url_filter.judge_captures(spark.createDataFrame([], "url string, fetched int"), entries.limit(0)).count() == 0
+    twice = spark.createDataFrame([("http://h.io/", 2)] * 3 + [(None, None)], "url string, fetched int")
+    assert sorted(r.blocked for r in url_filter.judge_captures(twice, entries).collect()) == [False, True, True, True]
+
+
 def test_edit_fingerprints(spark, tables, odd):
     for docs in (tables("documents"), odd):
         rows = sorted(rows_of(docs))
