@@ -31,23 +31,58 @@ from pyspark.sql import functions as F
 
 from ._spark import lean
 
-_UNSEEN = re.compile(r"<!--.*?(?:-->|$)|<(script|style|noscript|template|head)\b[^>]*>.*?(?:</\1\s*>|$)|<![^>]*>|<\?[^>]*>", re.I | re.S)
+_UNSEEN = re.compile(
+    r"<!--.*?(?P<comment>-->|$)|<(?P<name>script|style|noscript|template|head)\b[^>]*>.*?(?P<body></(?P=name)\s*>|$)|<![^>]*>|<\?[^>]*>", re.I | re.S
+)
 _BREAK = re.compile(
     r"</?(?:address|article|aside|blockquote|body|br|center|dd|details|dialog|div|dl|dt|fieldset|figcaption|figure|footer|form|h[1-6]|header|hr|html"
     r"|li|main|nav|ol|option|p|pre|section|table|tbody|tfoot|thead|tr|ul)\b[^>]*>", re.I,
 )
 _CELL, _TAG = re.compile(r"<t[dh]\b[^>]*>", re.I), re.compile(r"</?[A-Za-z][^>]*>")
-_TITLE, _LINK = re.compile(r"<title\b[^>]*>(.*?)</title", re.I | re.S), re.compile(r"<a\s[^>]*\bhref\s*=", re.I)
+_TITLE, _TITLE_END = re.compile(r"<title\b", re.I), re.compile(r"</title", re.I)
+_LINK, _HREF = re.compile(r"<a\s([^>]*)", re.I), re.compile(r"\bhref\s*=", re.I)
 _GAP = re.compile(r"[ \r\n\f\t]+")
 
 
+def _closed(text: str) -> int:
+    """End of the last tag. Up to it every ``[^>]*>`` finds its end, so no scan of a tag is in vain and time grows with the text."""
+    return text.rfind(">") + 1
+
+
+def _sub(pattern: re.Pattern, by: str, text: str) -> str:
+    end = _closed(text)
+    return pattern.sub(by, text[:end]) + text[end:]
+
+
+def _seen(page: str) -> str:
+    """The page without comments, scripts, declarations; an open one lasts to the end."""
+    end, at, out = _closed(page), 0, []
+    for m in _UNSEEN.finditer(page, 0, end):
+        out.append(page[at : m.start()])
+        at = m.end()
+        if m["comment"] == "" or m["body"] == "":
+            return "".join(out)
+    return "".join([*out, page[at:end], page[end:].partition("<!--")[0]])
+
+
 def visible_text(page: str) -> str:
     """Everything visible of a page: blocks on lines, table cells apart by tabs, entities decoded."""
-    flat = _GAP.sub(" ", _UNSEEN.sub("", page))
-    flat = html.unescape(_TAG.sub("", _CELL.sub("\t", _BREAK.sub("\n", flat))))
+    flat = _GAP.sub(" ", _seen(page))
+    flat = html.unescape(_sub(_TAG, "", _sub(_CELL, "\t", _sub(_BREAK, "\n", flat))))
     return "\n".join(line for x in flat.split("\n") if (line := x.strip(" \t")))
 
 
+def title_of(page: str) -> str:
+    """Text of the first title element that is closed, entities decoded."""
+    opened = _TITLE.search(page)
+    begin = page.find(">", opened.end()) + 1 if opened else 0
+    closed = _TITLE_END.search(page, begin) if begin else None
+    return _GAP.sub(" ", html.unescape(page[begin : closed.start()])).strip() if closed else ""
+
+
+def count_links(page: str) -> int:
+    return sum(_HREF.search(m[1]) is not None for m in _LINK.finditer(page))
+
 
 def _digest(block: bytes) -> str:
     return "sha1:" + base64.b32encode(hashlib.sha1(block).digest()).decode()
@@ -94,13 +129,12 @@ def _derive(record_id: str, url: str | None, date: str | None, http: str | None,
     source = _digest(body)
     page = payload or ""
     text = visible_text(page).encode("utf-8")
-    title = _TITLE.search(page)
     conv, meta = _identifier("conversion", record_id), _identifier("metadata", record_id)
     common = [("WARC-Target-URI", url), ("WARC-Date", date), ("WARC-Refers-To", record_id), ("WARC-Payload-Digest", source)]
     kind = next((h.partition(":")[2].strip() for h in (http or "").split("\r\n") if h.lower().startswith("content-type:")), None)
     fields = [
-        ("http-status", (http or "").split("\r\n")[0].partition(" ")[2]), ("http-content-type", kind), ("title", _GAP.sub(" ", html.unescape(title[1])).strip() if title else ""),
-        ("outlinks", str(len(_LINK.findall(page)))), ("text-chars", str(len(text.decode()))), ("conversion", conv), ("conversion-digest", _digest(text)),
+        ("http-status", (http or "").split("\r\n")[0].partition(" ")[2]), ("http-content-type", kind), ("title", title_of(page)),
+        ("outlinks", str(count_links(page))), ("text-chars", str(len(text.decode()))), ("conversion", conv), ("conversion-digest", _digest(text)),
         *(("http-header", h) for h in _headers(http)), *(("source-header", h) for h in _headers(warc)),
     ]
     about = "".join(f"{k}: {re.sub(r'[\r\n]+', ' ', v)}\r\n" for k, v in fields if v).encode("utf-8")
