@@ -16,6 +16,7 @@ scanned each; other columns are ignored by ``scan`` and kept by ``redact``.
 from __future__ import annotations
 
 import hashlib
+import itertools
 import re
 from bisect import bisect_left
 from collections.abc import Iterator
@@ -55,8 +56,10 @@ def linked_spans(text: str, base: list[tuple[int, int, int]], scope: int = SCOPE
     anchors = [(s, e) for s, kind, e in base if kind == 1]
     if not anchors:
         return []
-    taken = [(s, e) for s, _, e in base]
-    weak = [(m.start(), m.end()) for m in _WEAK.finditer(text) if _mixed(m[0]) and not any(s < m.end() and m.start() < e for s, e in taken)]
+    starts = [s for s, _, _ in base]  # sorted
+    reach = list(itertools.accumulate((e for _, _, e in base), max))
+    free = lambda s, e: not (k := bisect_left(starts, e)) or reach[k - 1] <= s
+    weak = [(m.start(), m.end()) for m in _WEAK.finditer(text) if free(m.start(), m.end()) and _mixed(m[0])]
     ends = [(m.start(), m.end()) for m in _ENDPOINT.finditer(text)]
     strong = [(s, e) for s, kind, e in base if kind != 1]
     inside = lambda parts, lo, hi: [p for p in parts[bisect_left(parts, (lo, 0)) : bisect_left(parts, (hi, 0))] if p[1] <= hi]
