@@ -21,6 +21,7 @@ fingerprinted each; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -173,10 +174,17 @@ def _links_apart(named: DataFrame, heads: DataFrame, least: float) -> DataFrame:
     return settle(dealt.groupBy("key", "lo", "hi").applyInPandas(compare, "a long, b long").distinct())
 
 
-def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int = 32, digits: int = 6, seed: int = 5) -> DataFrame:
+def bands_for(least: float, digits: int, missed: float = 2e-5) -> int:
+    """Bands at which a pair of likeness ``least`` shares no bucket with a chance of ``missed`` at most."""
+    shared = (least + (1 - least) / 16) ** digits
+    return math.ceil(math.log(missed) / math.log1p(-shared)) if shared < 1 else 1
+
+
+def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int | None = None, digits: int = 6, seed: int = 5) -> DataFrame:
     """Rows ``(fingerprint, component_id)`` of documents with a likeness of ``least`` or more.
 
-    Bit-sampled banding: each band is ``digits`` random samples. Members of a
+    Bit-sampled banding: each band is ``digits`` random samples; there are as
+    many bands as ``least`` needs, unless ``bands`` says otherwise. Members of a
     bucket are verified on whole fingerprints against its smallest id, then
     against two random pivots. What is still apart is compared block by block,
     so no link inside a bucket is lost. Equal fingerprints collapse first. A
@@ -184,6 +192,7 @@ def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int = 32, digi
     """
     spark = prints.sparkSession
     rng = np.random.default_rng(seed)
+    bands = bands or bands_for(least, digits)
     picks = [sorted(rng.choice(SAMPLES, digits, replace=False).tolist()) for _ in range(bands)]
     heads = settle(prints.groupBy("fingerprint").agg(F.min("doc_id").alias("doc_id")))
     known = heads.where("doc_id is not null")

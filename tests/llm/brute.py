@@ -4,6 +4,8 @@ import hashlib
 import re
 from collections import Counter, defaultdict
 
+import numpy as np
+
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
 
@@ -141,3 +143,54 @@ def adaptive_kept(rows, prior=50):
                 else:
                     kept[k] = count - 3 * count**0.5 <= out_of * (high + reach * (high - mid)) / scale
     return kept
+
+
+def linked_secrets(text, scope=400):
+    """Weak secrets and endpoints beside an access identifier, each part tried with each anchor."""
+    base = [(m.start(), m.end(), "assign") for m in re.finditer(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", text, re.I | re.A) if len(m[2]) >= 6]
+    base += [(m.start(), m.end(), "access") for m in re.finditer("AKIA[A-Z0-9]+", text) if len(m[0]) >= 20]
+    base += [(m.start(), m.end(), "hex") for m in re.finditer("[0-9a-f]+", text) if len(m[0]) >= 24]
+    weak = []
+    for m in re.finditer("[A-Za-z0-9+/_=-]{30,}", text):
+        mixed = re.search("[0-9]", m[0]) and re.search("[A-Z]", m[0]) and re.search("[a-z]", m[0])
+        if mixed and all(e <= m.start() or m.end() <= s for s, e, _ in base):
+            weak.append((m.start(), m.end()))
+    ends = [(m.start(), m.end()) for m in re.finditer(r"https?://[A-Za-z0-9.-]+\.[A-Za-z]{2,}[A-Za-z0-9./_-]*", text)]
+    out = set()
+    for s, e, kind in base:
+        if kind == "access":
+            near = lambda parts: {p for p in parts if s - scope <= p[0] < e + scope and p[1] <= e + scope}  # noqa: B023, E731
+            out |= {(a, "secret", b) for a, b in near(weak)}
+            if near(weak) or near([x[:2] for x in base if x[2] != "access"]):
+                out |= {(a, "endpoint", b) for a, b in near(ends)}
+    return out
+
+
+class PlainWalk:
+    """The edit embedding one step at a time, from the same shared random numbers."""
+
+    def __init__(self, seed=11):
+        rng = np.random.default_rng(seed)
+        self.moves = rng.integers(0, 2, (256, 4096), dtype=np.uint8)
+        self.moves[:, 4095] = 1
+        self.minima = [[1] for _ in range(256)]
+        while min(x[-1] for x in self.minima) < 2**45:
+            for x, u in zip(self.minima, rng.random(256), strict=True):
+                x.append(float(np.floor(x[-1] / u) + 1))
+        self.salt = [int(x) for x in rng.integers(0, 2**63, 256, dtype=np.uint64)]
+
+    def fingerprint(self, text):
+        under, pointer = [], 0  # the pointer at each step
+        while pointer < len(text):
+            move = self.moves[ord(text[pointer]) % 256, len(under) % 4096]
+            under.append(pointer)
+            pointer += int(move)
+        digits = []
+        for salt, minima in zip(self.salt, self.minima, strict=True):
+            value = salt
+            if text:
+                at = under[int(max(x for x in minima if x <= len(under))) - 1]
+                value ^= sum(ord(c) << (21 * k) for k, c in enumerate(text[at : at + 3])) % 2**64
+            value = (value ^ (value >> 31)) * 0x9E3779B97F4A7C15 % 2**64
+            digits.append("%x" % (value >> 60))
+        return "".join(digits)

@@ -283,6 +283,31 @@ def test_edit_query_gives_groups(spark, odd):
     assert edit_fingerprint.grouped_edits(odd.limit(0)).count() == 0
 
 
+def test_edit_fingerprints_equal_the_plain_walk(tables):
+    walk = brute.PlainWalk()
+    for text in ["", "a", "é𝔘x", "z" * 9000, *(r.text or "" for r in tables("documents").limit(40).collect())]:
+        assert edit_fingerprint.fingerprint(text) == walk.fingerprint(text)
+
+
+def test_edit_groups_find_nearly_all_near_pairs(spark):
+    # Copies with more and more edits: brute force over all pairs of fingerprints, then its components.
+    rng = random.Random(12)
+    prints = []
+    for _ in range(60):
+        text = [rng.choice("abcdefgh ") for _ in range(1500)]
+        for _ in range(6):
+            for _ in range(rng.randrange(2, 40)):
+                text[rng.randrange(len(text))] = rng.choice("xyz")
+            prints.append(edit_fingerprint.fingerprint("".join(text)))
+    df = spark.createDataFrame(list(enumerate(prints)), "doc_id long, fingerprint string")
+    for least in (0.8, 0.7, 0.6):
+        near = [(i, j) for (i, x), (j, y) in itertools.combinations(enumerate(prints), 2) if edit_fingerprint.likeness(x, y) >= least]
+        got = {r.doc_id: r.component_id for r in edit_fingerprint.near_groups(df, least=least).collect()}
+        recall = np.mean([got[i] == got[j] for i, j in near])
+        print("recall of near pairs at", least, recall, "of", len(near))
+        assert len(near) > 50 and recall >= 0.99
+
+
 def test_quality_model_on_held_out_labels(spark):
     d = "/root/testdata/sf0.1"
     labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{d}/labels.parquet").collect()}
@@ -354,6 +379,38 @@ def test_visible_text_equals_the_tree_walk(tables):
     assert warc_derivatives.visible_text("a < b<br>c&amp;d <!-- x") == "a < b\nc&d"
 
 
+def test_visible_text_of_open_and_broken_tags():
+    V = warc_derivatives.visible_text
+    assert V("a<!-- b > c") == "a" and V("a<script>b</script>c<script>d <p> e") == "ac" and V("x <b y") == "x <b y"
+    assert V("p<br>q <!-- r") == "p\nq" and V("<div <a <br>z") == "z" and V("a <? b") == "a <? b" and V("<style>a</style >b") == "b"
+    assert warc_derivatives.title_of("<TITLE x> a &amp;\nb </title>") == "a & b" and warc_derivatives.title_of("<title a</title") == ""
+    assert warc_derivatives.title_of("<title>a") == warc_derivatives.title_of("") == ""
+    assert warc_derivatives.count_links("<a href=x><a\tb HREF = y><a c><a <a href=z") == 3
+
+
+def _growth(run, text):
+    """Time for eight times the text over time for one: 8 if linear, 64 if quadratic."""
+    import time
+
+    def took(t):
+        best = 1e9
+        for _ in range(3):
+            began = time.perf_counter()
+            run(t)
+            best = min(best, time.perf_counter() - began)
+        return best
+
+    return took(text * 8) / max(took(text), 1e-4)
+
+
+def test_long_texts_take_time_in_proportion():
+    page = lambda t: (warc_derivatives.visible_text(t), warc_derivatives.title_of(t), warc_derivatives.count_links(t))
+    for piece in ("<a ", "<title", "<title>", "<script", "<!--", "<a <br>", "</script ", "<p <!", "<? "):
+        assert _growth(page, piece * 4000) < 25, piece
+    triple = "AKIA" + "Q" * 16 + " Zx9" + "aB3dE6gH" * 4 + " https://api.store.example.com/v1 token=abcdef1 "
+    assert _growth(lambda t: secret_scan.linked_spans(t, secret_scan.base_spans(t)), triple * 300) < 25
+
+
 def test_warc_odd_responses(spark):
     rows = [(1, None, None), (2, "http://x/", ""), (2, "http://x/", ""), (None, "u", "<p>hi")]
     got = warc_derivatives.derive(warc_derivatives.responses(spark.createDataFrame(rows, "page_id long, url string, html string"))).collect()
@@ -393,11 +450,22 @@ def test_secret_parts_are_linked_only_together():
     assert secret_scan.redact_text(text) == "[access] [secret]" and secret_scan.redact_text(None) is None
 
 
+def test_linked_secrets_equal_brute_force(tables):
+    rng = random.Random(8)
+    parts = ["AKIA" + "Q7" * 9, "Zx9" + "aB3dE6gH" * 4, "https://api.store.example.com/v1", "token=abcdef1", "0a" * 15, "lower" * 9, "word " * 30, "x " * 190, "AKIA", " "]
+    texts = [" ".join(rng.choice(parts) for _ in range(rng.randrange(30))) for _ in range(300)]
+    texts += ["".join(rng.choice(parts) for _ in range(rng.randrange(30))) for _ in range(100)]
+    for text in [*texts, *(r.text or "" for r in tables("documents").collect())]:
+        got = secret_scan.linked_spans(text, secret_scan.base_spans(text))
+        assert {(s, secret_scan.KINDS[k], e) for s, k, e in got} == brute.linked_secrets(text), text
+
+
 def test_empty_tables(spark, empty):
     none = spark.createDataFrame([], "doc_id long, quality int")
     results = [
         near_dedup.near_duplicates(empty), quality_rules.quality_verdicts(empty), bpe.encode_documents(empty, queries.tokenizer_path()), suffix_dedup.deduplicate(empty),
-        edit_fingerprint.compare_edits(empty), quality_model.quality_scores(empty, none), mixture_fit.mix(empty), secret_scan.scan(empty), secret_scan.redact(empty),
+        edit_fingerprint.compare_edits(empty), edit_fingerprint.grouped_edits(empty), edit_fingerprint.near_groups(edit_fingerprint.fingerprints(empty)),
+        warc_derivatives.derive(warc_derivatives.responses(spark.createDataFrame([], "page_id long, url string, html string"))), quality_model.quality_scores(empty, none), mixture_fit.mix(empty), secret_scan.scan(empty), secret_scan.redact(empty),
     ]
     assert [r.count() for r in results] == [0] * len(results)
 
