@@ -21,7 +21,9 @@ fingerprinted each; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import itertools
 import math
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,9 +33,10 @@ from pyspark.sql import functions as F
 
 from ._spark import lean, map_frames, partitions, release, settle
 from .components import connected_components
-from .near_dedup import BLOCK, _named, _to_pivots
+from .near_dedup import _named, _to_pivots
 
 SAMPLES, PERIOD, CLASSES = 256, 4096, 256
+BLOCK = 4096  # fingerprints of 128 bytes that a task compares with as many
 _DIGITS = np.frombuffer(b"0123456789abcdef", np.uint8)
 
 
@@ -112,26 +115,31 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return map_frames(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, fingerprint string")
 
 
+#: Equal digits of two bytes of packed fingerprints, by their exclusive or.
+_EQUAL = np.array([(x < 16) + (x % 16 == 0) for x in range(256)], np.uint8)
+
+
 def _verified(pairs: DataFrame, heads: DataFrame, least: float) -> DataFrame:
     """Links of ``pairs`` that hold on whole fingerprints."""
-    side = lambda x: heads.select(F.col("doc_id").alias(x), F.col("fingerprint").alias(f"f_{x}"))
+    side = lambda x: heads.select(F.col("doc_id").alias(x), F.col("print").alias(f"f_{x}"))
 
     @lean
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for p in batches:
             if len(p):
                 x, y = (_matrix(p[f"f_{k}"]) for k in "ab")
-                yield p.loc[_likeness_of((x == y).sum(axis=1)) >= least, ["a", "b"]]
+                yield p.loc[_likeness_of(x, y) >= least, ["a", "b"]]
 
     got = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "f_a", "f_b").mapInPandas(run, "a long, b long")
     return settle(got.distinct())
 
 
 def _matrix(prints: pd.Series) -> np.ndarray:
-    return np.frombuffer("".join(prints).encode(), np.uint8).reshape(len(prints), SAMPLES)
+    return np.frombuffer(b"".join(prints), np.uint8).reshape(len(prints), SAMPLES // 2)
 
 
-def _likeness_of(same: np.ndarray) -> np.ndarray:
+def _likeness_of(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    same = _EQUAL[x ^ y].sum(axis=1, dtype=np.int64)
     return np.maximum(0.0, (same / SAMPLES - 1 / 16) * 16 / 15)
 
 
@@ -162,9 +170,9 @@ def _links_apart(named: DataFrame, heads: DataFrame, least: float) -> DataFrame:
 
         out, rest = group[group["outer"]], group[~group["outer"]]
         if len(out) and len(rest):
-            prints, ids, comp = _matrix(rest["fingerprint"]), rest["doc_id"].to_numpy(), rest["component"].to_numpy()
-            for k, c, own in zip(out["doc_id"], out["component"], _matrix(out["fingerprint"]), strict=True):
-                for j in np.flatnonzero((_likeness_of((prints == own).sum(axis=1)) >= least) & (comp != c)):
+            prints, ids, comp = _matrix(rest["print"]), rest["doc_id"].to_numpy(), rest["component"].to_numpy()
+            for k, c, own in zip(out["doc_id"], out["component"], _matrix(out["print"]), strict=True):
+                for j in np.flatnonzero((_likeness_of(prints, own) >= least) & (comp != c)):
                     x, y = find(c), find(comp[j])
                     if x != y:
                         root[x] = y
@@ -181,7 +189,9 @@ def bands_for(least: float, digits: int, missed: float = 2e-5) -> int:
 
 
 def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int | None = None, digits: int = 6, seed: int = 5) -> DataFrame:
-    """Rows ``(fingerprint, component_id)`` of documents with a likeness of ``least`` or more.
+    """Rows ``(print, component_id)`` of the ``prints(doc_id, print)`` with a likeness of ``least`` or more.
+
+    A print is a fingerprint packed to bytes.
 
     Bit-sampled banding: each band is ``digits`` random samples; there are as
     many bands as ``least`` needs, unless ``bands`` says otherwise. Members of a
@@ -194,10 +204,10 @@ def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int | None = N
     rng = np.random.default_rng(seed)
     bands = bands or bands_for(least, digits)
     picks = [sorted(rng.choice(SAMPLES, digits, replace=False).tolist()) for _ in range(bands)]
-    heads = settle(prints.groupBy("fingerprint").agg(F.min("doc_id").alias("doc_id")))
+    heads = settle(prints.groupBy("print").agg(F.min("doc_id").alias("doc_id")))
     known = heads.where("doc_id is not null")
     # Six digits are 24 bits: a number of a band and its digits is exact.
-    code = lambda k, pick: F.conv(F.concat(*[F.substring("fingerprint", p + 1, 1) for p in pick]), 16, 10).cast("long") * bands + k
+    code = lambda k, pick: F.conv(F.concat(*[F.substring(F.hex("print"), p + 1, 1) for p in pick]), 16, 10).cast("long") * bands + k
     entries = known.select("doc_id", F.explode(F.array(*[code(k, pick) for k, pick in enumerate(picks)])).alias("key"))
     buckets = entries.groupBy("key").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1")
     members = settle(entries.join(buckets, "key").select("key", "doc_id", "first", "n"))
@@ -220,19 +230,30 @@ def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int | None = N
         labels = settle(connected_components(links.unionByName(_links_apart(named, known, least))))
     del named, members, links, stars
     release(spark)
-    return heads.join(labels, F.col("doc_id") == F.col("node"), "left").select("fingerprint", F.coalesce("component", "doc_id").alias("component_id"))
+    return heads.join(labels, F.col("doc_id") == F.col("node"), "left").select("print", F.coalesce("component", "doc_id").alias("component_id"))
 
 
 def near_groups(prints: DataFrame, **options) -> DataFrame:
-    """Rows ``(doc_id, component_id)``, one per row of ``prints``; options as in ``print_groups``."""
-    return prints.join(print_groups(prints, **options), "fingerprint").select("doc_id", "component_id")
+    """Rows ``(doc_id, component_id)``, one per row of ``prints(doc_id, fingerprint)``; options as in ``print_groups``."""
+    packed = prints.select("doc_id", F.unhex("fingerprint").alias("print"))
+    return packed.join(print_groups(packed, **options), "print").select("doc_id", "component_id")
 
 
 def grouped_edits(docs: DataFrame) -> DataFrame:
     """``compare_edits`` with the near group of each document as ``component_id``."""
-    edits = settle(compare_edits(docs))
+    edits = settle(_edits(docs))  # narrow rows; the shuffle files of the texts go before the groups are sought
     release(docs.sparkSession)
-    return edits.join(print_groups(edits.select("doc_id", "fingerprint")), "fingerprint").select(*edits.columns, "component_id")
+    groups = print_groups(edits.select("doc_id", "print"))
+    return _shown(edits.join(groups, "print")).select(*RESULTS, "component_id")
+
+
+RESULTS = ("doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next")
+
+
+def _shown(edits: DataFrame) -> DataFrame:
+    """Packed digests and fingerprints as hexadecimal digits."""
+    digits = {"edited_sha256": "edited_sha", "fingerprint": "print", "edited_fingerprint": "edited_print"}
+    return edits.withColumns({name: F.lower(F.hex(packed)) for name, packed in digits.items()})
 
 
 def compare_edits(docs: DataFrame) -> DataFrame:
@@ -244,6 +265,27 @@ def compare_edits(docs: DataFrame) -> DataFrame:
     row of the next one, so no global order of texts is made. A null doc_id
     comes last; rows with equal doc_id are ordered by text.
     """
+    return _shown(_edits(docs)).select(*RESULTS)
+
+
+@lean
+def _pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for b in batches:
+        packed = [zlib.compress(t.encode("utf-8"), 1) for t in b["text"]]
+        yield b[["part", "k", "guest"]].assign(packed=pd.Series(packed, b.index, object))
+
+
+def _in_order(part: pd.DataFrame) -> Iterator[bytes]:
+    """Packed texts by key; those of one key by text."""
+    k, packed = part["k"].to_numpy(), part["packed"].to_numpy()
+    order = np.argsort(k, kind="stable")
+    starts = np.flatnonzero(np.r_[True, k[order][1:] != k[order][:-1]])
+    for tied in np.split(order, starts[1:]):
+        yield from sorted(packed[tied], key=zlib.decompress) if len(tied) > 1 else packed[tied]
+
+
+def _edits(docs: DataFrame) -> DataFrame:
+    """``compare_edits`` with packed digests and fingerprints."""
     spark = docs.sparkSession
     slim = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(2**63 - 1)).alias("k"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     parts = partitions(spark)
@@ -256,37 +298,36 @@ def compare_edits(docs: DataFrame) -> DataFrame:
     # One row for each range: its size is the number of ranges, whatever the input.
     rows = slim.withColumn("part", deal("k")).withColumn("guest", F.lit(False)).select("part", "k", "text", "guest")
     extra = slim.join(F.broadcast(guests), "k").withColumn("guest", F.lit(True)).select("part", "k", "text", "guest")
+    dealt = rows.unionByName(extra).mapInPandas(_pack, "part long, k long, guest boolean, packed binary")
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
         e = _embedding()
-        own = part[~part["guest"]].sort_values(["k", "text"])
-        guest = part[part["guest"]].sort_values(["k", "text"])
-        texts = [*own["text"], guest["text"].iloc[0]]
+        own = part[~part["guest"]]
+        texts = itertools.chain(_in_order(own), itertools.islice(_in_order(part[part["guest"]]), 1))  # unpacked one by one
+        unpacked = (zlib.decompress(t).decode("utf-8") for t in texts)
         out = []
-        codes = _codes(texts[0])
+        following = next(unpacked)
+        codes = _codes(following)
         arrivals, steps = e.walk(codes)
         print_ = e.sample(codes, np.array(arrivals, np.int64), steps)
-        for i, k in enumerate(own["k"]):
-            text, following = texts[i], texts[i + 1]
+        for k in np.sort(own["k"].to_numpy()):
+            text, following = following, next(unpacked)
             n = len(text)
             cut = n - n // 4
             tail = _codes(following[: n // 4])
             more, total = e.walk(tail, arrivals[cut] if cut < n else steps)
             edited = np.concatenate([codes[:cut], tail])
             edited_print = e.sample(edited, np.array(arrivals[:cut] + more, np.int64), total)
-            sha = hashlib.sha256((text[:cut] + following[: n // 4]).encode("utf-8")).hexdigest()
+            sha = hashlib.sha256((text[:cut] + following[: n // 4]).encode("utf-8")).digest()
             codes = _codes(following)
             arrivals, steps = e.walk(codes)
             next_print = e.sample(codes, np.array(arrivals, np.int64), steps)
-            out.append((k, n, sha, print_, edited_print, likeness(print_, edited_print), likeness(print_, next_print)))
+            out.append((k, n, sha, bytes.fromhex(print_), bytes.fromhex(edited_print), likeness(print_, edited_print), likeness(print_, next_print)))
             print_ = next_print
-        names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
+        names = ["doc_id", "n_chars", "edited_sha", "print", "edited_print", "near_edited", "near_next"]
         return pd.DataFrame(out, columns=names)
 
-    done = rows.unionByName(extra).groupBy("part").applyInPandas(
-        run,
-        "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double",
+    done = dealt.groupBy("part").applyInPandas(
+        run, "doc_id long, n_chars long, edited_sha binary, print binary, edited_print binary, near_edited double, near_next double"
     )
     return done.withColumn("doc_id", F.nullif("doc_id", F.lit(2**63 - 1)))
-
-
