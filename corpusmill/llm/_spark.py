@@ -11,6 +11,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import StructType
 
@@ -39,6 +40,18 @@ def partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+def join_hot(left: DataFrame, right: DataFrame, key: str, rows: int) -> DataFrame:
+    """Inner join by ``key`` that splits hot keys.
+
+    ``right`` has one row a key with the number ``n`` of its rows in ``left``,
+    which has ``rows`` in all. Keys with over a thousandth of them are 999 at
+    most: their rows are broadcast, so ``left`` is not dealt by them.
+    """
+    hot = F.broadcast(right.where(F.col("n") * 1000 > rows))
+    cold = left.join(F.broadcast(hot.select(key)), key, "left_anti").join(right.where(F.col("n") * 1000 <= rows), key)
+    return left.join(hot, key).unionByName(cold)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -7,9 +7,14 @@ equal offsets, so only suffixes that begin at minimisers need sorting, and of
 these only the ones whose gram occurs in two different texts.
 
 1. ``_shared``: each task sends the minimiser hashes of its texts as flat
-   blobs, dealt by hash; those seen in two texts come back per text.
+   blobs, dealt by hash; those seen in two texts come back per text. Of a hash
+   that a task sees in many texts only the first and the last owner are sent:
+   the others are known to share it at once.
 2. ``_runs``: each task sorts the suffixes at these minimisers (with the bytes
    before them as a second key), and sends front-coded sorted runs by range.
+   Of equal strings in a run only those of the smallest document are sent: the
+   stretches of the others are settled at once and joined per document. So a
+   passage that a third of all documents hold costs its range a row a run.
 3. ``_merge``: each range merges its runs with a loser tree that carries common
    prefix lengths and only ever looks at bytes beyond a known prefix. Common
    prefixes of the merged order, and hashes of the bytes before, give for each
@@ -17,11 +22,13 @@ these only the ones whose gram occurs in two different texts.
 4. The covered stretches go back per document and are cut out.
 
 Texts that are equal as a whole are compared by digest first; only the smallest
-id of each is sorted, whatever their number.
+id of each is sorted, whatever their number. A text is known by ``DIGITS`` of its
+digest on the way; of texts that share these bits all suffixes are sorted.
 
 Edge cases: null counts as empty; texts shorter than ``length`` lose nothing;
-doc_id is taken as unique (rows that repeat a whole row give equal results);
-rows with a null doc_id keep all their bytes; other columns are ignored.
+rows that repeat a whole row give equal results, and different texts under one
+doc_id are cut each for itself; rows with a null doc_id keep all their bytes;
+other columns are ignored.
 """
 
 from __future__ import annotations
@@ -32,12 +39,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, GroupedData
 from pyspark.sql import functions as F
 
-from ._spark import lean, map_frames, partitions, release, settle
+from ._spark import join_hot, lean, map_frames, partitions, release, settle
 
 GRAM = 24
+DIGITS = 15  # hexadecimal digits of a digest that name a text on the way
+PART_BYTES, MOST_PARTS = 64 << 20, 100_000  # bytes of text behind a part, beyond the session's partitions
 _MIX1, _MIX2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _BASE = 0x100000001B3
 
@@ -76,8 +85,13 @@ def minimisers(raw: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
     return at, h[at]
 
 
-def _key(text: bytes) -> int:
-    return int(hashlib.md5(text).hexdigest()[:15], 16)
+def _key(text: bytes, digits: int) -> int:
+    return int(hashlib.sha256(text).hexdigest()[:digits], 16)
+
+
+def _owner(sha: Column, digits: int) -> Column:
+    """``_key`` of a text by its hexadecimal digest."""
+    return F.conv(F.substring(sha, 1, digits), 16, 10).cast("long")
 
 
 def _dealt(owner: np.ndarray, values: list[np.ndarray], parts: np.ndarray, names: list[str]) -> pd.DataFrame:
@@ -94,20 +108,29 @@ def _flat(blobs: pd.Series, kind: str) -> np.ndarray:
     return np.frombuffer(b"".join(blobs), kind)
 
 
-def _per_owner(dealt: DataFrame, name: str, width: int) -> DataFrame:
-    """Blobs dealt by owner to rows ``(owner, name)``, one for each owner."""
+def _met(dealt: DataFrame, parts: int) -> GroupedData:
+    """Groups by part; more parts than the session's partitions are tasks of their own."""
+    if parts > partitions(dealt.sparkSession):
+        dealt = dealt.repartition(parts, "part")
+    return dealt.groupBy("part")
+
+
+def _per_owner(dealt: DataFrame, owners: list[str], name: str, width: int, parts: int) -> DataFrame:
+    """Blobs dealt by owner to rows ``(*owners, name)``, one for each owner."""
 
     def collect(part: pd.DataFrame) -> pd.DataFrame:
-        owner, value = _flat(part["owner"], "<i8"), _flat(part[name], f"V{width}")
-        order = np.argsort(owner, kind="stable")
+        owner, value = _flat(part["owner"], "<i8").reshape(-1, len(owners)), _flat(part[name], f"V{width}")
+        order = np.lexsort(owner.T)
         owner = owner[order]
-        starts = np.flatnonzero(np.r_[True, owner[1:] != owner[:-1]]) if len(owner) else np.empty(0, int)
-        return pd.DataFrame({"owner": owner[starts], name: [x.tobytes() for x in np.split(value[order], starts[1:])] if len(owner) else []})
+        starts = np.flatnonzero(np.r_[True, (owner[1:] != owner[:-1]).any(axis=1)]) if len(owner) else np.empty(0, int)
+        blobs = [x.tobytes() for x in np.split(value[order], starts[1:])] if len(owner) else []
+        return pd.DataFrame({**{k: owner[starts, i] for i, k in enumerate(owners)}, name: blobs})
 
-    return dealt.groupBy("part").applyInPandas(collect, f"owner long, {name} binary")
+    kinds = ", ".join(f"{k} long" for k in owners)
+    return _met(dealt, parts).applyInPandas(collect, f"{kinds}, {name} binary")
 
 
-def _shared(texts: DataFrame, length: int, parts: int) -> DataFrame:
+def _shared(texts: DataFrame, length: int, parts: int, digits: int) -> DataFrame:
     """Rows ``(owner, hashes)``: minimiser hashes of a text that another text has too."""
 
     @lean
@@ -116,14 +139,23 @@ def _shared(texts: DataFrame, length: int, parts: int) -> DataFrame:
 
         def flush() -> pd.DataFrame:
             owner, h = np.concatenate(owners), np.concatenate(hashes)
-            return _dealt(owner, [h], (h % np.uint64(parts)).astype(np.int64), ["h"])
+            order = np.lexsort((owner, h))
+            owner, h = owner[order], h[order]
+            new = np.r_[True, (h[1:] != h[:-1]) | (owner[1:] != owner[:-1])]
+            owner, h = owner[new], h[new]
+            starts = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+            ends = np.zeros(len(h), bool)
+            ends[starts] = ends[np.r_[starts[1:], len(h)] - 1] = True
+            open_ = _dealt(owner[ends], [h[ends]], (h[ends] % np.uint64(parts)).astype(np.int64), ["h"])
+            known = _dealt(owner[~ends], [h[~ends]], -1 - owner[~ends] % parts, ["h"])
+            return pd.concat([open_, known])
 
         for b in batches:
             for text in b["text"]:
                 raw = text.encode("utf-8")
                 h = np.unique(minimisers(np.frombuffer(raw, np.uint8), length)[1])
                 if len(h):
-                    owners.append(np.full(len(h), _key(raw), "<i8"))
+                    owners.append(np.full(len(h), _key(raw, digits), "<i8"))
                     hashes.append(h)
                     size += len(h)
                 if size > 4_000_000:
@@ -134,6 +166,8 @@ def _shared(texts: DataFrame, length: int, parts: int) -> DataFrame:
 
     def meet(part: pd.DataFrame) -> pd.DataFrame:
         owner, h = _flat(part["owner"], "<i8"), _flat(part["h"], "<u8")
+        if part["part"].iloc[0] < 0:  # known to be shared
+            return _dealt(owner, [h], owner % parts, ["h"])
         order = np.lexsort((owner, h))
         owner, h = owner[order], h[order]
         starts = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
@@ -144,64 +178,110 @@ def _shared(texts: DataFrame, length: int, parts: int) -> DataFrame:
         return _dealt(owner, [h], owner % parts, ["h"])
 
     kind = "part long, owner binary, h binary"
-    met = texts.select("text").mapInPandas(send, kind).groupBy("part").applyInPandas(meet, kind)
-    return _per_owner(met, "h", 8)
+    met = _met(texts.select("text").mapInPandas(send, kind), parts).applyInPandas(meet, kind)
+    return _per_owner(met, ["owner"], "h", 8, parts)
 
 
-def _packed(texts: DataFrame) -> DataFrame:
-    """Rows ``(doc_id, packed)``: each text's bytes compressed before they are shuffled by id; null stays null."""
+def _packed(texts: DataFrame, digits: int) -> DataFrame:
+    """Rows ``(doc_id, owner, packed)``: each text's bytes compressed before they are shuffled by id; null stays null."""
 
     @lean
     def pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            packed = [None if t is None else zlib.compress(t.encode("utf-8"), 1) for t in b["text"]]
-            yield pd.DataFrame({"doc_id": b["doc_id"], "packed": pd.Series(packed, b.index, object)})
+            packed, owners = [], []
+            for t in b["text"]:
+                raw = None if t is None else t.encode("utf-8")
+                packed.append(None if raw is None else zlib.compress(raw, 1))
+                owners.append(None if raw is None else _key(raw, digits))
+            yield pd.DataFrame({"doc_id": b["doc_id"], "owner": pd.Series(owners, b.index, "Int64"), "packed": pd.Series(packed, b.index, object)})
 
-    return map_frames(texts.select("doc_id", "text"), pack, "doc_id long, packed binary")
+    return map_frames(texts.select("doc_id", "text"), pack, "doc_id long, owner long, packed binary")
 
 
-def _splitters(docs: DataFrame, parts: int) -> np.ndarray:
-    """Bounds of the suffix ranges, from a few texts; they shape tasks, not results."""
-    rows = docs.select("text").where("text is not null").limit(300).collect()
-    raw = [r.text.encode("utf-8")[:100_000] for r in rows]
-    grams = sorted(t[i : i + GRAM] for t in raw for i in range(0, len(t) - GRAM, 29))
+def _grams(text: Column, sha: Column, count: int = 2) -> Column:
+    """A few grams of a text at places that its digest tells."""
+    raw = text.cast("binary")
+    place = lambda k: F.pmod(F.xxhash64(sha, F.lit(k)), F.octet_length(text) - GRAM + 1).cast("int") + 1
+    return F.array(*[F.substring(raw, place(k), F.lit(GRAM)) for k in range(count)])
+
+
+def _splitters(digests: DataFrame, docs: int, parts: int, most: int = 100_000) -> np.ndarray:
+    """Bounds of the suffix ranges, from the grams of about ``most`` documents at most; they shape tasks, not results."""
+    rows = digests.sample(min(1.0, most / max(docs, 1)), seed=1).select(F.explode("grams").alias("gram")).collect()
+    grams = sorted(bytes(r.gram) for r in rows)
     return np.array([grams[len(grams) * k // parts] for k in range(1, parts)] if grams else [], f"S{GRAM}")
 
 
-def _runs(texts: DataFrame, length: int, bounds: np.ndarray) -> DataFrame:
-    """Front-coded sorted runs ``(part, lcp, rest, copies, doc, at)`` of suffixes at shared minimisers."""
+def _stretches(grid: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """First and last offset before a minimiser at which a window of ``length`` bytes lies within its text."""
+    before = length - GRAM
+    outside = grid == 255
+    n_right = np.where(outside[:, :length].any(axis=1), outside[:, :length].argmax(axis=1), length)
+    n_left = np.where(outside[:, length:].any(axis=1), outside[:, length:].argmax(axis=1), before)
+    return length - n_right, n_left
+
+
+def _joined(owner: np.ndarray, begin: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Stretches of each owner without overlap, as owners and pairs of 32-bit offsets."""
+    order = np.lexsort((begin, owner[:, 1], owner[:, 0]))
+    owner, begin, end = owner[order], begin[order], end[order]
+    group = np.cumsum(np.r_[0, (owner[1:] != owner[:-1]).any(axis=1)]) << 33
+    reach = np.maximum.accumulate(end + group)
+    new = np.flatnonzero(np.r_[True, (begin + group)[1:] > reach[:-1]])
+    last = np.r_[new[1:], len(owner)] - 1
+    pairs = np.stack([begin[new], reach[last] - group[last]], axis=1).astype("<u4")
+    return owner[new], np.ascontiguousarray(pairs).view("V8").ravel()
+
+
+def _runs(texts: DataFrame, length: int, bounds: np.ndarray, parts: int) -> DataFrame:
+    """Front-coded sorted runs ``(part, lcp, rest, copies, doc, at)`` of suffixes at shared minimisers.
+
+    Negative parts hold stretches that a run settles by itself: their owners in ``doc``, the offsets in ``at``.
+    """
     before = length - GRAM
     width = length + before
 
+    names = ["part", "lcp", "rest", "copies", "doc", "at"]
+
     def run_of(grid: np.ndarray, doc: np.ndarray, at: np.ndarray) -> pd.DataFrame:
         flat = np.ascontiguousarray(grid).view(f"S{width}").ravel()
-        order = np.lexsort((doc, flat))
+        order = np.lexsort((doc[:, 0], flat))
         grid, doc, at = grid[order], doc[order], at[order]
         differ = grid[1:] != grid[:-1]
         lcp = np.r_[0, np.where(differ.any(axis=1), differ.argmax(axis=1), width)]
-        part = np.searchsorted(bounds, np.ascontiguousarray(grid[:, :GRAM]).view(f"S{GRAM}").ravel(), "right")
         new = np.flatnonzero(lcp < width)
-        copies = np.diff(np.r_[new, len(grid)])
+        times = np.diff(np.r_[new, len(grid)])
+        later = doc[:, 0] > np.repeat(doc[new, 0], times)
         rows = []
+        if later.any():
+            low, high = _stretches(grid[later], length)
+            inside = low <= high
+            owner, span = _joined(doc[later][inside], (at[later] - high)[inside], (at[later] - low)[inside] + length)
+            found = _dealt(owner, [span], -1 - owner[:, 0] % parts, ["span"])
+            rows += [(p, b"", b"", b"", zlib.compress(o, 1), zlib.compress(x, 1)) for p, o, x in found.itertuples(index=False)]
+        times = np.add.reduceat(~later, new, dtype=np.int64)
+        strings, known, doc, at = grid[new], lcp[new], doc[~later], at[~later]
+        part = np.searchsorted(bounds, np.ascontiguousarray(strings[:, :GRAM]).view(f"S{GRAM}").ravel(), "right")
+        ends = np.r_[0, np.cumsum(times)]
         for p in np.unique(part):
             lo, hi = np.searchsorted(part, [p, p + 1])
-            mine = new[np.searchsorted(new, lo) : np.searchsorted(new, hi)]
-            known = lcp[mine].copy()
-            known[0] = 0
-            rest = grid[mine][np.arange(width)[None, :] >= known[:, None]]
-            times = copies[np.searchsorted(new, lo) : np.searchsorted(new, hi)]
-            blobs = known.astype("u1"), rest, times.astype("<u4"), doc[lo:hi], at[lo:hi].astype("<u4")
+            mine = known[lo:hi].copy()
+            mine[0] = 0
+            rest = strings[lo:hi][np.arange(width)[None, :] >= mine[:, None]]
+            docs = slice(ends[lo], ends[hi])
+            blobs = mine.astype("u1"), rest, times[lo:hi].astype("<u4"), doc[docs], at[docs].astype("<u4")
             rows.append((int(p), *(zlib.compress(x.tobytes(), 1) for x in blobs)))
-        return pd.DataFrame(rows, columns=["part", "lcp", "rest", "copies", "doc", "at"])
+        return pd.DataFrame(rows, columns=names)
 
     @lean
     def send(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         grids, docs, ats, size = [], [], [], 0
         for b in batches:
-            for doc, packed, h in zip(b["doc_id"], b["packed"], b["h"], strict=True):
+            for doc, owner, packed, h in zip(b["doc_id"], b["owner"], b["packed"], b["h"], strict=True):
                 raw = np.frombuffer(zlib.decompress(packed), np.uint8)
                 at, own = minimisers(raw, length)
-                at = at[np.isin(own, np.frombuffer(h, "<u8"))]
+                if h is not None:
+                    at = at[np.isin(own, np.frombuffer(h, "<u8"))]
                 if not len(at):
                     continue
                 # 255 is in no UTF-8 text: it stands for what lies outside of this one.
@@ -209,7 +289,7 @@ def _runs(texts: DataFrame, length: int, bounds: np.ndarray) -> DataFrame:
                 right = wide[before + at[:, None] + np.arange(length)]
                 left = wide[before + at[:, None] - 1 - np.arange(before)]
                 grids.append(np.hstack([right, left]))
-                docs.append(np.full(len(at), doc, "<i8"))
+                docs.append(np.broadcast_to(np.array([doc, owner], "<i8"), (len(at), 2)))
                 ats.append(at)
                 size += len(at)
                 if size > 300_000:
@@ -218,7 +298,7 @@ def _runs(texts: DataFrame, length: int, bounds: np.ndarray) -> DataFrame:
         if size:
             yield run_of(np.concatenate(grids), np.concatenate(docs), np.concatenate(ats))
 
-    return texts.select("doc_id", "packed", "h").mapInPandas(send, "part long, lcp binary, rest binary, copies binary, doc binary, at binary")
+    return texts.select("doc_id", "owner", "packed", "h").mapInPandas(send, "part long, lcp binary, rest binary, copies binary, doc binary, at binary")
 
 
 def unpack_run(lcp: bytes, rest: bytes, width: int) -> list[bytes]:
@@ -299,11 +379,15 @@ def merge_runs(runs: list[tuple[list[bytes], bytes]], width: int) -> tuple[list[
 
 
 def _merge(runs: DataFrame, length: int, parts: int) -> DataFrame:
-    """Rows ``(owner, span)``: stretches of documents that a smaller document has too."""
+    """Rows ``(doc_id, owner, span)``: stretches of documents that a smaller document has too."""
     before = length - GRAM
     width = length + before
 
     def merge(part: pd.DataFrame) -> pd.DataFrame:
+        if part["part"].iloc[0] < 0:  # settled in their runs
+            row, span = (_flat(part[x].map(zlib.decompress), kind) for x, kind in (("doc", "<i8"), ("at", "V8")))
+            row = row.reshape(-1, 2)
+            return _dealt(row, [span], row[:, 0] % parts, ["span"])
         for name in ("lcp", "rest", "copies", "doc", "at"):
             part[name] = part[name].map(zlib.decompress)
         packed = [(unpack_run(lcp, rest, width), lcp) for lcp, rest in zip(part["lcp"], part["rest"], strict=True)]
@@ -317,13 +401,12 @@ def _merge(runs: DataFrame, length: int, parts: int) -> DataFrame:
         assert sizes.sum() == len(order)
         copies = _flat(part["copies"], "<u4").astype(np.int64)
         begins = np.cumsum(copies) - copies
-        doc, at = _flat(part["doc"], "<i8"), _flat(part["at"], "<u4").astype(np.int64)
+        row_of, at = _flat(part["doc"], "<i8").reshape(-1, 2), _flat(part["at"], "<u4").astype(np.int64)
+        doc = row_of[:, 0]
         first = np.minimum.reduceat(doc, begins)[entry]
         owner = np.empty(len(doc), np.int64)  # the merged string of each occurrence
         owner[:] = np.repeat(np.argsort(entry, kind="stable"), copies)
-        outside = grid == 255
-        n_right = np.where(outside[:, :length].any(axis=1), outside[:, :length].argmax(axis=1), length)
-        n_left = np.where(outside[:, length:].any(axis=1), outside[:, length:].argmax(axis=1), before)
+        low, high = _stretches(grid, length)
         covered = np.zeros((len(doc), before + 3), bool)
         left = np.zeros(len(grid), np.uint64)
         for o in range(before + 1):
@@ -336,17 +419,18 @@ def _merge(runs: DataFrame, length: int, parts: int) -> DataFrame:
             starts = np.flatnonzero(np.r_[True, key[by][1:] != key[by][:-1]])
             least = np.empty(len(key), np.int64)
             least[by] = np.repeat(np.minimum.reduceat(first[by], starts), np.diff(np.r_[starts, len(by)]))
-            ok = (n_right >= length - o) & (n_left >= o)
+            ok = (low <= o) & (o <= high)
             covered[:, o + 1] = ok[owner] & (least[owner] < doc)
         step = np.diff(covered.astype(np.int8), axis=1)
         row, lo = np.nonzero(step == 1)
         hi = np.nonzero(step == -1)[1]
-        begin, end = at[row] - (hi - 1), at[row] - lo + length
-        span = np.ascontiguousarray(np.stack([begin, end], axis=1).astype("<u4")).view("V8").ravel()
-        return _dealt(doc[row], [span], doc[row] % parts, ["span"])
+        if not len(row):
+            return pd.DataFrame([], columns=["part", "owner", "span"])
+        owner, span = _joined(row_of[row], at[row] - (hi - 1), at[row] - lo + length)
+        return _dealt(owner, [span], owner[:, 0] % parts, ["span"])
 
-    met = runs.groupBy("part").applyInPandas(merge, "part long, owner binary, span binary")
-    return _per_owner(met, "span", 8)
+    met = _met(runs, parts).applyInPandas(merge, "part long, owner binary, span binary")
+    return _per_owner(met, ["doc_id", "owner"], "span", 8, parts)
 
 
 def _cut(packed: bytes | None, spans: bytes | None, whole: bool, length: int) -> tuple[int, int, int, bytes]:
@@ -365,37 +449,45 @@ def _cut(packed: bytes | None, spans: bytes | None, whole: bool, length: int) ->
     return len(raw), int((end - begin).sum()), len(new), keep
 
 
-def repeated_spans(docs: DataFrame, length: int = 50) -> DataFrame:
-    """Rows ``(doc_id, spans, whole)`` of documents with something to remove.
+def repeated_spans(docs: DataFrame, length: int = 50, digits: int = DIGITS) -> DataFrame:
+    """Rows ``(doc_id, owner, spans, whole)`` of texts with something to remove.
 
     ``spans`` holds pairs of 32-bit byte offsets; ``whole`` marks a text that a
-    smaller document equals altogether.
+    smaller document equals altogether; ``owner`` tells the texts of a doc_id apart.
     """
     spark = docs.sparkSession
-    parts = partitions(spark)
     slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null and text is not null")
     long = slim.where(F.octet_length("text") >= length)
-    digests = long.select("doc_id", F.md5("text").alias("md5"))
-    firsts = digests.groupBy("md5").agg(F.min("doc_id").alias("first"))
-    whole = settle(digests.join(firsts, "md5").where("doc_id <> first").select("doc_id").distinct())
-    shared = _shared(slim, length, parts)
-    keyed = firsts.select(F.col("first").alias("doc_id"), F.conv(F.substring("md5", 1, 15), 16, 10).cast("long").alias("owner"))
-    sought = settle(keyed.join(shared, "owner").select("doc_id", "h"))
-    del digests, firsts, shared, keyed  # what nobody refers to any more frees its shuffle files
+    hashed = long.withColumn("sha", F.sha2("text", 256))
+    digests = settle(hashed.select("doc_id", F.unhex("sha").alias("sha"), F.octet_length("text").alias("size"), _grams(F.col("text"), F.col("sha")).alias("grams")))
+    count, total = digests.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
+    parts = max(partitions(spark), min(MOST_PARTS, total // PART_BYTES))
+    firsts = digests.groupBy("sha").agg(F.min("doc_id").alias("first"), F.count("*").alias("n"))
+    copied = join_hot(digests.select("sha", "doc_id"), firsts.where("n > 1"), "sha", count)
+    whole = settle(copied.where("doc_id <> first").select("doc_id", _owner(F.hex("sha"), digits).alias("owner")).distinct())
+    shared = _shared(slim, length, parts, digits)
+    keyed = firsts.select(F.col("first").alias("doc_id"), _owner(F.hex("sha"), digits).alias("owner"))
+    # Texts with one owner number are one but for chance: of others every suffix is sought.
+    keyed = keyed.groupBy("owner").agg(F.collect_list("doc_id").alias("ids"))
+    found = keyed.join(shared, "owner", "left").where("h is not null or size(ids) > 1")
+    sought = settle(found.select(F.explode("ids").alias("doc_id"), "owner", F.when(F.size("ids") == 1, F.col("h")).alias("h")))
+    bounds = _splitters(digests, count, parts)
+    del digests, firsts, copied, shared, keyed, found  # what nobody refers to any more frees its shuffle files
     release(spark)
-    spans = settle(_merge(_runs(_packed(long).join(sought, "doc_id"), length, _splitters(slim, parts)), length, parts))
-    del sought
+    texts = _packed(long, digits).join(sought, ["doc_id", "owner"])
+    spans = settle(_merge(_runs(texts, length, bounds, parts), length, parts))
+    del sought, texts
     release(spark)
     return (
-        spans.select(F.col("owner").alias("doc_id"), F.col("span").alias("spans"))
-        .join(whole.withColumn("whole", F.lit(True)), "doc_id", "full")
-        .select("doc_id", "spans", F.coalesce("whole", F.lit(False)).alias("whole"))
+        spans.withColumnRenamed("span", "spans")
+        .join(whole.withColumn("whole", F.lit(True)), ["doc_id", "owner"], "full")
+        .select("doc_id", "owner", "spans", F.coalesce("whole", F.lit(False)).alias("whole"))
     )
 
 
-def deduplicate(docs: DataFrame, length: int = 50, *, texts: bool = True) -> DataFrame:
+def deduplicate(docs: DataFrame, length: int = 50, *, texts: bool = True, digits: int = DIGITS) -> DataFrame:
     """Rows ``(doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept)``; ``kept`` is the bytes left, null with ``texts=False``."""
-    spans = repeated_spans(docs, length)
+    spans = repeated_spans(docs, length, digits)
     slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
 
     @lean
@@ -409,5 +501,5 @@ def deduplicate(docs: DataFrame, length: int = 50, *, texts: bool = True) -> Dat
             yield pd.concat([b[["doc_id"]], got], axis=1)
 
     return map_frames(
-        _packed(slim).join(spans, "doc_id", "left"), run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
+        _packed(slim, digits).join(spans, ["doc_id", "owner"], "left"), run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
     )

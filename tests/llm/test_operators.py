@@ -162,6 +162,24 @@ def test_suffix_dedup_equals_brute_force(spark, tables, odd):
         assert got == brute.cut_repeats(rows_of(docs))
 
 
+def test_suffix_dedup_of_one_id_on_two_texts(spark):
+    rng = random.Random(6)
+    noise = lambda n: "".join(rng.choice("abcdefghijklmnop ") for _ in range(n))
+    passage, other = noise(80), noise(80)
+    rows = [(1, passage + noise(50)), (2, noise(100)), (2, noise(30) + passage + noise(40)), (2, other), (2, noise(9) + other), (3, other), (3, noise(200))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((r.doc_id, r.n_bytes, r.n_removed) for r in suffix_dedup.deduplicate(docs).collect())
+    assert got == sorted([(1, 130, 0), (2, 100, 0), (2, 150, 80), (2, 80, 0), (2, 89, 0), (3, 80, 80), (3, 200, 0)])
+
+
+def test_suffix_dedup_with_owner_numbers_that_collide(spark, tables, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "PART_BYTES", 4096)
+    docs = tables("documents")
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.deduplicate(docs, digits=1).collect()}
+    want = brute.cut_repeats(rows_of(docs))
+    assert got == want and sum(0 < removed < size for size, removed, *_ in want.values()) > 10
+
+
 def test_merge_of_runs_is_sorted_with_right_prefixes():
     rng = random.Random(7)
     common = lambda a, b: next((i for i in range(len(a)) if a[i] != b[i]), len(a))
