@@ -30,11 +30,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import lean, map_frames, release, settle
+from ._spark import join_hot, lean, map_frames, release, settle
 from .components import connected_components
 
 HASHES, BANDS = 128, 32  # four rows a band: a pair at 0.8 is missed with probability 5e-8
-SLACK = 0.18  # five standard deviations of a signature's estimate at 0.8
+SLACK = 0.25  # seven standard deviations of a signature's estimate at 0.8: a pair is missed with probability 1e-12
 BLOCK = 512
 
 _MUL = np.uint64(0x9E3779B97F4A7C15)
@@ -242,7 +242,7 @@ def _links_in_blocks(named: DataFrame, texts: DataFrame, shingle: int, percent:
                     found.append((min(k, ids[j]), max(k, ids[j])))
         return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
 
-    return dealt.groupBy("key", "lo", "hi").applyInPandas(compare, "a long, b long").distinct()
+    return dealt.groupBy("key", "lo", "hi").applyInPandas(compare, "a long, b long")
 
 
 def near_duplicates(
@@ -256,13 +256,15 @@ def near_duplicates(
     spark = docs.sparkSession
     prints = settle(fingerprints(docs, shingle, hashes, bands, seed))
     sets = prints.where("digest is not null and doc_id is not null")
-    heads = sets.groupBy("digest").agg(F.min("doc_id").alias("head"))
-    same = settle(sets.select("doc_id", "digest").join(heads, "digest").where("doc_id <> head").select("doc_id", "head").distinct())
+    rows = sets.count()
+    heads = sets.groupBy("digest").agg(F.min("doc_id").alias("head"), F.count("*").alias("n")).where("n > 1")
+    copies = join_hot(sets.select("digest", "doc_id"), heads, "digest", rows)
+    same = settle(copies.where("doc_id <> head").select("doc_id", "head").distinct())
     sigs = sets.join(same, "doc_id", "left_anti").select("doc_id", "n_shingles", "sig", "keys").dropDuplicates(["doc_id", "sig"])
     entries = sigs.select("doc_id", F.explode("keys").alias("key"))
     buckets = entries.groupBy("key").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1")
-    members = settle(entries.join(buckets, "key").select("key", "doc_id", "first", "n"))
-    del entries, buckets, heads  # what nobody refers to any more frees its shuffle files at the next release
+    members = settle(join_hot(entries.select("key", "doc_id"), buckets, "key", rows * bands).select("key", "doc_id", "first", "n"))
+    del entries, buckets, heads, copies  # what nobody refers to any more frees its shuffle files at the next release
     stars = members.where("doc_id <> first").select(F.col("first").alias("a"), F.col("doc_id").alias("b")).distinct()
     slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     texts = settle(slim.join(members.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"]))
@@ -277,7 +279,7 @@ def near_duplicates(
         named = _named(members, labels)
         if named.isEmpty():
             break
-        links = settle(links.unionByName(_confirmed(settle(_likely(_to_pivots(named, salt), sigs, percent)), texts, shingle, percent)))
+        links = links.unionByName(_confirmed(settle(_likely(_to_pivots(named, salt), sigs, percent)), texts, shingle, percent))
         del named
         release(spark)
         labels = settle(connected_components(links))
