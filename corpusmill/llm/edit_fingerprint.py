@@ -131,7 +131,7 @@ def _verified(pairs: DataFrame, heads: DataFrame, least: float) -> DataFrame:
                 yield p.loc[_likeness_of(x, y) >= least, ["a", "b"]]
 
     got = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "f_a", "f_b").mapInPandas(run, "a long, b long")
-    return settle(got.distinct())
+    return settle(got)
 
 
 def _matrix(prints: pd.Series) -> np.ndarray:
@@ -179,7 +179,7 @@ def _links_apart(named: DataFrame, heads: DataFrame, least: float) -> DataFrame:
                         found.append((min(k, ids[j]), max(k, ids[j])))
         return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
 
-    return settle(dealt.groupBy("key", "lo", "hi").applyInPandas(compare, "a long, b long").distinct())
+    return settle(dealt.groupBy("key", "lo", "hi").applyInPandas(compare, "a long, b long"))
 
 
 def bands_for(least: float, digits: int, missed: float = 2e-5) -> int:
@@ -216,18 +216,17 @@ def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int | None = N
     stars = members.where("doc_id <> first").select(F.col("first").alias("a"), F.col("doc_id").alias("b")).distinct()
     links = _verified(stars, known, least)
     labels = settle(connected_components(links))
-    for salt in (1, 2):
-        release(spark)
-        named = _named(members, labels)
-        if named.isEmpty():
-            break
-        links = settle(links.unionByName(_verified(_to_pivots(named, salt), known, least)))
-        labels = settle(connected_components(links))
-        del named
     release(spark)
     named = _named(members, labels)
     if not named.isEmpty():
-        labels = settle(connected_components(links.unionByName(_links_apart(named, known, least))))
+        pivots = _to_pivots(named, 1).unionByName(_to_pivots(named, 2)).distinct()
+        links = links.unionByName(_verified(pivots, known, least))
+        labels = settle(connected_components(links))
+        del named, pivots
+        release(spark)
+        named = _named(members, labels)
+        if not named.isEmpty():
+            labels = settle(connected_components(links.unionByName(_links_apart(named, known, least))))
     del named, members, links, stars
     release(spark)
     return heads.join(labels, F.col("doc_id") == F.col("node"), "left").select("print", F.coalesce("component", "doc_id").alias("component_id"))

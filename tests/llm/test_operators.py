@@ -64,8 +64,10 @@ def test_components_of_paths_and_loops(spark):
     from corpusmill.llm.components import connected_components
 
     edges = [(k, k + 1) for k in range(50)] + [(100, 99), (99, 98), (5, 5), (None, 3)]
-    got = {r.node: r.component for r in connected_components(spark.createDataFrame(edges, "a long, b long")).collect()}
-    assert got == {k: 0 for k in range(51)} | {98: 98, 99: 98, 100: 98}
+    for most_alone in (1000, 0):
+        got = {r.node: r.component for r in connected_components(spark.createDataFrame(edges, "a long, b long"), most_alone).collect()}
+        assert got == {k: 0 for k in range(51)} | {98: 98, 99: 98, 100: 98}
+        assert connected_components(spark.createDataFrame([], "a long, b long"), most_alone).count() == 0
 
 
 def test_quality_rules(spark, tables, odd):
