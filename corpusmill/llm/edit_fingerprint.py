@@ -219,7 +219,7 @@ def print_groups(prints: DataFrame, *, least: float = 0.8, bands: int | None = N
     release(spark)
     named = _named(members, labels)
     if not named.isEmpty():
-        pivots = _to_pivots(named, 1).unionByName(_to_pivots(named, 2)).distinct()
+        pivots = _to_pivots(named, 1, 2)
         links = links.unionByName(_verified(pivots, known, least))
         labels = settle(connected_components(links))
         del named, pivots

@@ -177,14 +177,14 @@ def _named(members: DataFrame, labels: DataFrame) -> DataFrame:
         "key", "doc_id", F.coalesce("component", "doc_id").alias("component"), "n"
     )
     split = named.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("key")
-    return settle(named.where("n > 2").join(split, "key"))
+    return settle(named.where("n > 2").join(split, "key", "left_semi"))
 
 
-def _to_pivots(named: DataFrame, salt: int) -> DataFrame:
-    """Pairs of each bucket's own random pivot with the members outside its component."""
-    drawn = F.min_by(F.struct("doc_id", "component"), F.xxhash64("key", "doc_id", F.lit(salt)))
-    pivots = named.groupBy("key").agg(drawn.alias("p"))
-    apart = named.join(pivots, "key").where("component <> p.component")
+def _to_pivots(named: DataFrame, *salts: int) -> DataFrame:
+    """Pairs of each bucket's own random pivots, one for each salt, with the members outside their component."""
+    drawn = [F.min_by(F.struct("doc_id", "component"), F.xxhash64("key", "doc_id", F.lit(salt))) for salt in salts]
+    pivots = named.groupBy("key").agg(F.array(*drawn).alias("drawn"))
+    apart = named.join(pivots, "key").withColumn("p", F.explode(F.array_distinct("drawn"))).where("component <> p.component")
     return apart.select(F.least("doc_id", "p.doc_id").alias("a"), F.greatest("doc_id", "p.doc_id").alias("b")).distinct()
 
 
