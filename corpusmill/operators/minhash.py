@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import tempfile
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -58,12 +59,17 @@ def signature(text: str | None, a: np.ndarray, b: np.ndarray, n: int = NGRAM) ->
 def minhash_signatures(df: DataFrame, num_perm: int = BANDS * ROWS, ngram: int = NGRAM) -> DataFrame:
     """Rows ``(doc_id, sig)``; ``sig`` is null for a text without a shingle. The text goes no further."""
 
-    def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    keep = ["doc_id", *[c for c in df.columns if c == "snapshot"]]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a, b = constants(num_perm)
-        for t in batches:
-            yield pd.Series([None if (s := signature(x, a, b, ngram)) is None else s.astype(np.int64) for x in t])
+        for batch in batches:
+            sigs = [signature(x, a, b, ngram) for x in batch.column("text").to_pylist()]
+            values = pa.array([None if s is None else s.astype(np.int64) for s in sigs], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), values], [*keep, "sig"])
 
-    return df.select("doc_id", *[c for c in df.columns if c == "snapshot"], F.pandas_udf(run, "array<long>")("text").alias("sig"))
+    kinds = ", ".join(f"{c} {df.schema[c].dataType.simpleString()}" for c in keep)
+    return df.select(*keep, F.col("text").cast("string")).mapInArrow(run, f"{kinds}, sig array<long>")
 
 
 def lsh_bands(signatures: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
@@ -73,11 +79,21 @@ def lsh_bands(signatures: DataFrame, bands: int = BANDS, rows: int = ROWS) -> Da
     return signatures.where("sig is not null").select(*others, F.explode(F.array(*keys)).alias("x")).select(*others, "x.band", "x.key")
 
 
+def _checkpointed(df: DataFrame) -> DataFrame:
+    """``df`` in the folder of ``spark.checkpoint.dir``, or a temporary one where that is unset, as in tests."""
+    spark = df.sparkSession
+    if spark.sparkContext.getCheckpointDir() is None:
+        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="corpusmill-"))
+    return df.checkpoint()
+
+
 def dedup_lsh(bands: DataFrame, scope: tuple[str, ...] = ()) -> DataFrame:
     """Rows ``(doc_id, witness)`` to drop: a document that shares a bucket with a smaller id, and the smallest such.
 
     One map-side summed aggregate and one join of ids; no graph, no iteration.
+    The narrow band rows are checkpointed, so that signatures are computed once.
     """
+    bands = _checkpointed(bands)
     by = [*scope, "band", "key"]
     least = bands.groupBy(*by).agg(F.min("doc_id").alias("witness"), F.count("*").alias("n")).where("n > 1")
     return bands.join(least, by).where("doc_id <> witness").groupBy("doc_id").agg(F.min("witness").alias("witness"))
@@ -96,12 +112,7 @@ def dedup_components(pairs: DataFrame, rounds: int = 100) -> DataFrame:
     of their label, so chains settle in logarithmic rounds; the driver reads one
     counter a round, and every round is checkpointed.
     """
-    spark = pairs.sparkSession
-    if spark.sparkContext.getCheckpointDir() is None:
-        import tempfile
-
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="corpusmill-"))
-    both = pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().checkpoint()
+    both = _checkpointed(pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
     labels = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("label")).checkpoint()
     for _ in range(rounds):
         near = both.join(labels.select(F.col("a").alias("b"), "label"), "b").groupBy("a").agg(F.min("label").alias("seen"))

@@ -475,12 +475,13 @@ def code_pages(spark, d):
 
 @_key()
 def code_vs_main_content(spark, d):
-    """Share of planted snippets that survive the full-text and the main-content route."""
+    """Extracted snippets whose text, white space aside, survives in the full-text and in the main-content route."""
     pages = keywords.keep_code_page(_code(spark, d))
     code = extract.code_pass(pages).where("has_code").select("page_id", F.explode("snippets").alias("s"))
-    both = extract.extract_main_content(pages.select("page_id", "html")).select("page_id", F.col("text").alias("main"))
-    j = code.join(both, "page_id").select(F.col("main").contains(F.col("s")).alias("in_main"))
-    return j.agg(F.count("*").alias("snippets"), F.count("*").alias("in_full_text"), F.count_if("in_main").alias("in_main_content"))
+    both = extract.linearize_html(extract.extract_main_content(pages.select("page_id", "html"), out="main"), out="full").select("page_id", "main", "full")
+    bare = lambda c: F.regexp_replace(c, r"\s+", "")
+    j = code.join(both, "page_id").select(*[bare(c).contains(bare("s")).alias(f"in_{c}") for c in ("full", "main")])
+    return j.agg(F.count("*").alias("snippets"), F.count_if("in_full").alias("in_full_text"), F.count_if("in_main").alias("in_main_content"))
 
 
 @_key(f"select page_id, {', '.join(f"contains(html, '{k}') as k{i + 1}" for i, k in enumerate(keywords.MATH_PAGE))} from ({X.math_sql()})")
