@@ -670,28 +670,8 @@ def math_perplexity(spark, d):
     return one("valid_only", texts.where(~held & F.col("keep"))).unionByName(one("prefilter_only", texts.where(~held)))
 
 
-def _mix_sql(tables: str, weights: dict[str, float], budget: int) -> str:
-    share = " ".join(f"when '{k}' then {int(budget * w + 0.5)}" for k, w in weights.items())
-    return f"""with t as ({tables}), r as (select track, doc_id, n, sum(n) over (partition by track order by ('0x' || substr(md5(track || ':' || doc_id), 1, 15))::bigint, doc_id) as run from t)
- select track, count(*) as docs, sum(n)::bigint as tokens from r where run - n < (case track {share} end) group by 1"""
-
-
-@_key(_mix_sql(f"select 'web' as track, doc_id, len({W}) as n from documents where lang = 'en' union all select 'code', doc_id, len({W}) from documents where lang <> 'en'", {"web": 0.8, "code": 0.2}, 50_000))
-def mixture_web_code(spark, d):
-    """Web and code at 0.8 and 0.2; on the given texts the other languages stand for code."""
-    docs = _docs(spark, d).select(F.when(F.col("lang") == "en", "web").otherwise("code").alias("track"), "doc_id", "text")
-    got = measures.mix(docs, {"web": 0.8, "code": 0.2}, 50_000)
-    return got.groupBy("track").agg(F.count("*").alias("docs"), F.sum(measures.token_count(F.col("text"))).alias("tokens"))
-
-
-@_key(_mix_sql(f"select 'open' as track, doc_id, len({W}) as n from ({X.qa_sql('duckdb')}) union all select 'choice', doc_id, len({W}) from ({X.choice_sql('duckdb')})", {"open": 0.8, "choice": 0.2}, 3_000))
-def mixture_qa(spark, d):
-    both = _qa(spark, d).withColumn("track", F.lit("open")).unionByName(_choice(spark, d).withColumn("track", F.lit("choice")))
-    return measures.mix(both, {"open": 0.8, "choice": 0.2}, 3_000).groupBy("track").agg(F.count("*").alias("docs"), F.sum(measures.token_count(F.col("text"))).alias("tokens"))
-
-
 def _whole_mix_sql(tables: str, parts: dict[str, int]) -> str:
-    """As ``_mix_sql``, at the largest budget that both sources can fill."""
+    """Tokens by track of a mix at the largest budget that both sources can fill."""
     total = ", ".join(f"coalesce(sum(n) filter (track = '{k}'), 0) // {w}" for k, w in parts.items())
     share = " ".join(f"when '{k}' then {w}" for k, w in parts.items())
     return f"""with t as ({tables}), u as (select least({total}) as unit from t),
@@ -705,15 +685,15 @@ def _whole_mix(docs, parts):
 
 
 @_key(_whole_mix_sql(f"select 'web' as track, doc_id, len({W}) as n from documents where lang = 'en' union all select 'code', doc_id, len({W}) from documents where lang is null or lang <> 'en'", {"web": 4, "code": 1}))
-def mixture_web_code_whole(spark, d):
-    """``mixture_web_code`` over the whole corpus: the scarcer source is used up."""
+def mixture_web_code(spark, d):
+    """Web and code at 0.8 and 0.2 of the whole corpus: the scarcer is used up. On the given texts the other languages stand for code."""
     docs = _docs(spark, d).select(F.when(F.col("lang") == "en", "web").otherwise("code").alias("track"), "doc_id", "text")
     return _whole_mix(docs, {"web": 4, "code": 1})
 
 
 @_key(_whole_mix_sql(f"select 'open' as track, doc_id, len({W}) as n from ({X.qa_sql('duckdb')}) union all select 'choice', doc_id, len({W}) from ({X.choice_sql('duckdb')})", {"open": 4, "choice": 1}))
-def mixture_qa_whole(spark, d):
-    """``mixture_qa`` over all texts: the scarcer source is used up."""
+def mixture_qa(spark, d):
+    """Open and choice questions at 0.8 and 0.2 of all texts: the scarcer is used up."""
     both = _qa(spark, d).withColumn("track", F.lit("open")).unionByName(_choice(spark, d).withColumn("track", F.lit("choice")))
     return _whole_mix(both, {"open": 4, "choice": 1})
 

@@ -195,22 +195,11 @@ def agg_approx_distinct(spark: SparkSession, d: str) -> DataFrame:
     return rough.crossJoin(exact).select((F.abs(F.col("estimate") - F.col("exact")) * 20 < F.col("exact")).alias("within_5_percent"))
 
 
-def vec_cosine_topk(spark: SparkSession, d: str) -> DataFrame:
-    """Five nearest vectors of ten probes by cosine; the probes are a fixed ten rows, so they are broadcast."""
-    v = load(spark, d, "embeddings")
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y), F.lit(0.0), lambda s, x: s + x)
-    v = v.withColumn("norm", F.sqrt(dot("embedding", "embedding")))
-    probes = v.where("vec_id < 10").select(F.col("vec_id").alias("probe"), F.col("embedding").alias("pe"), F.col("norm").alias("pn"))
-    pairs = v.join(F.broadcast(probes), F.col("vec_id") != F.col("probe")).withColumn("cosine", F.round(dot("embedding", "pe") / (F.col("norm") * F.col("pn")), 5))
-    rank = F.row_number().over(Window.partitionBy("probe").orderBy(F.desc("cosine"), "vec_id"))
-    return pairs.withColumn("rank", rank).where("rank <= 5").select("probe", "rank", "vec_id")
-
-
 #: Rows of a block of vectors: two blocks and their products are what a task holds.
 VEC_BLOCK = 2048
 
 
-def vec_cosine_topk_whole(spark: SparkSession, d: str) -> DataFrame:
+def vec_cosine_topk(spark: SparkSession, d: str) -> DataFrame:
     """Five nearest vectors by cosine of every row whose id is divisible by 20, against all rows.
 
     Blocks of probes meet blocks of rows; each pair of blocks passes on five
@@ -258,8 +247,7 @@ FRAMES = {
     "join_asof": (join_asof, "select p.event_id, c.event_id as click_id from (select * from events where event_type = 'purchase') p asof left join (select * from events where event_type = 'click') c on p.user_id = c.user_id and p.ts >= c.ts"),
     "join_salted": (join_salted, "with l as (select doc_id, unnest(string_split(text, chr(10))) as line from documents), c as (select line, count(*) as n from l where line <> '' group by 1) select doc_id, sum(n)::bigint as copies from l join c using (line) group by 1"),
     "agg_approx_distinct": (agg_approx_distinct, "select true as within_5_percent"),
-    "vec_cosine_topk": (vec_cosine_topk, "select probe, rank, vec_id from (select p.vec_id as probe, v.vec_id, row_number() over (partition by p.vec_id order by round(list_dot_product(v.embedding::double[], p.embedding::double[]) / (sqrt(list_dot_product(v.embedding::double[], v.embedding::double[])) * sqrt(list_dot_product(p.embedding::double[], p.embedding::double[]))), 5) desc, v.vec_id)::int as rank from embeddings v join embeddings p on p.vec_id < 10 and v.vec_id <> p.vec_id) where rank <= 5"),
-    "vec_cosine_topk_whole": (vec_cosine_topk_whole, "select probe, rank, vec_id from (select p.vec_id as probe, v.vec_id, row_number() over (partition by p.vec_id order by round(list_dot_product(v.embedding::double[], p.embedding::double[]) / (sqrt(list_dot_product(v.embedding::double[], v.embedding::double[])) * sqrt(list_dot_product(p.embedding::double[], p.embedding::double[]))), 5) desc, v.vec_id)::int as rank from embeddings v join embeddings p on p.vec_id % 20 = 0 and v.vec_id <> p.vec_id) where rank <= 5"),
+    "vec_cosine_topk": (vec_cosine_topk, "select probe, rank, vec_id from (select p.vec_id as probe, v.vec_id, row_number() over (partition by p.vec_id order by round(list_dot_product(v.embedding::double[], p.embedding::double[]) / (sqrt(list_dot_product(v.embedding::double[], v.embedding::double[])) * sqrt(list_dot_product(p.embedding::double[], p.embedding::double[]))), 5) desc, v.vec_id)::int as rank from embeddings v join embeddings p on p.vec_id % 20 = 0 and v.vec_id <> p.vec_id) where rank <= 5"),
     "cte_recursive": (cte_recursive, "with recursive p(n, v) as (select 0, 1 union all select n + 1, v * 2 from p where n < 12) select n, v, (select count(*) from documents where doc_id < v) as docs_below from p"),
 }
 
