@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import itertools
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 # Page keywords of the math track, blocked url parts, question and answer words.
@@ -16,13 +17,69 @@ ANSWER = ("q&a", "q & a", "a:", "ans:", "answer:", "solution:", "reply:", "respo
 PLAIN_MATH = ("sqrt", "sum", "log", "sin(", "cos(", "tan(", "lim", "int(", "+", "*", "$", "^", "=", "<=", ">=", "!=", "+-", "->", "≤", "≥", "∑", "∫", "√", "π")
 
 
+def load_keywords(spark: SparkSession, path: str) -> list[str]:
+    """A dictionary file with one keyword a line; a leading backslash, blank lines and repeats are left out."""
+    rows = spark.read.text(path).select(F.regexp_replace(F.trim("value"), r"^\\", "").alias("k")).where("k <> ''").distinct()
+    return sorted(r.k for r in rows.collect())
+
+
+def _joined(*parts: str) -> list[str]:
+    """All words made of one piece of each part; ``-`` is the empty piece."""
+    return ["".join(x).replace("-", "") for x in itertools.product(*map(str.split, parts))]
+
+
+def _ams_commands() -> list[str]:
+    """Relations, operators, delimiters, fonts, accents and arrows of the standard and AMS packages, by family."""
+    return [
+        *_joined("- n", "leq geq less gtr leqslant geqslant leqq geqq prec succ preceq succeq sim cong mid parallel vdash vDash Vdash VDash exists triangleleft triangleright trianglelefteq trianglerighteq"),
+        *_joined("sub sup Sub Sup nsub nsup sqsub sqsup varsub varsup", "set seteq setneq seteqq setneqq"),
+        *_joined("l g", "l ll neq neqq nsim napprox t vertneqq"),
+        *_joined("less gtr", "sim approx dot"),
+        *_joined("prec succ", "sim approx nsim napprox neqq curlyeq"),
+        *_joined("big", "cup cap vee wedge oplus otimes odot uplus sqcup star circ triangleup triangledown"),
+        *_joined("o box circled", "plus minus times dot slash ast circ dash"),
+        *_joined("l r", "angle ceil floor brace brack vert Vert group moustache times"),
+        *_joined("ul ur ll lr", "corner"),
+        *_joined("big Big bigg Bigg", "- l r m"),
+        *_joined("math", "bb cal rm bf it sf tt frak scr bin rel op ord open close punct inner ring strut choice"),
+        *_joined("text", "- rm bf it sf tt sc sl up md normal style"),
+        *_joined("- wide", "hat tilde check"),
+        *_joined("- d dd ddd", "dot"),
+        *_joined("over under", "line brace set rightarrow leftarrow leftrightarrow"),
+        *_joined("- d t c", "frac binom"),
+        *_joined("- var inj proj", "lim limsup liminf limproj liminj"),
+        *_joined("- i ii iii o oi dots idots", "int"),
+        *_joined("n - x", "left right leftright Left Right Leftright", "arrow"),
+        *_joined("up down updown Up Down Updown ne se sw nw", "arrow"),
+        *_joined("left right", "harpoon", "up down"),
+        *_joined("up down", "harpoon", "left right"),
+        *_joined("leftleft rightright leftright rightleft upup downdown", "arrows harpoons"),
+        *_joined("twohead dash", "left right", "arrow"),
+        *_joined("curvearrow circlearrow looparrow", "left right"),
+        *_joined("left right", "arrowtail squigarrow threetimes"),
+        *_joined("Lleft Rright leftrightsquig", "arrow"),
+        *_joined("- black", "square triangle triangledown triangleleft triangleright lozenge"),
+        *_joined("- big small", "star smile frown setminus"),
+        *_joined("- measured spherical", "angle"),
+        *_joined("- b p", "mod"),
+        *_joined("- c l v d", "dots"),
+        *_joined("dots", "b c i m o"),
+        *_joined("- back", "prime epsilon simeq sim"),
+        *_joined("curly - bar double dot", "vee wedge cup cap barwedge"),
+        *_joined("- q", "quad"),
+        *_joined("- up down", "uparrow downarrow"),
+        "multimap longmapsto lesseqgtr gtreqless acute grave breve neg land lor lnot top bot dashv models therefore because iff implies impliedby ni owns ll gg propto varpropto perp asymp doteq doteqdot simeq bowtie Join uplus sqcap sqcup wr amalg ast circ bullet diamond dagger ddagger emptyset varnothing hbar hslash ell Re Im wp aleph beth gimel daleth complement eth mho digamma surd flat natural sharp checkmark maltese colon middle nonumber notag tag label stackrel substack sideset operatorname boldsymbol bmod pod arg hom lg Pr coth sech csch arccot smash phantom hphantom vphantom displaystyle scriptstyle limits nolimits mathop eqcirc circeq triangleq bumpeq Bumpeq fallingdotseq risingdotseq between pitchfork backsim thickapprox thicksim intercal ltimes rtimes divideontimes dotplus centerdot".split(),
+    ]
+
+
 def latex_commands() -> list[str]:
     """A dictionary of public LaTeX math commands, built from families rather than listed."""
+    *families, others = _ams_commands()
     greek = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi pi rho sigma tau upsilon phi chi psi omega".split()
     base = "frac dfrac sqrt sum prod int oint lim log ln exp sin cos tan cot sec csc min max sup inf det dim ker deg gcd dot ddot hat bar vec tilde eq neq leq geq approx equiv sim cdot times div pm mp infty partial nabla forall exists in notin subset supset cup cap to mapsto rightarrow leftarrow left right begin end text mathbb mathcal mathrm mathbf".split()
     variants = [f"{v}{g}" for g in greek for v in ("", "var")] + [g.capitalize() for g in greek]
     arrows = [f"{size}{side}arrow" for size in ("", "long", "Long", "hook", "up", "down") for side in ("left", "right", "leftright", "Left", "Right")]
-    return sorted({*base, *variants, *arrows, *(f"arc{f}" for f in ("sin", "cos", "tan")), *(f"{f}h" for f in ("sin", "cos", "tan"))})
+    return sorted({*families, *others, *base, *variants, *arrows, *(f"arc{f}" for f in ("sin", "cos", "tan")), *(f"{f}h" for f in ("sin", "cos", "tan"))})
 
 
 def any_keyword(column: Column, literals: tuple[str, ...] | list[str]) -> Column:
@@ -45,9 +102,13 @@ def keep_math_page(df: DataFrame) -> DataFrame:
     return df.where(any_keyword(F.col("html"), MATH_PAGE))
 
 
-def score_math_keywords(df: DataFrame, min_hits: int = 5) -> DataFrame:
-    """LaTeX commands as whole control words and plain symbols, by occurrences and by distinct ones."""
-    control = F.filter(F.regexp_extract_all("text", F.lit(r"\\([A-Za-z]+)"), F.lit(1)), lambda w: w.isin(latex_commands()))
+def score_math_keywords(df: DataFrame, min_hits: int = 5, commands: list[str] | None = None) -> DataFrame:
+    """LaTeX commands as whole control words and plain symbols, by occurrences and by distinct ones.
+
+    ``commands`` is a dictionary of one's own, as from ``load_keywords``.
+    """
+    known = latex_commands() if commands is None else commands
+    control = F.filter(F.regexp_extract_all("text", F.lit(r"\\([A-Za-z]+)"), F.lit(1)), lambda w: w.isin(known))
     without = lambda k: F.length(F.replace(F.col("text"), k, F.lit("")))
     plain = F.transform(F.array(*map(F.lit, PLAIN_MATH)), lambda k: F.floor((F.length("text") - without(k)) / F.length(k)).cast("long"))
     out = df.withColumns({"_c": control, "_p": plain})

@@ -49,6 +49,26 @@ def pass_at_k(n: Column, c: Column, k: int) -> Column:
     return F.when(c == 0, 0.0).when(n - c < k, 1.0).otherwise(1 - fail)
 
 
+def pass_rate(flags: DataFrame, keep: Column, rule: str) -> DataFrame:
+    """One row: pages that a rule was asked about, those that it keeps, and their share in millionths."""
+    counts = flags.agg(F.lit(rule).alias("rule"), F.count("*").alias("pages"), F.count_if(keep).alias("passed"))
+    return counts.withColumn("share_ppm", F.expr("(passed * 1000000) div greatest(pages, 1)"))
+
+
+def auc(df: DataFrame, label: str, score: str, decimals: int = 4) -> DataFrame:
+    """One row ``(positives, negatives, auc)``: the chance that a row of label 1 outranks one of label 0, ties half.
+
+    Rows are counted by score first, so the running sum is over as many rows as
+    there are scores of ``decimals`` decimals.
+    """
+    y = F.col(label)
+    t = df.groupBy(F.round(score, decimals).alias("s")).agg(F.count_if(y == 1).alias("p"), F.count_if(y == 0).alias("n"))
+    below = F.sum("n").over(Window.partitionBy(F.lit(0)).orderBy("s").rowsBetween(Window.unboundedPreceding, -1))
+    t = t.withColumn("won", F.col("p") * (2 * F.coalesce(below, F.lit(0)) + F.col("n")))
+    both = F.nullif(2.0 * F.sum("p") * F.sum("n"), F.lit(0.0))
+    return t.agg(F.sum("p").alias("positives"), F.sum("n").alias("negatives"), F.round(F.sum("won") / both, 6).alias("auc"))
+
+
 def macro_average(scores: DataFrame, by: str, score: str = "score") -> DataFrame:
     """Mean of scores that have four decimals, rounded half up to four."""
     whole = F.sum(F.round(F.col(score) * 10_000)) / F.count("*")

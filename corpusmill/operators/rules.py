@@ -105,6 +105,11 @@ def repetition_of(text: str | None) -> dict[str, int]:
 _REPETITION = list(repetition_of(""))
 
 
+def too_many_paragraphs(denominator: str) -> Column:
+    """Repeated paragraphs over 30 % of the sentences (as printed) or of the paragraphs."""
+    return 10 * F.col("dup_para") > 3 * F.col("n_sent" if denominator == "sentence" else "n_para")
+
+
 def score_repetition(df: DataFrame, para_denominator: str = "sentence") -> DataFrame:
     """Thirteen repetition rules in one Arrow pass over the text. ``para_denominator`` is ``sentence`` (as printed) or ``paragraph``."""
 
@@ -115,11 +120,10 @@ def score_repetition(df: DataFrame, para_denominator: str = "sentence") -> DataF
     udf = F.pandas_udf(run, ", ".join(f"{c} long" for c in _REPETITION))
     out = df.withColumn("_r", udf("text")).select(*df.columns, "_r.*")
     c = F.col
-    below = c("n_sent") if para_denominator == "sentence" else c("n_para")
     flags = {
         "f_dup_sent": 10 * c("dup_sent") > 3 * c("n_sent"),
         "f_dup_sent_chars": 5 * c("dup_sent_chars") > c("n_text"),
-        "f_dup_para": 10 * c("dup_para") > 3 * below,
+        "f_dup_para": too_many_paragraphs(para_denominator),
         "f_dup_para_chars": 5 * c("dup_para_chars") > c("n_text"),
     }
     flags |= {f"f_top_{n}": 100 * c(f"top_{n}") > share * c("n_text") for n, share in TOP_NGRAM.items()}

@@ -92,10 +92,8 @@ def rules_sent_para_repetition(spark, d):
 
 @_key(f"select doc_id, 10 * dup_para > 3 * n_sent as as_printed, 10 * dup_para > 3 * n_para as over_paragraphs from ({_REP})")
 def rules_para_denominator_variant(spark, d):
-    docs = _docs(spark, d).select("doc_id", "text")
-    a = rules.score_repetition(docs).select("doc_id", F.col("f_dup_para").alias("as_printed"))
-    b = rules.score_repetition(docs, "paragraph").select("doc_id", F.col("f_dup_para").alias("over_paragraphs"))
-    return a.join(b, "doc_id")
+    got = rules.score_repetition(_docs(spark, d).select("doc_id", "text"))
+    return got.select("doc_id", F.col("f_dup_para").alias("as_printed"), rules.too_many_paragraphs("paragraph").alias("over_paragraphs"))
 
 
 def _gram_sql(sizes) -> str:
@@ -461,10 +459,16 @@ def line_numbers_removed(spark, d):
     return X.derived(spark, d, X.snippets_sql()).select("snippet_id", F.md5(f("text")).alias("text_md5"))
 
 
-@_key(f"select page_id, len(regexp_extract_all(h, '<code>'))::int as before, len(regexp_extract_all(regexp_replace(h, '</code></pre>[ ]*<pre><code>', '', 'g'), '<code>'))::int as after from (select page_id, html as h from ({X.code_sql()}))")
+_JOINTS = r"</code></pre>\s*<pre><code>"
+
+
+@_key(f"select page_id, n::int as before, (n - len(regexp_extract_all(html, '{_JOINTS}')))::int as after from (select page_id, html, len(regexp_extract_all(html, '<pre><code>')) as n from ({X.code_sql()}))")
 def code_merge_adjacent(spark, d):
-    h = F.col("html")
-    return _code(spark, d).select("page_id", F.regexp_count(h, F.lit("<code>")).alias("before"), F.regexp_count(F.regexp_replace(h, "</code></pre>[ ]*<pre><code>", ""), F.lit("<code>")).alias("after"))
+    """Block snippets of a page before and after neighbours are joined."""
+    tagged = F.replace(F.replace(F.col("html"), F.lit("<pre><code>"), F.lit("<code-encode>")), F.lit("</code></pre>"), F.lit("</code-encode>"))
+    merged = F.pandas_udf(lambda s: s.map(lambda t: t and CODE.merge_adjacent(t)), "string")
+    n = lambda c: F.regexp_count(c, F.lit("<code-encode>"))
+    return _code(spark, d).select("page_id", tagged.alias("t")).select("page_id", n(F.col("t")).alias("before"), n(merged("t")).alias("after"))
 
 
 @_key()
@@ -736,6 +740,53 @@ def compare_runs(spark, d):
     return measures.compare_runs(a, b)
 
 
+#: Rules whose pass rate is told: the key with its verdicts and the condition to pass.
+_RATES = {
+    "length": ("length_rule", "keep_length"), "code_page": ("code_prefilter", "(has_code_tag or has_pre_tag) and not blocked_url"),
+    "math_keywords": ("math_keyword_hits", "keep_occurrence"), "qa_keywords": ("qa_rule_flags", "keep"), "choice_page": ("choice_pages", "has_list and has_answer"),
+}
+
+
+@_key(" union all ".join(f"select '{n}' as rule, count(*) as pages, count_if({c})::bigint as passed, (count_if({c})::bigint * 1000000 // greatest(count(*), 1))::bigint as share_ppm from ({_ORACLES[k]})" for n, (k, c) in _RATES.items()))
+def pass_rates(spark, d):
+    """Pages that each keyword or length rule is asked about, and those that pass."""
+    return functools.reduce(DataFrame.unionByName, [measures.pass_rate(_QUERIES[k](spark, d), F.expr(c), n) for n, (k, c) in _RATES.items()])
+
+
+@_key("""with t as (select n_chars as s, count_if(quality = 1) as p, count_if(quality = 0) as n from documents join labels using (doc_id) group by 1),
+ b as (select p, n, coalesce(sum(n) over (order by s rows between unbounded preceding and 1 preceding), 0) as below from t)
+ select sum(p)::bigint as positives, sum(n)::bigint as negatives, round(sum(p * (2 * below + n)) / nullif(2.0e0 * sum(p) * sum(n), 0), 6) as auc from b""")
+def length_auc(spark, d):
+    """How well length alone ranks documents by quality: what the model of ``quality_auc`` has to beat."""
+    return measures.auc(_docs(spark, d).join(load(spark, d, "labels"), "doc_id"), "quality", "n_chars")
+
+
+@_key()
+def quality_auc(spark, d):
+    held = models.annotate(_docs(spark, d), load(spark, d, "labels")).where(models.held_out())
+    return measures.auc(models.score_model(held.select("doc_id", "text", "label"), _quality_model(spark, d)), "label", "p_quality")
+
+
+@_key()
+def web_linearizer_baseline(spark, d):
+    """What the page route keeps of main content and of all visible text."""
+    given, pages = (_language_model(spark, d), _quality_model(spark, d)), load(spark, d, "pages")
+    counts = F.count("*").alias("docs"), F.coalesce(F.sum(measures.token_count(F.col("text"))), F.lit(0)).alias("tokens")
+    one = lambda c: tracks.web_track_warc(*given, content=c).run(pages).df.agg(F.lit(c).alias("content"), *counts)
+    return one("main").unionByName(one("full"))
+
+
+@_key()
+def track_stats(spark, d):
+    """Pages (questions, of choice_qa) and tokens by track, with a total."""
+    found = {
+        "code": tracks.code_track().run(_code(spark, d)), "math": tracks.math_markup_track().run(_math(spark, d)),
+        "open_qa": tracks.open_qa_track().run(_qa(spark, d)), "choice_qa": tracks.choice_qa_track().run(_choice(spark, d)),
+    }
+    texts = [r.df.select(F.lit(n).alias("track"), "text") for n, r in found.items()]
+    return measures.dataset_stats(functools.reduce(DataFrame.unionByName, texts), "track")
+
+
 def _gram13(table: str, key: str) -> str:
     return f"select distinct {key}, array_to_string(w[i:i + 12], ' ') as g from (select {key}, w, unnest(range(1, len(w) - 11)) as i from (select {key}, {W.replace('text', 'lower(text)')} as w from {table}) where len(w) >= 13)"
 

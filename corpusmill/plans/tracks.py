@@ -95,10 +95,14 @@ def web_track_wet(lang_model, quality_model=None) -> Track:
     return Track("web_wet", (*stages, Stage("lsh", "filter", _lsh)))
 
 
-def web_track_warc(lang_model, quality_model=None) -> Track:
-    """Page route: main content, language, repetition and document rules, sentence rules, model, LSH."""
+def web_track_warc(lang_model, quality_model=None, content: str = "main") -> Track:
+    """Page route: main content, language, repetition and document rules, sentence rules, model, LSH.
+
+    With ``content="full"`` all visible text takes the place of the main content.
+    """
+    take = extract.extract_main_content if content == "main" else extract.linearize_html
     stages = [
-        Stage("main_content", "extract", lambda d: extract.extract_main_content(d.select(F.col("page_id").alias("doc_id"), "url", "html")).select("doc_id", "url", "text")),
+        Stage(f"{content}_content", "extract", lambda d: take(d.select(F.col("page_id").alias("doc_id"), "url", "html")).select("doc_id", "url", "text")),
         Stage("language", "filter", _language(lang_model)),
         Stage("repetition", "filter", lambda d: _only(d, rules.score_repetition(d))),
         Stage("document_rules", "filter", lambda d: _only(d, rules.score_document_rules(d))),
