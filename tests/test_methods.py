@@ -291,3 +291,20 @@ def test_registered_tracks_run_their_models(spark):
     assert set(got) == set(methods._RECIPES) and all(got[k] == old[k] for k in old)
     assert 0 < got["full"].docs <= min(got["rules_only"].docs, got["model_only"].docs) < got["raw"].docs
     assert {r.recipe for r in methods.recipe_perplexity_models(spark, SF).collect()} == set(methods._RECIPES)
+
+
+def test_auc_counts_ties_half(spark):
+    rows = [(1, 0.9), (1, 0.5), (0, 0.5), (0, 0.1), (None, 0.7)]
+    got = measures.auc(spark.createDataFrame(rows, "y int, s double"), "y", "s").first()
+    assert (got.positives, got.negatives, got.auc) == (2, 2, 0.875)
+    one_class = measures.auc(spark.createDataFrame(rows[:2], "y int, s double"), "y", "s").first()
+    assert one_class.auc is None
+
+
+def test_own_keyword_dictionary(spark, tmp_path):
+    path = tmp_path / "words.txt"
+    path.write_text("\\foo\n\nbar\nfoo\n")
+    words = keywords.load_keywords(spark, str(path))
+    assert words == ["bar", "foo"]
+    df = spark.createDataFrame([(1, "\\foo \\bar \\frac")], "doc_id long, text string")
+    assert keywords.score_math_keywords(df, commands=words).first().latex_hits == 2
