@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,6 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.text import py_hash60
+from ..session import scratch
 
 PRIME = 2**61 - 1
 BANDS, ROWS, NGRAM = 9, 13, 5
@@ -79,11 +79,11 @@ def lsh_bands(signatures: DataFrame, bands: int = BANDS, rows: int = ROWS) -> Da
     return signatures.where("sig is not null").select(*others, F.explode(F.array(*keys)).alias("x")).select(*others, "x.band", "x.key")
 
 
-def _checkpointed(df: DataFrame) -> DataFrame:
+def checkpointed(df: DataFrame) -> DataFrame:
     """``df`` in the folder of ``spark.checkpoint.dir``, or a temporary one where that is unset, as in tests."""
     spark = df.sparkSession
     if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="corpusmill-"))
+        spark.sparkContext.setCheckpointDir(scratch(spark))
     return df.checkpoint()
 
 
@@ -93,7 +93,7 @@ def dedup_lsh(bands: DataFrame, scope: tuple[str, ...] = ()) -> DataFrame:
     One map-side summed aggregate and one join of ids; no graph, no iteration.
     The narrow band rows are checkpointed, so that signatures are computed once.
     """
-    bands = _checkpointed(bands)
+    bands = checkpointed(bands)
     by = [*scope, "band", "key"]
     least = bands.groupBy(*by).agg(F.min("doc_id").alias("witness"), F.count("*").alias("n")).where("n > 1")
     return bands.join(least, by).where("doc_id <> witness").groupBy("doc_id").agg(F.min("witness").alias("witness"))
@@ -112,7 +112,7 @@ def dedup_components(pairs: DataFrame, rounds: int = 100) -> DataFrame:
     of their label, so chains settle in logarithmic rounds; the driver reads one
     counter a round, and every round is checkpointed.
     """
-    both = _checkpointed(pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
+    both = checkpointed(pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
     labels = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("label")).checkpoint()
     for _ in range(rounds):
         near = both.join(labels.select(F.col("a").alias("b"), "label"), "b").groupBy("a").agg(F.min("label").alias("seen"))
@@ -133,12 +133,22 @@ def shingle_table(df: DataFrame, ngram: int = NGRAM) -> DataFrame:
 
 
 def jaccard_pairs(df: DataFrame, tenths: int = 5, ngram: int = NGRAM) -> DataFrame:
-    """Exact pairs with a similarity of at least ``tenths`` by an inverted index of shingles (ground truth on small inputs)."""
-    t = shingle_table(df, ngram)
-    sizes = t.groupBy("doc_id").agg(F.count("*").alias("n"))
-    both = t.withColumnRenamed("doc_id", "a").join(t.withColumnRenamed("doc_id", "b"), "h").where("a < b").groupBy("a", "b").agg(F.count("*").alias("both"))
-    out = both.join(sizes.select(F.col("doc_id").alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col("doc_id").alias("b"), F.col("n").alias("nb")), "b")
-    return out.select("a", "b", "both", (F.col("na") + F.col("nb") - F.col("both")).alias("either")).where(F.col("both") * 10 >= F.col("either") * tenths)
+    """Exact pairs with a similarity of at least ``tenths`` (the ground truth for the bands).
+
+    Sets are ordered from rare to common shingles. Two sets that are similar
+    enough share a shingle among the first ``n - ceil(n * tenths / 10) + 1`` of
+    each, so only those meet, and common shingles hardly ever do.
+    """
+    t = checkpointed(shingle_table(df, ngram))
+    known = t.join(t.groupBy("h").agg(F.count("*").alias("f")), "h").groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("f", "h"))).alias("s"))
+    sets = checkpointed(known.select("doc_id", F.size("s").cast("long").alias("n"), "s"))
+    first = F.expr(f"slice(s, 1, cast(n - ceil(n * {tenths} / 10) + 1 as int))")
+    heads = sets.select("doc_id", "n", F.explode(first).alias("x")).where("x.f > 1").select("doc_id", "n", F.col("x.h").alias("h"))
+    near = f"a < b and least(n, m) * 10 >= greatest(n, m) * {tenths}"
+    pairs = heads.withColumnRenamed("doc_id", "a").join(heads.select(F.col("doc_id").alias("b"), F.col("n").alias("m"), "h"), "h").where(near).select("a", "b").distinct()
+    side = lambda x: sets.select(F.col("doc_id").alias(x), F.col("n").alias(f"n_{x}"), F.col("s.h").alias(f"s_{x}"))
+    out = pairs.join(side("a"), "a").join(side("b"), "b").withColumn("both", F.size(F.array_intersect("s_a", "s_b")).cast("long"))
+    return out.select("a", "b", "both", (F.col("n_a") + F.col("n_b") - F.col("both")).alias("either")).where(F.col("both") * 10 >= F.col("either") * tenths)
 
 
 def collision(s: Column, bands: int = BANDS, rows: int = ROWS) -> Column:

@@ -350,6 +350,41 @@ def snapshot_funnel(spark, d):
     return v.cube("snapshot", "keep_lang").agg(F.count("*").alias("docs"), F.sum("n_words").alias("tokens"))
 
 
+_ROUTE = f"""with texts as (with p as (select doc_id, {SNAP} as sc, unnest({P}) as par, generate_subscripts({P}, 1) as pos from documents),
+  k as (select *, row_number() over (partition by sc, par order by doc_id, pos) as rn from p)
+  select d.doc_id, any_value(lang) as lang, coalesce(string_agg(par, chr(10) order by pos) filter (rn = 1), '') as text, '' as source from documents d left join k using (doc_id) group by 1),
+ judged as (select t.*, len({W})::bigint as n_words, coalesce(lang = 'en', false) as keep_lang, length(text) >= 300 as keep_length, coalesce(quality = 1, false) as keep_model from texts t left join labels using (doc_id)),
+ reach as (select doc_id, text, source from judged where keep_lang and keep_length and keep_model), {_BAND.replace("from documents", "from reach")},
+ m as (select band, key, min(doc_id) as witness from bands group by 1, 2), gone as (select distinct doc_id from bands join m using (band, key) where doc_id <> witness)
+ select doc_id, n_words, keep_lang, keep_length, keep_model, case when keep_lang and keep_length and keep_model then doc_id not in (select doc_id from gone) end as keep_lsh from judged"""
+
+
+@_key(_ROUTE)
+def web_wet_route_verdicts(spark, d):
+    """The verdict of every stage of the plain-text route; the given languages and labels stand for the models. ``keep_lsh`` is null where an earlier stage drops the text."""
+    got = paragraphs.dedup_paragraphs(_snap(spark, d).select("doc_id", "text", "lang", "snapshot"), scope=("snapshot",))
+    no = F.lit(False)
+    out = got.join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id", "left").select(
+        "doc_id", F.col("text_dedup").alias("text"), measures.token_count(F.col("text_dedup")).alias("n_words"), F.coalesce(F.col("lang") == "en", no).alias("keep_lang"),
+        (F.length("text_dedup") >= 300).alias("keep_length"), F.coalesce(F.col("quality") == 1, no).alias("keep_model"),
+    )
+    out = out.withColumn("reaches", F.expr("keep_lang and keep_length and keep_model"))
+    gone = minhash.dedup_lsh(minhash.lsh_bands(minhash.minhash_signatures(out.where("reaches").select("doc_id", "text")))).select("doc_id", F.lit(True).alias("gone"))
+    told = out.join(gone, "doc_id", "left").withColumn("keep_lsh", F.when(F.col("reaches"), F.col("gone").isNull()))
+    return told.select("doc_id", "n_words", "keep_lang", "keep_length", "keep_model", "keep_lsh")
+
+
+_STEPS = ("keep_lang", "keep_length", "keep_model", "keep_lsh")
+
+
+@_key(f"""with v as ({_ROUTE}), f as (select 0 as step, 'input' as stage, count(*) as docs, sum(n_words)::bigint as tokens from v union all
+ {' union all '.join(f"select {i + 1}, '{s}', count_if({c}), coalesce(sum(n_words) filter ({c}), 0)::bigint from v" for i, s in enumerate(_STEPS) for c in [' and '.join(_STEPS[: i + 1])])})
+ select *, ((first_value(tokens) over (order by step) - tokens) * 1000000 // first_value(tokens) over (order by step))::bigint as removed_ppm from f""")
+def web_route_funnel(spark, d):
+    """Documents and tokens left after each stage of the whole plain-text route."""
+    return measures.funnel(web_wet_route_verdicts(spark, d), list(_STEPS))
+
+
 @_key()
 def web_wet_corpus(spark, d):
     return tracks.web_track_wet(_language_model(spark, d), _quality_model(spark, d)).run(_docs(spark, d)).df.select("doc_id", F.md5("text").alias("text_md5"))
@@ -430,12 +465,20 @@ def code_prefilter(spark, d):
     return keywords.score_code_page(_code(spark, d)).drop("html", "url")
 
 
-@_key()
+#: What the planted classes must give by their own definition: hidden characters, roots, and roots that are ``pre`` or ``tbody``.
+_PLANTED_CODE = "(values (0, 0, 1, 1, 0), (1, 0, 1, 0, 0), (2, 0, 1, 0, 0), (3, 0, 1, 0, 1), (5, 13, 0, 0, 0), (6, 13, 1, 0, 0), (7, 12, 0, 0, 0), (8, 0, 1, 1, 0), (9, 0, 1, 1, 0), (10, 0, 2, 2, 0))"
+
+
+def _planted_code(columns: str) -> str:
+    return f"select page_id, {', '.join(f'coalesce({c}, 0)::bigint as {c}' for c in columns.split())} from pages left join {_PLANTED_CODE} p(m, hidden_chars, roots, pre_roots, tbody_roots) on page_id % 12 = m and contains(html, '</article>')"
+
+
+@_key(_planted_code("hidden_chars"))
 def hidden_removed(spark, d):
     return extract.code_pass(_code(spark, d)).select("page_id", "hidden_chars")
 
 
-@_key()
+@_key(_planted_code("roots pre_roots tbody_roots"))
 def code_roots(spark, d):
     return extract.code_pass(_code(spark, d)).select("page_id", "roots", "pre_roots", "tbody_roots")
 

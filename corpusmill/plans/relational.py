@@ -187,12 +187,13 @@ def join_salted(spark: SparkSession, d: str) -> DataFrame:
 
 
 def agg_approx_distinct(spark: SparkSession, d: str) -> DataFrame:
-    """Distinct lines by HyperLogLog sketches merged over sources, with the exact count beside it."""
-    lines = load(spark, d, "documents").select("source", F.explode(F.split("text", "\n")).alias("line"))
-    per = lines.groupBy("source").agg(F.hll_sketch_agg("line", 12).alias("sketch"))
-    rough = per.agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("estimate"))
-    exact = lines.agg(F.count_distinct("line").alias("exact"))
-    return rough.crossJoin(exact).select((F.abs(F.col("estimate") - F.col("exact")) * 20 < F.col("exact")).alias("within_5_percent"))
+    """Distinct lines by language and in all: HyperLogLog sketches of sources, merged, beside the exact counts."""
+    lines = load(spark, d, "documents").select("lang", "source", F.explode(F.split("text", "\n")).alias("line"))
+    per = lines.groupBy("lang", "source").agg(F.hll_sketch_agg("line", 14).alias("sketch"))
+    rough = per.rollup("lang").agg(F.grouping("lang").cast("int").alias("is_total"), F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("estimate"))
+    exact = lines.rollup("lang").agg(F.grouping("lang").cast("int").alias("is_total"), F.count_distinct("line").alias("exact"))
+    both = rough.join(exact.withColumnRenamed("lang", "l"), F.col("lang").eqNullSafe(F.col("l")) & (rough.is_total == exact.is_total))
+    return both.select("lang", rough.is_total, "exact", (F.abs(F.col("estimate") - F.col("exact")) * 20 <= F.col("exact")).alias("within_5_percent"))
 
 
 #: Rows of a block of vectors: two blocks and their products are what a task holds.
@@ -235,10 +236,15 @@ def vec_cosine_topk(spark: SparkSession, d: str) -> DataFrame:
     return found.withColumn("rank", rank).where("rank <= 5").select("probe", "rank", "vec_id")
 
 
+_LABELS = """with recursive k as (select doc_id, source, row_number() over (partition by source order by doc_id) as r from documents),
+ e as (select x.doc_id, y.doc_id as up from k x join k y on x.source = y.source and y.r = cast(floor(x.r / 2) as bigint)),
+ c(doc_id, component, depth) as (select doc_id, doc_id, 0 from k where r = 1 union all select e.doc_id, c.component, c.depth + 1 from c join e on e.up = c.doc_id)
+ select doc_id, component, depth from c"""
+
+
 def cte_recursive(spark: SparkSession, d: str) -> DataFrame:
-    """Powers of two up to the number of documents, by a recursive query."""
-    docs = load(spark, d, "documents")
-    return spark.sql("with recursive p(n, v) as (select 0, 1 union all select n + 1, v * 2 from p where n < 12) select n, v, (select count(*) from {docs} where doc_id < v) as docs_below from p", docs=docs)
+    """Component labels by a recursive query: a row hangs under the row of half its rank in its source, down to the source's first."""
+    return spark.sql(_LABELS.replace("documents", "{docs}"), docs=load(spark, d, "documents"))
 
 
 FRAMES = {
@@ -246,9 +252,9 @@ FRAMES = {
     "join_range": (join_range, "select x.event_id, y.event_id as error_id from events x join events y on x.user_id = y.user_id and y.event_type = 'error' and x.event_id <> y.event_id and abs(epoch_us(x.ts) - epoch_us(y.ts)) <= 300000000"),
     "join_asof": (join_asof, "select p.event_id, c.event_id as click_id from (select * from events where event_type = 'purchase') p asof left join (select * from events where event_type = 'click') c on p.user_id = c.user_id and p.ts >= c.ts"),
     "join_salted": (join_salted, "with l as (select doc_id, unnest(string_split(text, chr(10))) as line from documents), c as (select line, count(*) as n from l where line <> '' group by 1) select doc_id, sum(n)::bigint as copies from l join c using (line) group by 1"),
-    "agg_approx_distinct": (agg_approx_distinct, "select true as within_5_percent"),
+    "agg_approx_distinct": (agg_approx_distinct, "select lang, grouping(lang)::int as is_total, count(distinct line) as exact, true as within_5_percent from (select lang, unnest(string_split(text, chr(10))) as line from documents) group by rollup(lang)"),
     "vec_cosine_topk": (vec_cosine_topk, "select probe, rank, vec_id from (select p.vec_id as probe, v.vec_id, row_number() over (partition by p.vec_id order by round(list_dot_product(v.embedding::double[], p.embedding::double[]) / (sqrt(list_dot_product(v.embedding::double[], v.embedding::double[])) * sqrt(list_dot_product(p.embedding::double[], p.embedding::double[]))), 5) desc, v.vec_id)::int as rank from embeddings v join embeddings p on p.vec_id % 20 = 0 and v.vec_id <> p.vec_id) where rank <= 5"),
-    "cte_recursive": (cte_recursive, "with recursive p(n, v) as (select 0, 1 union all select n + 1, v * 2 from p where n < 12) select n, v, (select count(*) from documents where doc_id < v) as docs_below from p"),
+    "cte_recursive": (cte_recursive, _LABELS),
 }
 
 

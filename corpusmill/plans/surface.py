@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -11,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..session import scratch
 from ..sources import warc
 from ..sources.tables import load
 
@@ -68,8 +68,7 @@ def sql_udf(spark, d):
 
 def _round_trip(fmt: str):
     def run(spark, d):
-        base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="corpusmill-")
-        path = f"{base}/io-{fmt}-{abs(hash((spark.sparkContext.applicationId, d, fmt)))}"
+        path = f"{scratch(spark)}/io-{fmt}-{uuid.uuid4().hex}"
         df = load(spark, d, "documents").select("doc_id", "lang", "source", "text")
         writer = df.write.mode("overwrite")
         if fmt == "csv":
@@ -86,8 +85,7 @@ def _round_trip(fmt: str):
 def io_roundtrip_warc(spark, d):
     """Pages written as WARC responses into the shared folder and read again through Spark's own file reader."""
     spark.dataSource.register(warc.WarcSource)
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="corpusmill-")
-    path = f"{base}/io-warc-{uuid.uuid4().hex}"
+    path = f"{scratch(spark)}/io-warc-{uuid.uuid4().hex}"
     local = path.removeprefix("file://").removeprefix("file:")  # the writer opens files itself
     load(spark, d, "pages").select("url", F.col("html").alias("payload")).write.format("warc").mode("append").save(local)
     return warc.read_binary(spark, f"{path}/*.warc.gz").select("url", "type", F.md5("payload").alias("html_md5"))

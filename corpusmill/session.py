@@ -25,6 +25,14 @@ def ship_package(spark: SparkSession) -> SparkSession:
     return spark
 
 
+def scratch(spark: SparkSession) -> str:
+    """The shared folder of ``spark.checkpoint.dir``; a temporary one only in a session on one machine, as in tests."""
+    given = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if given is None and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+    return given or tempfile.mkdtemp(prefix="corpusmill-")
+
+
 def local_session(cores: int = 4, partitions: int = 8) -> SparkSession:
     """A session on this machine, for tests and benches."""
     spark = (

@@ -7,14 +7,15 @@ batch result.
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import minhash
+from ..operators import minhash, paragraphs, rules
+from ..plans import methods as M
+from ..session import scratch
 from ..sources.tables import load
 
 
@@ -63,8 +64,7 @@ def stream_watermark_late(spark, d):
     Arrivals hold six days each and are replayed one file at a time. In update
     mode a window is written as often as it grows; its last count is its state.
     """
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="corpusmill-")
-    path = f"{base}/arrivals-{uuid.uuid4().hex}"
+    path = f"{scratch(spark)}/arrivals-{uuid.uuid4().hex}"
     e = load(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
     late = F.when(F.col("event_id") % 20 == 0, 2).otherwise(0)
     e = e.withColumn("arrival", F.floor(F.datediff("ts", F.lit("2024-01-01")) / 6) + late)
@@ -119,20 +119,72 @@ def incremental_dedup(bands: DataFrame, index: DataFrame) -> tuple[DataFrame, Da
     return losers, merged
 
 
+class BandIndex:
+    """Buckets seen so far, kept as Parquet in the shared folder: every batch adds a part with the buckets it is the first to fill.
+
+    A batch that is run again reads the parts before it and writes its own anew, so a restart changes nothing.
+    """
+
+    SCHEMA = "band int, key string, first_id long, batch int"
+
+    def __init__(self, spark: SparkSession, path: str):
+        self.path = path
+        spark.createDataFrame([], "band int, key string, first_id long").write.mode("overwrite").parquet(f"{path}/batch=-1")
+
+    def losers(self, bands: DataFrame, batch: int) -> DataFrame:
+        """``(doc_id, witness)`` of the rows of a batch that share a bucket with a smaller id; the batch's new buckets are added."""
+        spark = bands.sparkSession
+        bands = minhash.checkpointed(bands)
+        known = spark.read.schema(self.SCHEMA).parquet(self.path).where(F.col("batch") < batch).drop("batch")
+        new = bands.groupBy("band", "key").agg(F.min("doc_id").alias("first_id")).join(known, ["band", "key"], "left_anti")
+        new.write.mode("overwrite").parquet(f"{self.path}/batch={batch}")
+        return incremental_dedup(bands, known)[0]
+
+
+def _refresh(spark: SparkSession, sf_dir: str, step: Callable[[DataFrame, int], None], base: str, arrivals: int = 4) -> None:
+    """Documents arrive in ranges of rising ids; after each arrival the same stream runs on over what is new, from its checkpoint."""
+    docs = load(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
+    size = (docs.agg(F.max("doc_id")).first()[0] or 0) // arrivals + 1
+    for k in range(arrivals):
+        docs.where(F.floor(F.col("doc_id") / size) == k).write.mode("append").parquet(f"{base}/in")
+        stream = spark.readStream.schema(docs.schema).parquet(f"{base}/in").writeStream.foreachBatch(step)
+        stream.option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start().awaitTermination()
+
+
 def stream_incremental_lsh(spark, d):
-    """Ten arrivals of documents in id order against a growing band index, as ``foreachBatch`` would run them."""
-    docs = load(spark, d, "documents").select("doc_id", "text")
-    bands = minhash.lsh_bands(minhash.minhash_signatures(docs)).checkpoint() if spark.sparkContext.getCheckpointDir() else minhash.lsh_bands(minhash.minhash_signatures(docs)).persist()
-    top = docs.agg(F.max("doc_id")).first()[0] or 0
-    step = top // 4 + 1
-    index = spark.createDataFrame([], "band int, key string, first_id long")
-    out = None
-    for k in range(4):
-        part = bands.where((F.col("doc_id") >= k * step) & (F.col("doc_id") < (k + 1) * step))
-        losers, index = incremental_dedup(part, index)
-        out = losers if out is None else out.unionByName(losers)
-    return out
+    """Losers of every refresh against the stored band index: together those of one pass over everything."""
+    base = f"{scratch(spark)}/refresh-{uuid.uuid4().hex}"
+    index = BandIndex(spark, f"{base}/index")
+
+    def step(batch: DataFrame, k: int) -> None:
+        index.losers(minhash.lsh_bands(minhash.minhash_signatures(batch)), k).write.mode("overwrite").parquet(f"{base}/out/batch={k}")
+
+    _refresh(spark, d, step, base)
+    return spark.read.schema("doc_id long, witness long, batch int").parquet(f"{base}/out").drop("batch")
+
+
+def stream_web_track(spark, d):
+    """A refresh of the web track: language, document rules, near copies against the stored index, into a Parquet table by snapshot."""
+    base = f"{scratch(spark)}/refresh-{uuid.uuid4().hex}"
+    index = BandIndex(spark, f"{base}/index")
+
+    def step(batch: DataFrame, k: int) -> None:
+        told = rules.score_document_rules(batch.where("lang = 'en'").select("doc_id", "text", "source"))
+        kept = told.where(~rules.any_flag(told.columns)).select("doc_id", "text", paragraphs.snapshot(F.col("source")).alias("snapshot")).persist()
+        gone = index.losers(minhash.lsh_bands(minhash.minhash_signatures(kept.drop("snapshot"))), k)
+        out = kept.join(gone.select("doc_id"), "doc_id", "left_anti").withColumn("batch", F.lit(k))
+        out.write.partitionBy("snapshot", "batch").mode("overwrite").option("partitionOverwriteMode", "dynamic").parquet(f"{base}/corpus")
+        kept.unpersist()
+
+    _refresh(spark, d, step, base)
+    corpus = spark.read.schema("doc_id long, text string, snapshot int, batch int").parquet(f"{base}/corpus")
+    return corpus.select("doc_id", "snapshot", F.md5("text").alias("text_md5"))
+
 
+_FLAGS = ("words", "mean_word", "symbols", "bullets", "ellipses", "no_alpha", "stops")
+_KEPT = f"""with ok as (select doc_id, text, source from documents where lang = 'en' and doc_id in (select doc_id from (select *, {M._DOC_FLAGS} from ({M._DOC_INPUTS})) where not ({" or ".join(f"f_{x}" for x in _FLAGS)}))),
+ {M._BAND.removeprefix("with ").replace("from documents", "from ok")}, m as (select band, key, min(doc_id) as witness from bands group by 1, 2)
+ select doc_id, {M.SNAP} as snapshot, md5(text) as text_md5 from ok where doc_id not in (select doc_id from bands join m using (band, key) where doc_id <> witness)"""
 
 ORACLES = {
     "stream_tumbling": "select strftime(ts, '%Y-%m-%d') as day, event_type, count(*) as n from events group by 1, 2",
@@ -142,12 +194,14 @@ ORACLES = {
     "stream_dedup": "select distinct user_id, event_type, strftime(ts, '%Y-%m-%d') as day from events",
     "stream_static_join": "select doc_id, lang, quality from documents join labels using (doc_id)",
     "stream_stream_join": "select c.event_id as click_id, p.event_id as purchase_id from events c join events p on c.event_type = 'click' and p.event_type = 'purchase' and c.user_id = p.user_id and p.ts >= c.ts and p.ts <= c.ts + interval 1 hour",
+    "stream_incremental_lsh": M.oracle_sql()["lsh_dropped"],
+    "stream_web_track": _KEPT,
     "stream_funnel": "select lang, count(*) as docs, count_if(n_chars >= 300) as kept from documents group by 1",
 }
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [stream_tumbling, stream_sliding, stream_session, stream_watermark_late, stream_dedup, stream_static_join, stream_stream_join, stream_funnel, stream_incremental_lsh]
+    found = [stream_tumbling, stream_sliding, stream_session, stream_watermark_late, stream_dedup, stream_static_join, stream_stream_join, stream_funnel, stream_incremental_lsh, stream_web_track]
     return {f.__name__: f for f in found}
 
 

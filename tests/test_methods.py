@@ -1,8 +1,10 @@
 """Methods against plain versions, invariants and the planted classes of the fixtures."""
 
 import gzip
+import types
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from corpusmill.functions import choice, formula
@@ -11,8 +13,9 @@ from corpusmill.functions import html as H
 from corpusmill.functions import text as T
 from corpusmill.operators import extract, keywords, measures, minhash, models, paragraphs, rules
 from corpusmill.plans import fixtures, methods, relational, tracks
+from corpusmill.session import scratch
 from corpusmill.sources import warc
-from corpusmill.streaming.queries import stream_incremental_lsh
+from corpusmill.streaming.queries import BandIndex, stream_incremental_lsh
 
 SF = "/root/testdata/sf0.001"
 
@@ -308,3 +311,49 @@ def test_own_keyword_dictionary(spark, tmp_path):
     assert words == ["bar", "foo"]
     df = spark.createDataFrame([(1, "\\foo \\bar \\frac")], "doc_id long, text string")
     assert keywords.score_math_keywords(df, commands=words).first().latex_hits == 2
+
+
+def test_trees_of_any_depth():
+    n = 3000
+    deep = "<div>" * n + '<a href="x">far below</a> and a line of text outside the link.' + "</div>" * n
+    root = H.parse(deep)
+    assert H.links(root) == ["x"] and H.linearize(root) == "far below and a line of text outside the link."
+    assert H.main_content(deep) == "far below and a line of text outside the link."
+    assert H.strip_hidden(H.parse('<p style="display:none">' + "<b>" * n + "x")) == 1
+
+
+def test_hidden_inside_hidden_counts_once_and_style_rules_are_an_option():
+    page = "<style>.off, p#b { display : none }</style><p class='x off'>one<b aria-hidden='true'>two</b></p><p id='b'>three</p><p>four</p>"
+    assert H.strip_hidden(H.parse(page)) == 3
+    root = H.parse(page)
+    assert H.strip_hidden(root, style_rules=True) == 11 and H.linearize(root) == "four"
+
+
+def test_prefix_filter_loses_no_pair(spark):
+    rng = np.random.default_rng(5)
+    texts = [" ".join(rng.choice(list("abcd"), rng.integers(1, 9))) for _ in range(120)]
+    sets = [set(minhash.shingles(t, 2)) for t in texts]
+    docs = spark.createDataFrame([*enumerate(texts), (500, None), (501, "")], "doc_id long, text string")
+    for tenths in (3, 5, 8, 10):
+        got = {(r.a, r.b): (r.both, r.either) for r in minhash.jaccard_pairs(docs, tenths, 2).collect()}
+        both = {(a, b): (len(sets[a] & sets[b]), len(sets[a] | sets[b])) for a in range(120) for b in range(a + 1, 120)}
+        assert got == {k: v for k, v in both.items() if v[0] * 10 >= v[1] * tenths}
+
+
+def test_a_batch_run_again_changes_no_index(spark, tmp_path):
+    index = BandIndex(spark, str(tmp_path / "index"))
+    rows = lambda *r: spark.createDataFrame([(i, 0, k) for i, k in r], "doc_id long, band int, key string")
+    assert index.losers(rows((1, "k"), (2, "l"), (3, "l")), 0).collect() == [(3, 2)]
+    for _ in range(2):
+        assert sorted(index.losers(rows((4, "k"), (5, "m"), (6, "l")), 1).collect()) == [(4, 1), (6, 2)]
+    assert sorted((r.key, r.first_id, r.batch) for r in spark.read.schema(index.SCHEMA).parquet(index.path).collect()) == [("k", 1, 0), ("l", 2, 0), ("m", 5, 1)]
+
+
+def test_scratch_needs_a_shared_folder_on_a_cluster():
+    def session(master, shared):
+        context = types.SimpleNamespace(master=master, getCheckpointDir=lambda: None)
+        return types.SimpleNamespace(sparkContext=context, conf=types.SimpleNamespace(get=lambda k, default: shared))
+
+    assert scratch(session("spark://x", "/shared")) == "/shared" and scratch(session("local[2]", None))
+    with pytest.raises(RuntimeError):
+        scratch(session("spark://x", None))
