@@ -188,15 +188,8 @@ def _to_pivots(named: DataFrame, *salts: int) -> DataFrame:
     return apart.select(F.least("doc_id", "p.doc_id").alias("a"), F.greatest("doc_id", "p.doc_id").alias("b")).distinct()
 
 
-def _pairs_apart(named: DataFrame) -> DataFrame:
-    """All pairs of small buckets whose ends are in different components."""
-    left = named.select("key", F.col("doc_id").alias("a"), F.col("component").alias("ca"))
-    right = named.select("key", F.col("doc_id").alias("b"), F.col("component").alias("cb"))
-    return left.join(right, "key").where("a < b and ca <> cb").select("a", "b").distinct()
-
-
 def _links_in_blocks(named: DataFrame, texts: DataFrame, shingle: int, percent: int) -> DataFrame:
-    """Confirmed links across components of large buckets.
+    """Confirmed links across the components of a bucket, of any size.
 
     Members outside a bucket's largest component meet all members, block by
     block, on full sets. A task passes on as many links as join its components.
@@ -286,12 +279,10 @@ def near_duplicates(
         release(spark)
     named = _named(members, labels)
     if not named.isEmpty():
-        small = _confirmed(settle(_likely(_pairs_apart(named.where("n <= 32")), sigs, percent)), texts, shingle, percent)
-        release(spark)
-        large = settle(_links_in_blocks(named.where("n > 32"), texts, shingle, percent))
+        last = settle(_links_in_blocks(named, texts, shingle, percent))
         release(spark)
-        labels = settle(connected_components(links.unionByName(small).unionByName(large)))
-        del small, large
+        labels = settle(connected_components(links.unionByName(last)))
+        del last
     del named, links, texts, members, sigs, sets
     release(spark)
     return (
