@@ -357,3 +357,13 @@ def test_scratch_needs_a_shared_folder_on_a_cluster():
     assert scratch(session("spark://x", "/shared")) == "/shared" and scratch(session("local[2]", None))
     with pytest.raises(RuntimeError):
         scratch(session("spark://x", None))
+
+
+def test_copies_cost_a_class_one_row(spark):
+    one, two = "a b c d e f g h", "a b c d e f g i"
+    docs = spark.createDataFrame([(i, one if i % 2 else two) for i in range(400)] + [(500, "x y z")], "doc_id long, text string")
+    members, pairs = minhash.jaccard_classes(docs, 5, 2)
+    assert [(r.a, r.b, r.na, r.nb, r.both) for r in pairs.collect()] in ([(0, 1, 7, 7, 6)], [(1, 0, 7, 7, 6)])
+    assert sorted((r.rep, r["size"], r.doc_id % 2) for r in members.where("doc_id in (7, 8, 500)").collect()) == [(0, 200, 0), (1, 200, 1), (500, 1, 0)]
+    got = minhash.jaccard_pairs(docs, 5, 2).groupBy("both", "either").count().collect()
+    assert sorted(tuple(r) for r in got) == [(6, 8, 200 * 200), (7, 7, 2 * 199 * 100)]
