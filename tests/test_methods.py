@@ -367,3 +367,13 @@ def test_copies_cost_a_class_one_row(spark):
     assert sorted((r.rep, r["size"], r.doc_id % 2) for r in members.where("doc_id in (7, 8, 500)").collect()) == [(0, 200, 0), (1, 200, 1), (500, 1, 0)]
     got = minhash.jaccard_pairs(docs, 5, 2).groupBy("both", "either").count().collect()
     assert sorted(tuple(r) for r in got) == [(6, 8, 200 * 200), (7, 7, 2 * 199 * 100)]
+
+
+def test_lsh_against_exact_lists_no_copies(spark, tmp_path, monkeypatch):
+    monkeypatch.delattr(minhash, "candidate_pairs")
+    text = " ".join(f"w{i}" for i in range(40))
+    rows = [(i, text if i < 300 else text.replace("w39", "z"), "en", "s0", 300) for i in range(400)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    out = methods.lsh_vs_exact(spark, str(tmp_path))
+    got = {r.tenths: (r.pairs, r.found) for r in out.collect()}
+    assert got[10] == (300 * 299 // 2 + 100 * 99 // 2,) * 2 and got[9][0] == 300 * 100 and got[9][1] in (0, 30000)
