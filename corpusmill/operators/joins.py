@@ -32,6 +32,27 @@ def asof_join(left: DataFrame, right: DataFrame, by: list[str], time: str, value
     return carried.where("_side = 1").select("_row.*", name)
 
 
+def beaten_counts(df: DataFrame, on: list[str], above: str, below: str, name: str) -> DataFrame:
+    """Rows with the number of rows of equal ``on`` that have a smaller ``above`` and a larger integer ``below``, where there are any.
+
+    No pairs are made. Equal rows are counted once. Values of ``above`` get a rank; of two
+    ranks the larger has a one at the highest bit where they differ. So for each bit the
+    rows that agree above it are sorted by ``below``, and each row with a one adds the
+    running count of rows with a zero.
+    """
+    keys = [*on, above, below]
+    cells = df.where(" and ".join(f"{k} is not null" for k in keys)).groupBy(*keys).agg(F.count("*").alias("_n"))
+    ranks = F.dense_rank().over(Window.partitionBy(*on).orderBy(above)) - 1
+    cells = cells.select("*", ranks.cast("long").alias("_r"))
+    top = int(cells.agg(F.max("_r")).first()[0] or 0)
+    bits = F.explode(F.sequence(F.lit(0), F.lit(max(1, top.bit_length()) - 1))).alias("_bit")
+    deep = cells.select(*keys, "_n", "_r", bits).selectExpr(*keys, "_n", "_bit", "shiftright(_r, _bit + 1) as _same", "shiftright(_r, _bit) % 2 as _one")
+    larger = Window.partitionBy(*on, "_bit", "_same").orderBy(F.desc(below)).rangeBetween(Window.unboundedPreceding, -1)
+    met = deep.withColumn("_c", F.sum(F.when(F.col("_one") == 0, F.col("_n"))).over(larger)).where("_one = 1")
+    counts = met.groupBy(*keys).agg(F.sum("_c").alias(name)).where(F.col(name) > 0)
+    return df.join(counts, keys)
+
+
 def salted_join(big: DataFrame, small: DataFrame, on: list[str], salts: int, salt: Column) -> DataFrame:
     """Inner join whose hot keys are spread over ``salts`` tasks; ``small`` is repeated that often."""
     a = big.withColumn("_salt", F.pmod(salt, F.lit(salts)).cast("int"))

@@ -32,7 +32,6 @@ SHARED = {
     "join_full": "select coalesce(c_custkey, o_custkey) as custkey, count(c_custkey) as c_n, count(o_orderkey) as o_n from (select * from {customer} where c_acctbal > 0) c full join (select * from {orders} where o_orderstatus = 'O') o on c_custkey = o_custkey group by coalesce(c_custkey, o_custkey)",
     "join_semi": "select c_custkey from {customer} c where exists (select 1 from {orders} o where o.o_custkey = c.c_custkey and o.o_totalprice > 200000)",
     "join_anti": "select d.doc_id from {documents} d where not exists (select 1 from {labels} l where l.doc_id = d.doc_id)",
-    "join_theta": "select a.p_partkey, count(*) as beaten from {part} a join {part} b on a.p_brand = b.p_brand and a.p_retailprice > b.p_retailprice and a.p_size < b.p_size group by a.p_partkey",
     "join_cross": "select r.recipe, l.lang, count(d.doc_id) as docs from (values ('raw', 0), ('length', 300), ('long', 3000)) as r(recipe, least) cross join (select distinct lang from {documents}) l left join {documents} d on d.lang = l.lang and d.n_chars >= r.least group by r.recipe, l.lang",
     "agg_group": f"select l_returnflag, l_linestatus, count(*) as n, sum(cast(l_quantity as bigint)) as qty, sum({_rev}) as cents, min(l_quantity) as q_min, max(l_quantity) as q_max from {{lineitem}} group by l_returnflag, l_linestatus",
     "agg_having": "select source, sum(n_chars) as chars from {documents} group by source having sum(n_chars) > (select sum(n_chars) / count(distinct source) from {documents})",
@@ -178,6 +177,13 @@ def join_asof(spark: SparkSession, d: str) -> DataFrame:
     return joins.asof_join(e.where("event_type = 'purchase'").select("event_id", "user_id", "ts"), clicks, ["user_id"], "ts", "click_id", "click_id").select("event_id", "click_id")
 
 
+def join_theta(spark: SparkSession, d: str) -> DataFrame:
+    """Parts with the number of parts of their brand that cost less and are larger."""
+    p = load(spark, d, "part").select("p_partkey", "p_brand", "p_retailprice", F.col("p_size").cast("long").alias("p_size"))
+    got = joins.beaten_counts(p, ["p_brand"], "p_retailprice", "p_size", "beaten")
+    return got.groupBy("p_partkey").agg(F.sum("beaten").alias("beaten"))
+
+
 def join_salted(spark: SparkSession, d: str) -> DataFrame:
     """Lines with how often each occurs, hot lines spread over eight tasks."""
     lines = load(spark, d, "documents").select("doc_id", F.posexplode(F.split("text", "\n")).alias("pos", "line")).where("line <> ''")
@@ -251,6 +257,7 @@ FRAMES = {
     "join_self_band": (join_self_band, "select a.doc_id as a, b.doc_id as b from documents a join documents b on a.source = b.source and a.doc_id < b.doc_id and b.n_chars * 100 between a.n_chars * 99 and a.n_chars * 101"),
     "join_range": (join_range, "select x.event_id, y.event_id as error_id from events x join events y on x.user_id = y.user_id and y.event_type = 'error' and x.event_id <> y.event_id and abs(epoch_us(x.ts) - epoch_us(y.ts)) <= 300000000"),
     "join_asof": (join_asof, "select p.event_id, c.event_id as click_id from (select * from events where event_type = 'purchase') p asof left join (select * from events where event_type = 'click') c on p.user_id = c.user_id and p.ts >= c.ts"),
+    "join_theta": (join_theta, "select a.p_partkey, count(*) as beaten from part a join part b on a.p_brand = b.p_brand and a.p_retailprice > b.p_retailprice and a.p_size < b.p_size group by a.p_partkey"),
     "join_salted": (join_salted, "with l as (select doc_id, unnest(string_split(text, chr(10))) as line from documents), c as (select line, count(*) as n from l where line <> '' group by 1) select doc_id, sum(n)::bigint as copies from l join c using (line) group by 1"),
     "agg_approx_distinct": (agg_approx_distinct, "select lang, grouping(lang)::int as is_total, count(distinct line) as exact, true as within_5_percent from (select lang, unnest(string_split(text, chr(10))) as line from documents) group by rollup(lang)"),
     "vec_cosine_topk": (vec_cosine_topk, "select probe, rank, vec_id from (select p.vec_id as probe, v.vec_id, row_number() over (partition by p.vec_id order by round(list_dot_product(v.embedding::double[], p.embedding::double[]) / (sqrt(list_dot_product(v.embedding::double[], v.embedding::double[])) * sqrt(list_dot_product(p.embedding::double[], p.embedding::double[]))), 5) desc, v.vec_id)::int as rank from embeddings v join embeddings p on p.vec_id % 20 = 0 and v.vec_id <> p.vec_id) where rank <= 5"),

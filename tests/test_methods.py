@@ -11,11 +11,11 @@ from corpusmill.functions import choice, formula
 from corpusmill.functions import code as code_functions
 from corpusmill.functions import html as H
 from corpusmill.functions import text as T
-from corpusmill.operators import extract, keywords, measures, minhash, models, paragraphs, rules
+from corpusmill.operators import extract, joins, keywords, measures, minhash, models, paragraphs, rules
 from corpusmill.plans import fixtures, methods, relational, tracks
 from corpusmill.session import scratch
 from corpusmill.sources import warc
-from corpusmill.streaming.queries import BandIndex, stream_incremental_lsh
+from corpusmill.streaming.queries import BandIndex, queries, stream_incremental_lsh
 
 SF = "/root/testdata/sf0.001"
 
@@ -377,3 +377,19 @@ def test_lsh_against_exact_lists_no_copies(spark, tmp_path, monkeypatch):
     out = methods.lsh_vs_exact(spark, str(tmp_path))
     got = {r.tenths: (r.pairs, r.found) for r in out.collect()}
     assert got[10] == (300 * 299 // 2 + 100 * 99 // 2,) * 2 and got[9][0] == 300 * 100 and got[9][1] in (0, 30000)
+
+
+def test_beaten_counts_make_no_pairs(spark):
+    rng = np.random.default_rng(3)
+    rows = [(i, "ab"[i % 2], float(rng.integers(0, 40)), int(rng.integers(0, 9))) for i in range(300)] + [(900, "a", None, 3), (901, None, 1.0, 3), (902, "a", 1.0, None)]
+    df = spark.createDataFrame(rows, "id long, brand string, price double, size long")
+    out = joins.beaten_counts(df, ["brand"], "price", "size", "n")
+    got = {r.id: r.n for r in out.collect()}
+    want = {a[0]: sum(b[1] == a[1] and b[2] < a[2] and b[3] > a[3] for b in rows[:300]) for a in rows[:300]}
+    assert got == {k: v for k, v in want.items() if v}
+
+
+def test_streams_leave_no_table_on_the_driver(spark):
+    before = {t.name for t in spark.catalog.listTables()}
+    assert queries()["stream_dedup"](spark, SF).count() and queries()["stream_session"](spark, SF).count()
+    assert {t.name for t in spark.catalog.listTables()} == before
