@@ -393,3 +393,9 @@ def test_streams_leave_no_table_on_the_driver(spark):
     before = {t.name for t in spark.catalog.listTables()}
     assert queries()["stream_dedup"](spark, SF).count() and queries()["stream_session"](spark, SF).count()
     assert {t.name for t in spark.catalog.listTables()} == before
+
+
+@pytest.mark.parametrize("key", ["code_snippet_tests", "compare_runs", "line_numbers_removed", "lsh_chain_fixture", "lsh_curve", "macro_average"])
+def test_key_reads_a_given_table(spark, key):
+    assert methods.queries()[key](spark, SF).inputFiles() or key == "lsh_chain_fixture"  # which ends behind checkpoints
+    assert key != "lsh_chain_fixture" or methods.X.derived(spark, SF, methods.X.chain_sql()).inputFiles()
