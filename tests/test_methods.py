@@ -399,3 +399,13 @@ def test_streams_leave_no_table_on_the_driver(spark):
 def test_key_reads_a_given_table(spark, key):
     assert methods.queries()[key](spark, SF).inputFiles() or key == "lsh_chain_fixture"  # which ends behind checkpoints
     assert key != "lsh_chain_fixture" or methods.X.derived(spark, SF, methods.X.chain_sql()).inputFiles()
+
+
+def test_perplexities_of_many_recipes_in_one_pass(spark):
+    docs = spark.createDataFrame([("a b a c", True, False), ("b a", True, True), (None, True, True), ("c d", False, None)], "text string, x boolean, y boolean")
+    held = spark.createDataFrame([("a b d",), ("c d",)], "text string")
+    out = measures.perplexities(docs, ("x", "y"), held)
+    got = {r.recipe: (r.tokens, round(r.perplexity, 9)) for r in out.collect()}
+    for k in ("x", "y"):
+        r = measures.perplexity(measures.train_ngram_lm(docs.where(k)), held).first()
+        assert got[k] == (r.tokens, round(r.perplexity, 9))
